@@ -7,11 +7,12 @@ from .packing import op6_packing
 from .pii import op9_personal_data
 from .quality import op3_quality
 from .rules import op8_quality_rules
+from .substring import op10_substring
 from .toxicity import op1_toxicity
 
 QUERIES = {
     f.__name__: f
-    for f in (op1_toxicity, op2_mixing, op3_quality, op6_packing, op8_quality_rules, op9_personal_data)
+    for f in (op1_toxicity, op2_mixing, op3_quality, op6_packing, op8_quality_rules, op9_personal_data, op10_substring)
 }
 
 ORACLES: dict[str, str] = {}
