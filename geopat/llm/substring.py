@@ -37,7 +37,7 @@ WINDOW = 13
 LEVELS = (1, 2, 4, 8)
 HOT = 512
 #: Windows gathered before a batch is dealt out.
-BATCH = 1_500_000
+BATCH = 800_000
 _GOLDEN = np.uint64(0x9E3779B97F4A7C15)
 
 
@@ -259,7 +259,7 @@ def _among(values: np.ndarray, ordered: np.ndarray) -> np.ndarray:
 
 def remove_repeats(docs: DataFrame, window: int = WINDOW) -> DataFrame:
     """doc_id, n_words, n_removed, kept (remaining words joined by one space), repeats (word spans removed)."""
-    parts = 4 * tasks_for(docs)
+    parts = 2 * tasks_for(docs)
     cells = 1 << max(11, (8 * parts - 1).bit_length())
     slim = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
     counts, hot = survey(slim, window, cells)
