@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from .mixing import op2_mixing
+from .neardup import op4_minhash
 from .packing import op6_packing
 from .pii import op9_personal_data
 from .quality import op3_quality
@@ -12,7 +13,7 @@ from .toxicity import op1_toxicity
 
 QUERIES = {
     f.__name__: f
-    for f in (op1_toxicity, op2_mixing, op3_quality, op6_packing, op8_quality_rules, op9_personal_data, op10_substring)
+    for f in (op1_toxicity, op2_mixing, op3_quality, op4_minhash, op6_packing, op8_quality_rules, op9_personal_data, op10_substring)
 }
 
 ORACLES: dict[str, str] = {}
