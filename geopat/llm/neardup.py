@@ -194,9 +194,8 @@ def estimated(pairs: DataFrame, sketch: DataFrame, k: int, percent: int) -> Data
     return pairs.join(left, "a").join(right, "b").select("a", "b", "sa", "sb").mapInArrow(run, "a long, b long")
 
 
-def verified(pairs: DataFrame, docs: DataFrame, words: int, percent: int) -> DataFrame:
-    """The pairs (a, b) whose full sets reach the threshold; pairs must be materialised."""
-    wanted = pairs.select(F.col("a").alias("doc_id")).union(pairs.select("b")).distinct()
+def full_sets(docs: DataFrame, wanted: DataFrame, words: int) -> DataFrame:
+    """(doc_id, set) of the documents whose ids are wanted."""
 
     def sets(rows: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in rows:
@@ -204,68 +203,113 @@ def verified(pairs: DataFrame, docs: DataFrame, words: int, percent: int) -> Dat
                 edges, h = shingles(block, words)
                 yield pa.RecordBatch.from_arrays([batch["doc_id"].slice(first, len(block)), pa.array([h[a:b].tobytes() for a, b in zip(edges[:-1], edges[1:], strict=True)], pa.binary())], names=["doc_id", "set"])
 
+    texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").join(wanted.distinct(), "doc_id", "left_semi")
+    return texts.mapInArrow(sets, "doc_id long, set binary")
+
+
+def _linked(x: np.ndarray, y: np.ndarray, percent: int) -> bool:
+    at = np.minimum(np.searchsorted(x, y), max(len(x) - 1, 0))
+    shared = int((x[at] == y).sum()) if len(x) else 0
+    return 100 * shared >= percent * (len(x) + len(y) - shared)
+
+
+def verified(pairs: DataFrame, full: DataFrame, percent: int) -> DataFrame:
+    """The pairs (a, b) whose full sets reach the threshold."""
+
     def compare(rows: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in rows:
-            good = []
-            for x, y in zip(batch["xa"], batch["xb"], strict=True):
-                x, y = np.frombuffer(x.as_buffer(), np.uint64), np.frombuffer(y.as_buffer(), np.uint64)
-                at = np.minimum(np.searchsorted(x, y), max(len(x) - 1, 0))
-                shared = int((x[at] == y).sum()) if len(x) else 0
-                good.append(100 * shared >= percent * (len(x) + len(y) - shared))
+            good = [
+                _linked(np.frombuffer(x.as_buffer(), np.uint64), np.frombuffer(y.as_buffer(), np.uint64), percent)
+                for x, y in zip(batch["xa"], batch["xb"], strict=True)
+            ]
             yield batch.select(["a", "b"]).filter(pa.array(good, pa.bool_()))
 
-    texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").join(wanted, "doc_id", "left_semi")
-    full = materialise(texts.mapInArrow(sets, "doc_id long, set binary"))
     left = full.select(F.col("doc_id").alias("a"), F.col("set").alias("xa"))
     right = full.select(F.col("doc_id").alias("b"), F.col("set").alias("xb"))
     return pairs.join(left, "a").join(right, "b").select("a", "b", "xa", "xb").mapInArrow(compare, "a long, b long")
 
 
+def _incidence(owner: np.ndarray, value: np.ndarray, side: np.ndarray, n: int, width: int) -> np.ndarray:
+    """0/1 matrix of the values that the chosen owners hold."""
+    place = np.full(n, -1)
+    place[side] = np.arange(len(side))
+    mine = place[owner] >= 0
+    m = np.zeros((len(side), width), np.float32)
+    m[place[owner[mine]], value[mine]] = 1
+    return m
+
+
 def rest_pairs(members: DataFrame, found: DataFrame, sketch: DataFrame, percent: int, k: int) -> DataFrame:
-    """Pairs of one long list that lie in different components so far and that sketches do not rule out."""
+    """(key, block, a, b): pairs of a long list that lie in different components so far and that sketches do not rule out.
+
+    Members of a list's largest component go to one block each; the others, which may
+    link with any member, go to all blocks of the list.  A pair that shares several lists
+    comes out of the one with the smallest key alone.
+    """
     placed = members.join(found, members["a"] == found["node"], "left").select("key", "a", F.coalesce("component", "a").alias("component"))
-    mixed = placed.groupBy("key").agg(F.min("component").alias("lo"), F.max("component").alias("hi"), F.count("*").alias("size")).where("lo <> hi").select("key", "size")
-    rows = materialise(placed.join(mixed, "key").join(sketch.select(F.col("doc_id").alias("a"), "n", "sketch"), "a"))
+    per = placed.groupBy("key", "component").agg(F.count("*").alias("n"))
+    mixed = per.groupBy("key").agg(F.sum("n").alias("size"), F.max_by("component", F.struct("n", "component")).alias("big"), F.count("*").alias("pieces")).where("pieces > 1")
+    rows = materialise(placed.join(mixed.select("key", "size", "big"), "key"))
+    lists = rows.groupBy("a").agg(F.array_sort(F.collect_list("key")).alias("lists"))
     blocks_of = F.ceil(F.col("size") / BLOCK).cast("int")
     own = F.pmod(F.xxhash64("a"), blocks_of).cast("int")
-    dealt = rows.withColumn("own", own).withColumn("other", F.explode(F.sequence(F.lit(0), blocks_of - 1))).select(
-        "key", "a", "component", "n", "sketch", "own", F.least("own", "other").cast("int").alias("i"), F.greatest("own", "other").cast("int").alias("j")
+    to = F.when(F.col("component") == F.col("big"), F.array("own")).otherwise(F.sequence(F.lit(0), blocks_of - 1))
+    dealt = (
+        rows.withColumn("own", own)
+        .join(lists, "a")
+        .join(sketch.select(F.col("doc_id").alias("a"), "n", "sketch"), "a")
+        .select("key", "a", "component", "n", "sketch", "lists", "own", (F.col("component") != F.col("big")).alias("minor"), F.explode(to).alias("block"))
     )
 
     def run(group: pa.Table) -> pa.Table:
+        key, block = group["key"][0].as_py(), group["block"][0].as_py()
         ids, comp, n = (group[c].to_numpy() for c in ("a", "component", "n"))
-        own, i, j = group["own"].to_numpy(), group["i"][0].as_py(), group["j"][0].as_py()
+        left = np.flatnonzero(group["minor"].to_numpy(zero_copy_only=False))
+        right = np.flatnonzero(group["own"].to_numpy() == block)
+        a, b = [np.zeros(0, np.int64)], [np.zeros(0, np.int64)]
         raw = [np.frombuffer(x, np.uint64) for x in group["sketch"].to_pylist()]
         values, at = np.unique(np.concatenate(raw), return_inverse=True)
         row = np.repeat(np.arange(len(raw)), [len(x) for x in raw])
-        a, b = [np.zeros(0, np.int64)], [np.zeros(0, np.int64)]
-        left, right = np.flatnonzero(own == i), np.flatnonzero(own == j)
-        shared = np.zeros((len(left), len(right)), np.float32)
-        place = np.full(len(raw), -1)
-        for start in range(0, len(values), 4096):
-            use = (at >= start) & (at < start + 4096)
-            sides = []
-            for side in (left, right):
-                place[:] = -1
-                place[side] = np.arange(len(side))
-                m = np.zeros((len(side), min(4096, len(values) - start)), np.float32)
-                mine = use & (place[row] >= 0)
-                m[place[row[mine]], at[mine] - start] = 1
-                sides.append(m)
-            shared += sides[0] @ sides[1].T
-        full = np.array([min(len(x), k) for x in raw])
-        union = np.minimum(k, full[left][:, None] + full[right][None, :] - shared)
-        size = n[left][:, None].astype(np.float64), n[right][None, :].astype(np.float64)
-        good = shared >= (percent / 100 - SLACK) * union
-        good &= (comp[left][:, None] != comp[right][None, :]) & (100 * np.minimum(*size) >= percent * np.maximum(*size))
-        if i == j:
-            good &= ids[left][:, None] < ids[right][None, :]
-        x, y = np.nonzero(good)
-        a.append(np.minimum(ids[left[x]], ids[right[y]]))
-        b.append(np.maximum(ids[left[x]], ids[right[y]]))
-        return pa.table([pa.array(np.concatenate(a)), pa.array(np.concatenate(b))], names=["a", "b"])
-
-    return dealt.groupBy("key", "i", "j").applyInArrow(run, "a long, b long").distinct()
+        earlier = [[x for x in held if x < key] for held in group["lists"].to_pylist()]
+        list_row = np.repeat(np.arange(len(raw)), [len(x) for x in earlier])
+        list_ids, list_at = np.unique(np.array([x for held in earlier for x in held], np.int64), return_inverse=True)
+        for start in range(0, len(left), BLOCK):
+            some = left[start : start + BLOCK]
+            shared = np.zeros((len(some), len(right)), np.float32)
+            for low in range(0, len(values), 8192):
+                use = (at >= low) & (at < low + 8192)
+                shared += _incidence(row[use], at[use] - low, some, len(raw), 8192) @ _incidence(row[use], at[use] - low, right, len(raw), 8192).T
+            before = np.zeros_like(shared)
+            for low in range(0, len(list_ids), 8192):
+                use = (list_at >= low) & (list_at < low + 8192)
+                before += _incidence(list_row[use], list_at[use] - low, some, len(raw), 8192) @ _incidence(list_row[use], list_at[use] - low, right, len(raw), 8192).T
+            held = np.array([min(len(x), k) for x in raw])
+            union = np.minimum(k, held[some][:, None] + held[right][None, :] - shared)
+            size = n[some][:, None].astype(np.float64), n[right][None, :].astype(np.float64)
+            good = (shared >= (percent / 100 - SLACK) * union) & (before == 0)
+            good &= (comp[some][:, None] != comp[right][None, :]) & (100 * np.minimum(*size) >= percent * np.maximum(*size))
+            minor = np.isin(right, left)
+            good &= ~minor[None, :] | (ids[some][:, None] < ids[right][None, :])
+            x, y = np.nonzero(good)
+            a.append(np.minimum(ids[some[x]], ids[right[y]]))
+            b.append(np.maximum(ids[some[x]], ids[right[y]]))
+        a, b = np.concatenate(a), np.concatenate(b)
+        return pa.table([pa.array(np.full(len(a), key)), pa.array(np.full(len(a), block, np.int32)), pa.array(a), pa.array(b)], names=["key", "block", "a", "b"])
+
+    return dealt.groupBy("key", "block").applyInArrow(run, "key long, block int, a long, b long")
+
+
+def rest_links(pairs: DataFrame, full: DataFrame, percent: int) -> DataFrame:
+    """The pairs of lists' blocks whose full sets reach the threshold; a block gets each set once."""
+    wanted = pairs.select("key", "block", F.col("a").alias("doc_id")).union(pairs.select("key", "block", "b")).distinct()
+    sets = wanted.select(F.col("key").alias("of_key"), F.col("block").alias("of_block"), "doc_id").join(full, "doc_id")
+
+    def run(group: pa.Table, held: pa.Table) -> pa.Table:
+        of = {i: np.frombuffer(x.as_buffer(), np.uint64) for i, x in zip(held["doc_id"].to_pylist(), held["set"], strict=True)}
+        good = [_linked(of[a], of[b], percent) for a, b in zip(group["a"].to_pylist(), group["b"].to_pylist(), strict=True)]
+        return group.select(["a", "b"]).filter(pa.array(good, pa.bool_()))
+
+    return pairs.groupBy("key", "block").cogroup(sets.groupBy("of_key", "of_block")).applyInArrow(run, "a long, b long")
 
 
 def near_duplicates(docs: DataFrame, words: int = 5, percent: int = 80, k: int = K) -> DataFrame:
@@ -281,13 +325,13 @@ def near_duplicates(docs: DataFrame, words: int = 5, percent: int = 80, k: int =
     parts = 2 * tasks_for(docs)
     listed = materialise(list_pairs(list_entries(classes, parts), percent))
     single = classes.groupBy("doc_id").agg(F.first("n").alias("n"), F.min("sketch").alias("sketch")) if not same_id.isEmpty() else classes.select("doc_id", "n", "sketch")
-    pairs = listed.where("key is null").select("a", "b").distinct()
-    links = materialise(verified(materialise(estimated(pairs, single, k, percent)), docs, words, percent).union(doubles))
-    found = connected(links)
+    pairs = materialise(estimated(listed.where("key is null").select("a", "b").distinct(), single, k, percent))
     members = listed.where("key is not null").select("key", "a").distinct()
+    full = materialise(full_sets(docs, pairs.select(F.col("a").alias("doc_id")).union(pairs.select("b")).union(members.select("a")), words))
+    found = connected(materialise(verified(pairs, full, percent).union(doubles)))
     rest = materialise(rest_pairs(members, found, single, percent, k))
     if not rest.isEmpty():
-        more = materialise(verified(rest, docs, words, percent))
+        more = materialise(rest_links(rest, full, percent))
         if not more.isEmpty():
             found = connected(found.select(F.col("node").alias("a"), F.col("component").alias("b")).union(more))
     labelled = groups.join(found, F.col("rep") == F.col("node"), "left").select("n", "d1", "d2", F.coalesce("component", "rep").alias("component"))
