@@ -17,6 +17,10 @@ from pyspark.sql import functions as F
 WORD = r"[^\x20\x09-\x0D]+"
 
 
+#: Rows of a batch sent to Python, in place of Spark's default: rows here are whole texts or sets.
+BATCH_ROWS = 1000
+
+
 def ship(spark: SparkSession) -> None:
     """Give the executors' Python this package, once per session, wherever the driver was started."""
     context = spark.sparkContext
@@ -30,6 +34,8 @@ def ship(spark: SparkSession) -> None:
             out.write(path, str(path.relative_to(root.parent)))
     context.addPyFile(f"{folder}/geopat_code.zip")
     context._geopat_shipped = True
+    if spark.conf.get("spark.sql.execution.arrow.maxRecordsPerBatch") == "10000":
+        spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", str(BATCH_ROWS))
 
 
 def table(spark: SparkSession, folder: str, name: str) -> DataFrame:

@@ -112,9 +112,10 @@ def unit(key: Column, seed: int) -> Column:
     return F.shiftrightunsigned(F.xxhash64(key, F.lit(seed)), 11) / F.lit(float(1 << 53))
 
 
-def mix(docs: DataFrame, weights: tuple[float, ...] = WEIGHTS, cap: int = CAP, seed: int = 11) -> DataFrame:
-    """One row per document: doc_id, source, size, source_size, target, rate, copies, taken."""
-    sized = docs.select("doc_id", "source", words_in().alias("size"))
+def mix(docs: DataFrame, weights: tuple[float, ...] = WEIGHTS, cap: int = CAP, seed: int = 11, carry: bool = False) -> DataFrame:
+    """One row per document: doc_id, source, size, source_size, target, rate, copies, taken; with `carry` also row, the whole row."""
+    row = [F.struct(*docs.columns).alias("row")] if carry else []
+    sized = docs.select("doc_id", "source", words_in().alias("size"), *row)
     by_size = materialise(sized.groupBy("source", "size").agg(F.count("*").alias("n")))
     sizes = by_size.groupBy("source").agg(F.sum(F.col("size") * F.col("n")).alias("source_size"))
     solved = materialise(multipliers(by_size, targets(sizes, weights, cap), cap).coalesce(1)).withColumnRenamed("source", "of")
@@ -155,20 +156,14 @@ def mix(docs: DataFrame, weights: tuple[float, ...] = WEIGHTS, cap: int = CAP, s
     return (
         rated.join(F.broadcast(cut) if few else cut, F.col("cut_of").eqNullSafe(F.col("of")), "left")
         .withColumn("copies", copies)
-        .select("doc_id", "source", "size", "source_size", "target", "rate", "copies", (F.col("copies") * F.col("size")).alias("taken"))
+        .select("doc_id", "source", "size", "source_size", "target", "rate", "copies", (F.col("copies") * F.col("size")).alias("taken"), *(["row"] if carry else []))
     )
 
 
-def repeat_documents(docs: DataFrame, mixed: DataFrame) -> DataFrame:
-    """The documents, each as often as the mix says; columns as in `docs`.  Rows with one id share its copies."""
-    plan = mixed.groupBy("doc_id").agg(F.max("copies").alias("_copies")).withColumnRenamed("doc_id", "_mix_id")
-    names = docs.columns
-    return (
-        docs.join(plan, F.col("_mix_id").eqNullSafe(docs["doc_id"]))
-        .where("_copies > 0")
-        .withColumn("_copy", F.explode(F.sequence(F.lit(1), F.col("_copies"))))
-        .select(*names)
-    )
+def repeat_documents(docs: DataFrame, weights: tuple[float, ...] = WEIGHTS, cap: int = CAP) -> DataFrame:
+    """The documents, each as often as the mix says; columns as in `docs`."""
+    mixed = mix(docs, weights, cap, carry=True)
+    return mixed.where("copies > 0").select("row", F.explode(F.sequence(F.lit(1), F.col("copies"))).alias("copy")).select("row.*")
 
 
 def op2_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -10,10 +10,10 @@ list runs of two), and fail to with a chance under 1e-9 when cut at 64.  Runs, u
 single values, are rare among documents that merely share common words.
 
 Short lists give all their pairs of fitting sizes.  A long list gives pairs with three
-pivots; what the links found so far leave in different components is then compared in
-blocks inside tasks, by sketch, and only pairs that may link come out.  Every candidate
-passes the estimate from the sketch of the union (a filter five standard errors wide) and
-then exact comparison of full sets.  No list is cut and no partner dropped.
+pivots; members that these leave in different components are then compared in blocks
+inside tasks, and only links come out.  Every candidate passes the estimate from the
+sketch of the union (a filter five standard errors wide) and then exact comparison of
+full sets.  No list is cut and no partner dropped.
 
 Null and empty texts and texts without words have empty sets and link with nothing.
 Rows with a null id link with nothing, have no component and are kept.  Rows that
@@ -40,6 +40,8 @@ RUN = 3
 SHORT = 24
 PIVOTS = 3
 BLOCK = 512
+#: Shared values counted at a time.
+WIDTH = 4096
 #: Pairs whose sketches estimate a similarity this far below the threshold are not verified.
 SLACK = 0.25
 
@@ -229,87 +231,106 @@ def verified(pairs: DataFrame, full: DataFrame, percent: int) -> DataFrame:
     return pairs.join(left, "a").join(right, "b").select("a", "b", "xa", "xb").mapInArrow(compare, "a long, b long")
 
 
-def _incidence(owner: np.ndarray, value: np.ndarray, side: np.ndarray, n: int, width: int) -> np.ndarray:
-    """0/1 matrix of the values that the chosen owners hold."""
-    place = np.full(n, -1)
-    place[side] = np.arange(len(side))
-    mine = place[owner] >= 0
-    m = np.zeros((len(side), width), np.float32)
-    m[place[owner[mine]], value[mine]] = 1
-    return m
+def rest_links(members: DataFrame, found: DataFrame, sketch: DataFrame, full: DataFrame, percent: int, k: int) -> DataFrame:
+    """Links (a, b) between members of long lists that lie in different components so far.
 
-
-def rest_pairs(members: DataFrame, found: DataFrame, sketch: DataFrame, percent: int, k: int) -> DataFrame:
-    """(key, block, a, b): pairs of a long list that lie in different components so far and that sketches do not rule out.
-
-    Members of a list's largest component go to one block each; the others, which may
-    link with any member, go to all blocks of the list.  A pair that shares several lists
-    comes out of the one with the smallest key alone.
+    Lists that share members form a cluster.  Within it, sizes fall into bands, each
+    wider by the threshold's inverse, so that only neighbouring bands can link.  Members
+    go to one block of their band; those outside the cluster's largest component, which
+    may link with any member, are dealt against all blocks of the bands around theirs.
+    A task compares the sketches of a block, and packs the pairs that may link in one
+    row; a second task gets each full set of these once and returns links alone.
     """
     placed = members.join(found, members["a"] == found["node"], "left").select("key", "a", F.coalesce("component", "a").alias("component"))
-    per = placed.groupBy("key", "component").agg(F.count("*").alias("n"))
-    mixed = per.groupBy("key").agg(F.sum("n").alias("size"), F.max_by("component", F.struct("n", "component")).alias("big"), F.count("*").alias("pieces")).where("pieces > 1")
-    rows = materialise(placed.join(mixed.select("key", "size", "big"), "key"))
-    lists = rows.groupBy("a").agg(F.array_sort(F.collect_list("key")).alias("lists"))
-    blocks_of = F.ceil(F.col("size") / BLOCK).cast("int")
-    own = F.pmod(F.xxhash64("a"), blocks_of).cast("int")
-    to = F.when(F.col("component") == F.col("big"), F.array("own")).otherwise(F.sequence(F.lit(0), blocks_of - 1))
-    dealt = (
-        rows.withColumn("own", own)
-        .join(lists, "a")
-        .join(sketch.select(F.col("doc_id").alias("a"), "n", "sketch"), "a")
-        .select("key", "a", "component", "n", "sketch", "lists", "own", (F.col("component") != F.col("big")).alias("minor"), F.explode(to).alias("block"))
+    mixed = placed.groupBy("key").agg(F.min("a").alias("b"), F.min("component").alias("lo"), F.max("component").alias("hi")).where("lo <> hi").select("key", "b")
+    rows = materialise(placed.join(mixed, "key"))
+    if rows.isEmpty():
+        return rows.select("a", "b")
+    cluster = connected(rows.select("a", "b").distinct())
+    step = F.floor(F.log("n") / F.log(F.lit(100.0 / percent))).cast("int")
+    sized = sketch.select(F.col("doc_id").alias("a"), step.alias("band"))
+    parts = materialise(rows.select("a", "component").distinct().join(cluster.select(F.col("node").alias("a"), F.col("component").alias("cluster")), "a").join(sized, "a"))
+    big = parts.groupBy("cluster", "component").agg(F.count("*").alias("n")).groupBy("cluster").agg(F.max_by("component", F.struct("n", "component")).alias("big"))
+    known = materialise(parts.join(big, "cluster").withColumn("minor", F.col("component") != F.col("big")))
+    right = known.select("cluster", "band", "a", "component", "minor", F.lit(False).alias("first"))
+    left = known.where("minor").select("cluster", F.explode(F.array(F.col("band") - 1, F.col("band"), F.col("band") + 1)).alias("band"), "a", "component", "minor", F.lit(True).alias("first"))
+    both = right.union(left)
+    count = lambda c: F.ceil(F.sum(c.cast("int")) / BLOCK).cast("int")
+    shape = both.groupBy("cluster", "band").agg(count(F.col("first")).alias("lefts"), count(~F.col("first")).alias("rights")).where("lefts > 0 and rights > 0")
+    own, other = F.when(F.col("first"), F.col("lefts")).otherwise(F.col("rights")), F.when(F.col("first"), F.col("rights")).otherwise(F.col("lefts"))
+    spread = (
+        both.join(shape, ["cluster", "band"])
+        .withColumn("own", F.pmod(F.xxhash64("a"), own).cast("int"))
+        .withColumn("other", F.explode(F.sequence(F.lit(0), other - 1)))
+        .withColumns({"i": F.when(F.col("first"), F.col("own")).otherwise(F.col("other")), "j": F.when(F.col("first"), F.col("other")).otherwise(F.col("own"))})
     )
+    slim = spread.select("cluster", "band", "i", "j", "first", "minor", "component", "a").join(sketch.select(F.col("doc_id").alias("a"), "n", "sketch"), "a")
 
-    def run(group: pa.Table) -> pa.Table:
-        key, block = group["key"][0].as_py(), group["block"][0].as_py()
-        ids, comp, n = (group[c].to_numpy() for c in ("a", "component", "n"))
-        left = np.flatnonzero(group["minor"].to_numpy(zero_copy_only=False))
-        right = np.flatnonzero(group["own"].to_numpy() == block)
-        a, b = [np.zeros(0, np.int64)], [np.zeros(0, np.int64)]
+    def compare(group: pa.Table) -> pa.Table:
+        first = group["first"].to_numpy(zero_copy_only=False)
+        ids, comp, minor, n = (group[c].to_numpy(zero_copy_only=False) for c in ("a", "component", "minor", "n"))
+        left, right = np.flatnonzero(first), np.flatnonzero(~first)
         raw = [np.frombuffer(x, np.uint64) for x in group["sketch"].to_pylist()]
-        values, at = np.unique(np.concatenate(raw), return_inverse=True)
-        row = np.repeat(np.arange(len(raw)), [len(x) for x in raw])
-        earlier = [[x for x in held if x < key] for held in group["lists"].to_pylist()]
-        list_row = np.repeat(np.arange(len(raw)), [len(x) for x in earlier])
-        list_ids, list_at = np.unique(np.array([x for held in earlier for x in held], np.int64), return_inverse=True)
-        for start in range(0, len(left), BLOCK):
-            some = left[start : start + BLOCK]
-            shared = np.zeros((len(some), len(right)), np.float32)
-            for low in range(0, len(values), 8192):
-                use = (at >= low) & (at < low + 8192)
-                shared += _incidence(row[use], at[use] - low, some, len(raw), 8192) @ _incidence(row[use], at[use] - low, right, len(raw), 8192).T
-            before = np.zeros_like(shared)
-            for low in range(0, len(list_ids), 8192):
-                use = (list_at >= low) & (list_at < low + 8192)
-                before += _incidence(list_row[use], list_at[use] - low, some, len(raw), 8192) @ _incidence(list_row[use], list_at[use] - low, right, len(raw), 8192).T
-            held = np.array([min(len(x), k) for x in raw])
-            union = np.minimum(k, held[some][:, None] + held[right][None, :] - shared)
-            size = n[some][:, None].astype(np.float64), n[right][None, :].astype(np.float64)
-            good = (shared >= (percent / 100 - SLACK) * union) & (before == 0)
-            good &= (comp[some][:, None] != comp[right][None, :]) & (100 * np.minimum(*size) >= percent * np.maximum(*size))
-            minor = np.isin(right, left)
-            good &= ~minor[None, :] | (ids[some][:, None] < ids[right][None, :])
-            x, y = np.nonzero(good)
-            a.append(np.minimum(ids[some[x]], ids[right[y]]))
-            b.append(np.maximum(ids[some[x]], ids[right[y]]))
-        a, b = np.concatenate(a), np.concatenate(b)
-        return pa.table([pa.array(np.full(len(a), key)), pa.array(np.full(len(a), block, np.int32)), pa.array(a), pa.array(b)], names=["key", "block", "a", "b"])
-
-    return dealt.groupBy("key", "block").applyInArrow(run, "key long, block int, a long, b long")
-
-
-def rest_links(pairs: DataFrame, full: DataFrame, percent: int) -> DataFrame:
-    """The pairs of lists' blocks whose full sets reach the threshold; a block gets each set once."""
-    wanted = pairs.select("key", "block", F.col("a").alias("doc_id")).union(pairs.select("key", "block", "b")).distinct()
-    sets = wanted.select(F.col("key").alias("of_key"), F.col("block").alias("of_block"), "doc_id").join(full, "doc_id")
-
-    def run(group: pa.Table, held: pa.Table) -> pa.Table:
-        of = {i: np.frombuffer(x.as_buffer(), np.uint64) for i, x in zip(held["doc_id"].to_pylist(), held["set"], strict=True)}
-        good = [_linked(of[a], of[b], percent) for a, b in zip(group["a"].to_pylist(), group["b"].to_pylist(), strict=True)]
-        return group.select(["a", "b"]).filter(pa.array(good, pa.bool_()))
-
-    return pairs.groupBy("key", "block").cogroup(sets.groupBy("of_key", "of_block")).applyInArrow(run, "a long, b long")
+        shared = _shared([raw[i] for i in left], [raw[i] for i in right])
+        held = np.array([min(len(x), k) for x in raw])
+        union = np.minimum(k, held[left][:, None] + held[right][None, :] - shared)
+        size = n[left][:, None].astype(np.float64), n[right][None, :].astype(np.float64)
+        good = (shared >= (percent / 100 - SLACK) * union) & (100 * np.minimum(*size) >= percent * np.maximum(*size))
+        good &= (comp[left][:, None] != comp[right][None, :]) & (~minor[right][None, :] | (ids[left][:, None] < ids[right][None, :]))
+        x, y = np.nonzero(good)
+        a, b = ids[left[x]], ids[right[y]]
+        key = [group[c][0].as_py() for c in ("cluster", "band", "i", "j")] if len(a) else None
+        rows = [(*key, a.tobytes(), b.tobytes(), np.union1d(a, b).tolist())] if key else []
+        kinds = (pa.int64(), pa.int32(), pa.int32(), pa.int32(), pa.binary(), pa.binary(), pa.list_(pa.int64()))
+        columns = zip(*rows, strict=True) if rows else [[] for _ in kinds]
+        return pa.table([pa.array(c, t) for c, t in zip(columns, kinds, strict=True)], names=["cluster", "band", "i", "j", "a", "b", "docs"])
+
+    near = materialise(slim.groupBy("cluster", "band", "i", "j").applyInArrow(compare, "cluster long, band int, i int, j int, a binary, b binary, docs array<long>"))
+    wanted = near.select(F.col("cluster").alias("c"), F.col("band").alias("d"), F.col("i").alias("x"), F.col("j").alias("y"), F.explode("docs").alias("doc_id"))
+
+    def verify(group: pa.Table, held: pa.Table) -> pa.Table:
+        ids = held["doc_id"].to_numpy()
+        sets = dict(zip(ids.tolist(), (np.frombuffer(x.as_buffer(), np.uint64) for x in held["set"]), strict=True))
+        out_a, out_b = [np.zeros(0, np.int64)], [np.zeros(0, np.int64)]
+        for raw_a, raw_b in zip(group["a"].to_pylist(), group["b"].to_pylist(), strict=True):
+            a, b = np.frombuffer(raw_a, np.int64), np.frombuffer(raw_b, np.int64)
+            left, x = np.unique(a, return_inverse=True)
+            right, y = np.unique(b, return_inverse=True)
+            one, two = [sets[i] for i in left.tolist()], [sets[i] for i in right.tolist()]
+            shared = _shared(one, two)[x, y].astype(np.float64)
+            total = np.array([len(s) for s in one])[x] + np.array([len(s) for s in two])[y] - shared
+            good = 100.0 * shared >= percent * total
+            out_a.append(np.minimum(a, b)[good])
+            out_b.append(np.maximum(a, b)[good])
+        return pa.table([pa.array(np.concatenate(out_a)), pa.array(np.concatenate(out_b))], names=["a", "b"])
+
+    sets = wanted.join(full, "doc_id")
+    return near.groupBy("cluster", "band", "i", "j").cogroup(sets.groupBy("c", "d", "x", "y")).applyInArrow(verify, "a long, b long")
+
+
+def _shared(left: list[np.ndarray], right: list[np.ndarray]) -> np.ndarray:
+    """Numbers of values that each left set shares with each right set."""
+    values, row, at = _in_common([*left, *right])
+    out = np.zeros((len(left), len(right)), np.float32)
+    for low in range(0, values, WIDTH):
+        a, b = np.searchsorted(at, (low, low + WIDTH))
+        m = np.zeros((len(left) + len(right), WIDTH), np.float32)
+        m[row[a:b], at[a:b] - low] = 1
+        out += m[: len(left)] @ m[len(left) :].T
+    return out
+
+
+def _in_common(raw: list[np.ndarray]) -> tuple[int, np.ndarray, np.ndarray]:
+    """Of sets: how many values are in two or more, and (set, number of such a value), ordered by number."""
+    flat = np.concatenate(raw) if raw else np.zeros(0, np.uint64)
+    row = np.repeat(np.arange(len(raw)), [len(x) for x in raw])
+    order = np.argsort(flat, kind="stable")
+    flat, row = flat[order], row[order]
+    edges = _runs(flat)
+    length = np.diff(edges)
+    number = np.cumsum(length >= 2) - 1
+    keep = np.repeat(length >= 2, length)
+    return int((length >= 2).sum()), row[keep], np.repeat(number, length)[keep]
 
 
 def near_duplicates(docs: DataFrame, words: int = 5, percent: int = 80, k: int = K) -> DataFrame:
@@ -329,11 +350,9 @@ def near_duplicates(docs: DataFrame, words: int = 5, percent: int = 80, k: int =
     members = listed.where("key is not null").select("key", "a").distinct()
     full = materialise(full_sets(docs, pairs.select(F.col("a").alias("doc_id")).union(pairs.select("b")).union(members.select("a")), words))
     found = connected(materialise(verified(pairs, full, percent).union(doubles)))
-    rest = materialise(rest_pairs(members, found, single, percent, k))
-    if not rest.isEmpty():
-        more = materialise(rest_links(rest, full, percent))
-        if not more.isEmpty():
-            found = connected(found.select(F.col("node").alias("a"), F.col("component").alias("b")).union(more))
+    more = materialise(rest_links(members, found, single, full, percent, k))
+    if not more.isEmpty():
+        found = connected(found.select(F.col("node").alias("a"), F.col("component").alias("b")).union(more))
     labelled = groups.join(found, F.col("rep") == F.col("node"), "left").select("n", "d1", "d2", F.coalesce("component", "rep").alias("component"))
     return (
         sketch.join(labelled, ["n", "d1", "d2"], "left")
