@@ -10,10 +10,11 @@ from .quality import op3_quality
 from .rules import op8_quality_rules
 from .substring import op10_substring
 from .toxicity import op1_toxicity
+from .vectors import op7_vectors
 
 QUERIES = {
     f.__name__: f
-    for f in (op1_toxicity, op2_mixing, op3_quality, op4_minhash, op6_packing, op8_quality_rules, op9_personal_data, op10_substring)
+    for f in (op1_toxicity, op2_mixing, op3_quality, op4_minhash, op6_packing, op7_vectors, op8_quality_rules, op9_personal_data, op10_substring)
 }
 
 ORACLES: dict[str, str] = {}
