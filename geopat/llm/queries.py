@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+from .lines import op5_line_dedup
 from .mixing import op2_mixing
 from .neardup import op4_minhash
 from .packing import op6_packing
@@ -14,7 +15,7 @@ from .vectors import op7_vectors
 
 QUERIES = {
     f.__name__: f
-    for f in (op1_toxicity, op2_mixing, op3_quality, op4_minhash, op6_packing, op7_vectors, op8_quality_rules, op9_personal_data, op10_substring)
+    for f in (op1_toxicity, op2_mixing, op3_quality, op4_minhash, op5_line_dedup, op6_packing, op7_vectors, op8_quality_rules, op9_personal_data, op10_substring)
 }
 
 ORACLES: dict[str, str] = {}
