@@ -9,7 +9,7 @@ most a quarter of the shared values cannot cut them all; sets of four and five a
 list runs of two), and fail to with a chance under 1e-9 when cut at 64.  Runs, unlike
 single values, are rare among documents that merely share common words.
 
-Short lists give all their pairs of fitting sizes.  A long list gives pairs with three
+Short lists give all their pairs of fitting sizes.  A long list gives pairs with two
 pivots; members that these leave in different components are then compared in blocks
 inside tasks, and only links come out.  Every candidate passes the estimate from the
 sketch of the union (a filter five standard errors wide) and then exact comparison of
@@ -40,6 +40,8 @@ RUN = 3
 SHORT = 24
 PIVOTS = 3
 BLOCK = 512
+#: Values that the sets of one side of a block may have in all.
+BLOCK_VALUES = 400_000
 #: Shared values counted at a time.
 WIDTH = 4096
 #: Pairs whose sketches estimate a similarity this far below the threshold are not verified.
@@ -255,7 +257,8 @@ def rest_links(members: DataFrame, found: DataFrame, sketch: DataFrame, full: Da
     right = known.select("cluster", "band", "a", "component", "minor", F.lit(False).alias("first"))
     left = known.where("minor").select("cluster", F.explode(F.array(F.col("band") - 1, F.col("band"), F.col("band") + 1)).alias("band"), "a", "component", "minor", F.lit(True).alias("first"))
     both = right.union(left)
-    count = lambda c: F.ceil(F.sum(c.cast("int")) / BLOCK).cast("int")
+    room = F.greatest(F.lit(8), F.least(F.lit(BLOCK), F.floor(BLOCK_VALUES / F.pow(F.lit(100.0 / percent), F.col("band") + 1))))
+    count = lambda c: F.ceil(F.sum(c.cast("int")) / F.first(room)).cast("int")
     shape = both.groupBy("cluster", "band").agg(count(F.col("first")).alias("lefts"), count(~F.col("first")).alias("rights")).where("lefts > 0 and rights > 0")
     own, other = F.when(F.col("first"), F.col("lefts")).otherwise(F.col("rights")), F.when(F.col("first"), F.col("rights")).otherwise(F.col("lefts"))
     spread = (
@@ -323,12 +326,12 @@ def _shared(left: list[np.ndarray], right: list[np.ndarray]) -> np.ndarray:
 def _in_common(raw: list[np.ndarray]) -> tuple[int, np.ndarray, np.ndarray]:
     """Of sets: how many values are in two or more, and (set, number of such a value), ordered by number."""
     flat = np.concatenate(raw) if raw else np.zeros(0, np.uint64)
-    row = np.repeat(np.arange(len(raw)), [len(x) for x in raw])
+    row = np.repeat(np.arange(len(raw), dtype=np.int32), [len(x) for x in raw])
     order = np.argsort(flat, kind="stable")
     flat, row = flat[order], row[order]
     edges = _runs(flat)
     length = np.diff(edges)
-    number = np.cumsum(length >= 2) - 1
+    number = np.cumsum(length >= 2, dtype=np.int32) - 1
     keep = np.repeat(length >= 2, length)
     return int((length >= 2).sum()), row[keep], np.repeat(number, length)[keep]
 
