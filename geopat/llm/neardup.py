@@ -38,7 +38,7 @@ K = 64
 RUN = 3
 #: Lists up to this length give all pairs.
 SHORT = 24
-PIVOTS = 3
+PIVOTS = 2
 BLOCK = 512
 #: Values that the sets of one side of a block may have in all.
 BLOCK_VALUES = 400_000
