@@ -36,6 +36,11 @@ def words_in(text: str = "text") -> Column:
     return F.coalesce(F.regexp_count(F.col(text), F.lit(WORD)), F.lit(0)).cast("long")
 
 
+def exact_sum(value: Column) -> Column:
+    """A sum to six decimals that does not depend on the order of rows, so that reruns agree to the last bit."""
+    return F.sum(value.cast("decimal(38,6)")).cast("double")
+
+
 def targets(sizes: DataFrame, weights: tuple[float, ...] = WEIGHTS, cap: int = CAP) -> DataFrame:
     """(source, source_size, weight, target) from (source, source_size).
 
@@ -81,8 +86,8 @@ def multipliers(by_size: DataFrame, aims: DataFrame, cap: int = CAP, steps: int
             .join(moving, F.col("of").eqNullSafe(F.col("source")))
             .groupBy("source")
             .agg(
-                F.sum(words * F.least(rate, F.lit(float(cap)))).alias("taken"),
-                F.sum(F.when(rate < cap, words * rate * F.col("size") / F.col("mean_size")).otherwise(0.0)).alias("slope"),
+                exact_sum(words * F.least(rate, F.lit(float(cap)))).alias("taken"),
+                exact_sum(F.when(rate < cap, words * rate * F.col("size") / F.col("mean_size")).otherwise(0.0)).alias("slope"),
             )
             .withColumnRenamed("source", "of")
         )
