@@ -131,7 +131,7 @@ def pack(nodes: DataFrame, group: list[str]) -> DataFrame:
 def frequent(
     nodes: DataFrame, group: list[str], min_support: float | None = None, max_nodes: int = 7, kind: str = "embedded", siblings: str = "disjoint", ordered: bool = False
 ) -> DataFrame:
-    """(group, shape, size, root_label, support_count, trees, support): shapes in enough trees of their group.
+    """(group, shape, size, root_label, support_count, trees, support): shapes of two or more nodes in enough trees of their group.
 
     `min_support` None takes the adaptive one of each group.  Trees stay where they are;
     a level shuffles counts of shapes only, and sends the (few) frequent ones back.
