@@ -8,7 +8,9 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from geopat.operators import cluster, describe, forest, influence, lasting, mine, relate
-from geopat.sources.entities import ENTITY_SQL, entities, read
+from geopat.plans.scratch import written
+from geopat.sources.entities import ENTITY_SQL, read
+from geopat.sources.entities import entities as adapted
 
 Query = Callable[[SparkSession, str], DataFrame]
 QUERIES: dict[str, Query] = {}
@@ -18,6 +20,11 @@ ORACLES: dict[str, str] = {}
 PAPER, DENSE, DENSER = (10, 40), (60, 240), (120, 480)
 
 
+def entities(spark: SparkSession, d: str) -> DataFrame:
+    """The entity table, written once a query: joins read it several times, and plan better from a table than from the adapter."""
+    return written(adapted(spark, d))
+
+
 def query(name: str, sql: str | None = None) -> Callable[[Query], Query]:
     def keep(f: Query) -> Query:
         QUERIES[name] = f
