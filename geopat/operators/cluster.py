@@ -5,9 +5,12 @@ from __future__ import annotations
 import math
 
 import numpy as np
+import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from geopat.plans.ship import ship
+
 
 def lloyd_1d(df: DataFrame, column: str, k: int, rounds: int = 12) -> list[float]:
     """Sorted centres of a column.  Starts are the (i + 1/2)/k quantiles; ties go to the lower centre.
@@ -86,3 +89,44 @@ def state_groups(vectors: DataFrame, ks: range = range(2, 11)) -> DataFrame:
         best = min(sound, key=sound.get) if sound else None
         rows = [(k, int(s), int(c), round(length, 6), bad, k == best) for k, (labels, length, bad) in runs.items() for s, c in zip(wide.index, labels, strict=True)]
     return spark.createDataFrame(rows, "k int, state long, cluster int, length double, degenerate boolean, best boolean")
+
+
+def vector_kmeans(df: DataFrame, id_col: str, vector: str, k: int, rounds: int = 8) -> DataFrame:
+    """(id, cluster) by Lloyd rounds from the vectors of the k smallest ids; ties go to the lower centre.
+
+    A round sends back one row of sums per batch and centre, combined in Spark; k centres reach the driver.
+    """
+    ship(df.sparkSession)
+    rows = df.select(F.col(id_col).alias("id"), F.col(vector).alias("v"))
+    centres = np.array([r.v for r in rows.orderBy("id").limit(k).collect()], dtype=float)
+    if not len(centres):
+        return rows.select("id", F.lit(0).alias("cluster"))
+
+    def nearest(block: np.ndarray, c: np.ndarray) -> np.ndarray:
+        return ((c * c).sum(axis=1)[None, :] - 2 * block @ c.T).argmin(axis=1)
+
+    for _ in range(rounds):
+        def sums(batches, c=centres):  # noqa: ANN001, ANN202
+            for b in batches:
+                block = np.array(b["v"].tolist(), dtype=float).reshape(len(b), c.shape[1])
+                at = nearest(block, c)
+                yield pd.DataFrame([(int(i), int((at == i).sum()), block[at == i].sum(axis=0).tolist()) for i in np.unique(at)], columns=["c", "n", "s"])
+
+        part = rows.mapInPandas(sums, "c int, n long, s array<double>").select("c", "n", F.posexplode("s").alias("i", "x")).groupBy("c", "i").agg(F.sum("n").alias("n"), F.sum("x").alias("x"))
+        for r in part.collect():  # k x d sums
+            centres[r.c, r.i] = r.x / r.n
+
+    def assign(batches, c=centres):  # noqa: ANN001, ANN202
+        for b in batches:
+            yield pd.DataFrame({"id": b["id"], "cluster": nearest(np.array(b["v"].tolist(), dtype=float).reshape(len(b), c.shape[1]), c)})
+
+    return rows.mapInPandas(assign, f"id {dict(rows.dtypes)['id']}, cluster int")
+
+
+def library_kmeans(df: DataFrame, id_col: str, vector: str, k: int, rounds: int = 8) -> DataFrame:
+    """(id, cluster) by the library's K-Means, the alternative to the rounds above."""
+    from pyspark.ml.clustering import KMeans
+    from pyspark.ml.functions import array_to_vector
+
+    rows = df.select(F.col(id_col).alias("id"), array_to_vector(vector).alias("features"))
+    return KMeans(k=k, maxIter=rounds, seed=1).fit(rows).transform(rows).select("id", F.col("prediction").alias("cluster"))

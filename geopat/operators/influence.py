@@ -64,3 +64,38 @@ t0 as ({each}),
 t1 as (select *, case when n > 1 and t is not null then 0.5 * {part("atan(abs(t) / sqrt(df))")} / ({part("0.0")}) end tail from t0),
 t as (select bucket, test, n, t, df, case when t >= 0 then tail else 1 - tail end p from t1)
 """
+
+
+def contrast(counts: DataFrame, bucket: Column) -> DataFrame:
+    """(bucket, t3 .. t6, construction): confidence of the before and after tests side by side, and the share of construction."""
+    tested = tests(counts, [bucket.alias("bucket")]).groupBy("bucket").pivot("test", ["T3", "T4", "T5", "T6"]).agg(F.max(F.round(1 - F.col("p"), 6)))
+    share = counts.groupBy(bucket.alias("bucket")).agg(F.round(F.avg(F.when(F.col("type") == "construction", 1.0).otherwise(0.0)), 6).alias("construction"))
+    return tested.join(share, "bucket").select("bucket", *[F.col(t).alias(t.lower()) for t in ("T3", "T4", "T5", "T6")], "construction")
+
+
+def sign(tested: DataFrame, least: float = 0.9) -> DataFrame:
+    """(bucket, positive, negative): whether any test of that direction reaches the confidence."""
+    reach = lambda names: F.coalesce(F.max(F.when(F.col("test").isin(*names), 1 - F.col("p"))) >= least, F.lit(False))
+    return tested.groupBy("bucket").agg(reach(("T1", "T3", "T5")).alias("positive"), reach(("T2", "T4", "T6")).alias("negative"))
+
+
+def two_sample(df: DataFrame, value: str, first: Column, second: Column) -> DataFrame:
+    """(flavour, n_x, n_y, t, df, p) of one-sided tests that the first group's mean is above the second's, pooled and Welch."""
+    v = F.col(value).cast("double")
+    m = df.agg(*[f(F.when(g, v)).alias(f"{n}{s}") for s, g in (("x", first), ("y", second)) for n, f in (("n", F.count), ("m", F.avg), ("v", F.var_samp))])
+    nx, ny, vx, vy = (F.col(c) for c in ("nx", "ny", "vx", "vy"))
+    a, b = vx / nx, vy / ny
+    pooled = ((nx - 1) * vx + (ny - 1) * vy) / (nx + ny - 2)
+    kinds = [("pooled", pooled * (1 / nx + 1 / ny), (nx + ny - 2).cast("double")), ("welch", a + b, (a + b) * (a + b) / (a * a / (nx - 1) + b * b / (ny - 1)))]
+    each = F.array(*[F.struct(F.lit(k).alias("flavour"), ((F.col("mx") - F.col("my")) / F.sqrt(s)).alias("t"), f.alias("df")) for k, s, f in kinds])
+    return m.select("nx", "ny", F.inline(each)).select("flavour", F.col("nx").alias("n_x"), F.col("ny").alias("n_y"), F.round("t", 6).alias("t"), F.round("df", 4).alias("df"), F.round(t_upper(F.col("t"), F.col("df")), 6).alias("p"))
+
+
+def two_sample_sql(source: str) -> str:
+    """The same for DuckDB; `source` gives g (1 or 0) and v."""
+    part = lambda lo: f"list_sum(list_transform(range(0, {PANELS + 1}), lambda i: (case when i = 0 or i = {PANELS} then 1.0 when i % 2 = 1 then 4.0 else 2.0 end) * pow(greatest(0, cos({lo} + (pi() / 2 - {lo}) / {PANELS} * i)), df - 1))) * (pi() / 2 - {lo})"
+    return f"""with m as (select count(v) filter (g = 1) nx, count(v) filter (g = 0) ny, avg(v) filter (g = 1) mx, avg(v) filter (g = 0) my, var_samp(v) filter (g = 1) vx, var_samp(v) filter (g = 0) vy from ({source})),
+k as (select 'pooled' flavour, nx, ny, (mx - my) / sqrt(((nx - 1) * vx + (ny - 1) * vy) / (nx + ny - 2) * (1 / nx + 1 / ny)) t, (nx + ny - 2)::double df from m
+union all select 'welch', nx, ny, (mx - my) / sqrt(vx / nx + vy / ny), pow(vx / nx + vy / ny, 2) / (pow(vx / nx, 2) / (nx - 1) + pow(vy / ny, 2) / (ny - 1)) from m),
+q as (select *, 0.5 * {part("atan(abs(t) / sqrt(df))")} / ({part("0.0")}) tail from k)
+select flavour, nx n_x, ny n_y, round(t, 6) t, round(df, 4) df, round(case when t >= 0 then tail else 1 - tail end, 6) p from q"""

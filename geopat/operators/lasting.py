@@ -2,12 +2,13 @@
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from geopat.functions.geo import MILE_M, haversine
 from geopat.plans.components import components
 from geopat.plans.rangejoin import buckets
+from geopat.plans.scratch import written
 
 RADIUS = 14.03 * MILE_M
 DAY = 86_400_000_000
@@ -53,43 +54,117 @@ def conflicts(lasting: DataFrame, radius: float = RADIUS) -> DataFrame:
     return by_station.select(*out).union(by_radius.select(*out))
 
 
-def fuse_components(lasting: DataFrame, pairs: DataFrame) -> DataFrame:
-    """Fused entities: one per component of conflicts, with the union of times, the centre, and the sorted types joined."""
-    found = components(pairs)
+def _fused(lasting: DataFrame, found: DataFrame) -> DataFrame:
+    """Fused entities of the groups (node, component); entities in none stand alone."""
     rows = lasting.join(found, F.col("entity_id") == F.col("node"), "left").withColumn("id", F.coalesce("component", "entity_id"))
     return rows.groupBy("id").agg(
-        F.min("start_us").alias("start_us"), F.max("end_us").alias("end_us"), F.array_join(F.array_sort(F.collect_set("type")), "_").alias("type"), F.count("*").alias("members"),
+        F.min("start_us").alias("start_us"), F.max("end_us").alias("end_us"), F.array_join(F.array_sort(F.collect_set("type")), "_").alias("type"), F.count("*").alias("members"), F.max("kind").alias("kind"),
         F.min_by("station", F.struct("start_us", "entity_id")).alias("station"), F.min_by("state", F.struct("start_us", "entity_id")).alias("state"),
         F.avg(F.when(F.col("kind") == "traffic", F.col("lat"))).alias("lat"), F.avg(F.when(F.col("kind") == "traffic", F.col("lon"))).alias("lon"),
     )
 
 
-def halo_counts(lasting: DataFrame, df: DataFrame, radius: float = RADIUS, week: int = 7 * DAY, edge: str = "keep") -> DataFrame:
-    """(long_id, state, type, kind, span_us, n_during, n_before, n_after): traffic that starts after and ends before the window's ends.
+def fuse_components(lasting: DataFrame, pairs: DataFrame) -> DataFrame:
+    """Fused entities: one per component of conflicts, with the union of times, the centre, and the sorted types joined.
+
+    A fused entity with a weather member counts as weather, so it meets others by station.
+    """
+    return _fused(lasting, components(pairs))
+
+
+def fuse_fixpoint(lasting: DataFrame, radius: float = RADIUS, most_rounds: int = 20) -> DataFrame:
+    """Components fused again, with their wider times and new centres, until no two fused entities conflict."""
+    lasting = written(lasting)
+    found = written(components(conflicts(lasting, radius)))
+    for _ in range(most_rounds):
+        again = written(conflicts(_fused(lasting, found).withColumnRenamed("id", "entity_id"), radius))
+        if again.isEmpty():
+            return _fused(lasting, found)
+        merged = components(again).withColumnRenamed("node", "old").withColumnRenamed("component", "new")
+        whole = lasting.select(F.col("entity_id").alias("node")).join(found, "node", "left").select("node", F.coalesce("component", "node").alias("old"))
+        found = written(whole.join(merged, "old", "left").select("node", F.coalesce("new", "old").alias("component")))
+    raise RuntimeError(f"fusion did not settle in {most_rounds} rounds")
+
+
+def fuse_greedy(lasting: DataFrame, pairs: DataFrame, most_rounds: int = 1000) -> DataFrame:
+    """One pass in order of start and id: an entity not yet taken is a seed, and takes its later conflicts that no earlier seed took.
+
+    The pass is decided in parallel: a round settles every entity whose earlier conflicts are settled,
+    or of which one is a seed; what is left of a chain of conflicts bounds the rounds, not the number of entities.
+    """
+    at = lasting.select("entity_id", F.struct("start_us", "entity_id").alias("at"))
+    both = pairs.join(at.select(F.col("entity_id").alias("a"), F.col("at").alias("a_at")), "a").join(at.select(F.col("entity_id").alias("b"), F.col("at").alias("b_at")), "b")
+    swap = F.col("a_at") > F.col("b_at")
+    edges = written(both.select(F.when(swap, F.col("b")).otherwise(F.col("a")).alias("first"), F.when(swap, F.col("a")).otherwise(F.col("b")).alias("later"), F.least("a_at", "b_at").alias("first_at")))
+    state = written(edges.select(F.col("first").alias("node")).union(edges.select("later")).distinct().withColumn("s", F.lit(0)))
+    for _ in range(most_rounds):
+        before = edges.join(state.select(F.col("node").alias("first"), F.col("s").alias("fs")), "first").groupBy(F.col("later").alias("node")).agg(F.count_if(F.col("fs") == 1).alias("seeds"), F.count_if(F.col("fs") == 0).alias("open"))
+        settled = F.when(F.col("s") != 0, F.col("s")).when(F.coalesce("seeds", F.lit(0)) > 0, 2).when(F.coalesce("open", F.lit(0)) == 0, 1).otherwise(0)
+        state = written(state.join(before, "node", "left").select("node", settled.alias("s")))
+        if state.where("s = 0").isEmpty():
+            break
+    else:
+        raise RuntimeError(f"the pass did not settle in {most_rounds} rounds")
+    seeds = state.where("s = 1").select(F.col("node").alias("first"))
+    taken = edges.join(seeds, "first", "left_semi").groupBy(F.col("later").alias("node")).agg(F.min_by("first", "first_at").alias("component"))
+    return _fused(lasting, taken)
+
+
+def type_table(before: DataFrame, after: DataFrame, top: int = 15) -> DataFrame:
+    """(rank, type_before, n_before, type_after, n_after): the commonest types before and after fusion, side by side; ties by name."""
+    order = Window.partitionBy(F.lit(1)).orderBy(F.desc("n"), "type")  # types are few
+    ranked = lambda df, t: df.groupBy("type").agg(F.count("*").alias("n")).withColumn("rank", F.row_number().over(order).cast("long")).where(F.col("rank") <= top).select("rank", F.col("type").alias(f"type_{t}"), F.col("n").alias(f"n_{t}"))
+    return ranked(before, "before").join(ranked(after, "after"), "rank", "full")
+
+
+def _shift(week: int, rule: str) -> Column:
+    """How far the windows before and after lie from the one during: a week and the duration, as it is or in whole days."""
+    span = F.col("end_us") - F.col("start_us")
+    return week + {"exact": span, "ceil": F.ceil(span / DAY) * DAY, "floor": F.floor(span / DAY) * DAY}[rule]
+
+
+def _kept(lasting: DataFrame, df: DataFrame, shift: Column, edge: str) -> DataFrame:
+    if edge != "complete":
+        return lasting
+    ends = df.agg(F.min("start_us").alias("first_us"), F.max("end_us").alias("last_us"))
+    return lasting.crossJoin(F.broadcast(ends)).where((F.col("start_us") - shift >= F.col("first_us")) & (F.col("end_us") + shift <= F.col("last_us")))  # one row
+
+
+def halo_members(lasting: DataFrame, df: DataFrame, radius: float = RADIUS, week: int = 7 * DAY, edge: str = "keep", shift: str = "exact", counted: str = "traffic") -> DataFrame:
+    """(long_id, which, entity_id): entities that start after and end before the ends of a window (during, before, after).
 
     The three windows are one tagged table joined once, by cell or station and day of start.
-    `edge` complete keeps lasting entities whose shifted windows lie within the data.
+    `edge` complete keeps lasting entities whose shifted windows lie within the data; `counted` all
+    counts weather too, by station.  Lasting entities are never counted.
     """
     s, e = F.col("start_us"), F.col("end_us")
-    shift = week + (e - s)
+    shift = _shift(week, shift)
     x, y = _cell(F.col("lat"), F.col("lon"), radius)
-    keep = lasting
-    if edge == "complete":
-        ends = df.agg(F.min("start_us").alias("first_us"), F.max("end_us").alias("last_us"))
-        keep = lasting.crossJoin(F.broadcast(ends)).where((s - shift >= F.col("first_us")) & (e + shift <= F.col("last_us")))  # one row
+    keep = _kept(lasting, df, shift, edge)
     tags = F.array(*[F.struct(F.lit(n).alias("which"), (s + k * shift).alias("lo"), (e + k * shift).alias("hi")) for n, k in (("during", 0), ("before", -1), ("after", 1))])
     windows = keep.select(F.col("entity_id").alias("long_id"), F.col("kind").alias("w_kind"), F.col("lat").alias("w_lat"), F.col("lon").alias("w_lon"), F.col("station").alias("w_station"), x.alias("w_x"), y.alias("w_y"), F.inline(tags))
     windows = windows.withColumn("w_day", F.explode(buckets(F.col("lo"), F.col("hi"), DAY)))
-    traffic = df.where("kind = 'traffic'").join(lasting.select("entity_id"), "entity_id", "left_anti").select("start_us", "end_us", "lat", "lon", "station", x.alias("x"), y.alias("y"), F.floor(s / DAY).alias("day"))
+    others = df if counted == "all" else df.where("kind = 'traffic'")
+    others = others.join(lasting.select("entity_id"), "entity_id", "left_anti").select("entity_id", "kind", "start_us", "end_us", "lat", "lon", "station", x.alias("x"), y.alias("y"), F.floor(s / DAY).alias("day"))
     inside = (s > F.col("lo")) & (e < F.col("hi")) & (F.col("day") == F.col("w_day"))
     near = F.array(*[F.struct(F.lit(i).alias("i"), F.lit(j).alias("j")) for i in (-1, 0, 1) for j in (-1, 0, 1)])
     wide = windows.where("w_kind = 'traffic'").withColumn("n", F.explode(near)).withColumns({"w_x": F.col("w_x") + F.col("n.i"), "w_y": F.col("w_y") + F.col("n.j")})
     close = haversine(F.col("lat"), F.col("lon"), F.col("w_lat"), F.col("w_lon")) <= radius
-    hits = wide.join(traffic, (F.col("w_x") == F.col("x")) & (F.col("w_y") == F.col("y")) & inside & close).select("long_id", "which")
-    hits = hits.union(windows.where("w_kind = 'weather'").join(traffic, (F.col("w_station") == F.col("station")) & inside).select("long_id", "which"))
+    hits = wide.join(others.where("kind = 'traffic'"), (F.col("w_x") == F.col("x")) & (F.col("w_y") == F.col("y")) & inside & close).select("long_id", "which", "entity_id")
+    by_station = windows.where("w_kind = 'weather'").join(others, (F.col("w_station") == F.col("station")) & inside).select("long_id", "which", "entity_id")
+    if counted == "all":
+        weather = windows.where("w_kind = 'traffic'").join(others.where("kind = 'weather'"), (F.col("w_station") == F.col("station")) & inside)
+        by_station = by_station.union(weather.select("long_id", "which", "entity_id"))
+    return hits.union(by_station)
+
+
+def halo_counts(lasting: DataFrame, df: DataFrame, radius: float = RADIUS, week: int = 7 * DAY, edge: str = "keep", shift: str = "exact", counted: str = "traffic") -> DataFrame:
+    """(long_id, state, type, kind, span_us, n_during, n_before, n_after): sizes of `halo_members`, zeros kept."""
+    hits = halo_members(lasting, df, radius, week, edge, shift, counted)
+    keep = _kept(lasting, df, _shift(week, shift), edge)
     n = hits.groupBy("long_id").agg(*[F.count_if(F.col("which") == w).alias(f"n_{w}") for w in ("during", "before", "after")])
     zero = lambda w: F.coalesce(F.col(f"n_{w}"), F.lit(0)).cast("long").alias(f"n_{w}")
-    return keep.withColumnRenamed("entity_id", "long_id").join(n, "long_id", "left").select("long_id", "state", "type", "kind", (e - s).alias("span_us"), zero("during"), zero("before"), zero("after"))
+    return keep.withColumnRenamed("entity_id", "long_id").join(n, "long_id", "left").select("long_id", "state", "type", "kind", (F.col("end_us") - F.col("start_us")).alias("span_us"), zero("during"), zero("before"), zero("after"))
 
 
 def lasting_sql(p: float) -> str:
@@ -102,11 +177,11 @@ cf as (select p.entity_id a, c.entity_id b from la p join la c on p.entity_id <
 """
 
 
-def halo_sql(edge: str) -> str:
+def halo_sql(edge: str, span: str = "(end_us - start_us)") -> str:
     """WITH-list items `h` for DuckDB, after `la`."""
-    keep = "where start_us - (604800000000 + end_us - start_us) >= (select min(start_us) from e) and end_us + (604800000000 + end_us - start_us) <= (select max(end_us) from e)" if edge == "complete" else ""
+    keep = f"where start_us - (604800000000 + {span}) >= (select min(start_us) from e) and end_us + (604800000000 + {span}) <= (select max(end_us) from e)" if edge == "complete" else ""
     return f"""
-lk as (select *, 604800000000 + (end_us - start_us) sh from la {keep}),
+lk as (select *, 604800000000 + {span} sh from la {keep}),
 tr as (select * from e where kind = 'traffic' and entity_id not in (select entity_id from la)),
 h as (select lk.entity_id long_id, any_value(lk.state) state, any_value(lk.type) "type", any_value(lk.kind) kind, any_value(lk.end_us - lk.start_us) span_us,
   (count_if(tr.start_us > lk.start_us and tr.end_us < lk.end_us))::bigint n_during, (count_if(tr.start_us > lk.start_us - sh and tr.end_us < lk.end_us - sh))::bigint n_before,

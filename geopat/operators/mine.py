@@ -15,6 +15,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from geopat.plans.scratch import written
+from geopat.plans.ship import ship
 
 Shape = tuple[tuple[int, str], ...]
 
@@ -136,6 +137,7 @@ def frequent(
     `min_support` None takes the adaptive one of each group.  Trees stay where they are;
     a level shuffles counts of shapes only, and sends the (few) frequent ones back.
     """
+    ship(nodes.sparkSession)
     packed = written(pack(nodes, group))
     share = adaptive_support(F.col("trees")) if min_support is None else F.lit(min_support)
     least = packed.groupBy(*group).agg(F.count("*").alias("trees")).withColumn("least", F.ceil(share * F.col("trees") - 1e-9))
@@ -195,3 +197,18 @@ an as (select tree, state, city, node top, node low, label top_label, label low_
 c2 as (select state, city, top_label || '(' || low_label || ')' shape, top_label root_label, count(distinct tree) support_count from an where top <> low group by 1, 2, 3, 4),
 s2 as (select c2.*, trees, round(support_count / trees, 6) support from c2 join nt using (state, city) where support_count >= ceil(({share}) * trees - 1e-9))
 """
+
+
+def three_sql(adaptive: bool, group: str = "state, city", name: str = "s3", fixed: float = 0.02) -> str:
+    """WITH-list items up to `name`: shapes of two and three nodes by group for DuckDB, after the items of `shape_sql`."""
+    share = "exp(-(0.004 * trees + 1.5)) + 0.05" if adaptive else str(fixed)
+    return f"""
+{name}_n as (select {group}, count(distinct tree) trees from g group by all),
+{name}_o as (
+  select tree, state, city, 2::bigint size, top_label root_label, top_label || '(' || low_label || ')' shape from an where top <> low
+  union all select a.tree, a.state, a.city, 3, a.top_label, a.top_label || '(' || a.low_label || '(' || b.low_label || '))' from an a join an b on a.tree = b.tree and a.low = b.top where a.top <> a.low and b.top <> b.low
+  union all select a.tree, a.state, a.city, 3, a.top_label, a.top_label || '(' || least(a.low_label, b.low_label) || ',' || greatest(a.low_label, b.low_label) || ')' from an a join an b on a.tree = b.tree and a.top = b.top and a.low < b.low
+    where a.top <> a.low and b.top <> b.low and not exists (select 1 from an x where x.tree = a.tree and ((x.top = a.low and x.low = b.low) or (x.top = b.low and x.low = a.low)))),
+{name} as (select {group}, shape, size, root_label, support_count, trees, round(support_count / trees, 6) support
+  from (select {group}, shape, size, root_label, count(distinct tree) support_count from {name}_o group by all) join {name}_n using ({group}) where support_count >= ceil(({share}) * trees - 1e-9))
+"""

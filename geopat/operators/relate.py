@@ -32,6 +32,16 @@ def candidates(df: DataFrame, minutes: int, snow_minutes: int, metres: float = 3
     return out.select(F.col("p_entity_id").alias("parent_id"), F.col("c_entity_id").alias("child_id"), (F.col("c_start_us") - F.col("p_start_us")).alias("gap_us"), "via")
 
 
+def weak_pairs(df: DataFrame, minutes: int = 10, snow_minutes: int = 40, metres: float = 300.0) -> DataFrame:
+    """(a, b) with a < b: collocated pairs that start within T of each other, in either order; weather pairs with traffic only."""
+    forward = candidates(df, minutes, snow_minutes, metres).where("gap_us > 0 or via = 'station' or parent_id < child_id").select("parent_id", "child_id")
+    traffic, weather = df.where("kind = 'traffic'"), df.where("kind = 'weather'")
+    for rows, width in ((weather.where("type <> 'snow'"), minutes), (weather.where("type = 'snow'"), snow_minutes)):
+        late = within_after(_side(traffic, "p"), _side(rows, "c"), [("p_station", "c_station")], ("p_start_us", "c_start_us"), width * MINUTE)
+        forward = forward.union(late.where("c_start_us > p_start_us").select("p_entity_id", "c_entity_id"))
+    return forward.select(F.least("parent_id", "child_id").alias("a"), F.greatest("parent_id", "child_id").alias("b"))
+
+
 def links(df: DataFrame, minutes: int = 10, snow_minutes: int = 40, metres: float = 300.0) -> DataFrame:
     """Child-parent links: the parent starts strictly earlier; weather is only ever a parent."""
     return candidates(df, minutes, snow_minutes, metres).where("gap_us > 0")
@@ -56,3 +66,13 @@ def link_sql(minutes: int, snow_minutes: int) -> str:
   union all
   select p.entity_id, c.entity_id, c.start_us - p.start_us, 'station' from e p join e c on p.station = c.station
     where p.kind = 'weather' and c.kind = 'traffic' and c.start_us > p.start_us and c.start_us - p.start_us <= case when p.type = 'snow' then {s}::bigint else {t}::bigint end)"""
+
+
+def weak_sql(minutes: int, snow_minutes: int) -> str:
+    """WITH-list item `wp` (a, b) for DuckDB."""
+    t, s = minutes * MINUTE, snow_minutes * MINUTE
+    return f"""wp as (
+  select p.entity_id a, c.entity_id b from e p join e c on {_PAIR} where p.kind = 'traffic' and c.kind = 'traffic' and p.entity_id < c.entity_id and abs(c.start_us - p.start_us) <= {t}::bigint and {_NEAR}
+  union all
+  select least(p.entity_id, c.entity_id), greatest(p.entity_id, c.entity_id) from e p join e c on p.station = c.station
+    where p.kind = 'weather' and c.kind = 'traffic' and abs(c.start_us - p.start_us) <= case when p.type = 'snow' then {s}::bigint else {t}::bigint end)"""
