@@ -94,7 +94,7 @@ def w_generic_pairs(spark: SparkSession, d: str) -> DataFrame:
     return baseline.generic_pairs(_stationed(spark, d, entities(spark, d)))
 
 
-@query("w_generic_vs_strict", with_e(relate.weak_sql(*DENSE), baseline.generic_sql(), "cmp as (select coalesce(wp.a, gp2.a) a, coalesce(wp.b, gp2.b) b, wp.a is not null s, gp2.a is not null g from wp full join gp2 on wp.a = gp2.a and wp.b = gp2.b)", then="select count_if(s and g)::bigint "both", count_if(s and not g)::bigint only_strict, count_if(g and not s)::bigint only_generic, count_if(g and not s and p.kind = 'traffic' and c.kind = 'traffic' and p.street = c.street and p.side <> c.side)::bigint opposite_side, count_if(s and not g and (p.end_us < c.start_us or c.end_us < p.start_us))::bigint lagging from cmp join e p on p.entity_id = cmp.a join e c on c.entity_id = cmp.b"))
+@query("w_generic_vs_strict", with_e(relate.weak_sql(*DENSE), baseline.generic_sql(), "cmp as (select coalesce(wp.a, gp2.a) a, coalesce(wp.b, gp2.b) b, wp.a is not null s, gp2.a is not null g from wp full join gp2 on wp.a = gp2.a and wp.b = gp2.b)", then="select count_if(s and g)::bigint \"both\", count_if(s and not g)::bigint only_strict, count_if(g and not s)::bigint only_generic, count_if(g and not s and p.kind = 'traffic' and c.kind = 'traffic' and p.street = c.street and p.side <> c.side)::bigint opposite_side, count_if(s and not g and (p.end_us < c.start_us or c.end_us < p.start_us))::bigint lagging from cmp join e p on p.entity_id = cmp.a join e c on c.entity_id = cmp.b"))
 def w_generic_vs_strict(spark: SparkSession, d: str) -> DataFrame:
     e = entities(spark, d)
     return baseline.compare(relate.weak_pairs(e, *DENSE), baseline.generic_pairs(_stationed(spark, d, e)), e)
