@@ -232,7 +232,7 @@ _TP = "tp as (select entity_id id, street, lat, lon from e where kind = 'traffic
 @query("w_nearest_traffic", with_e(_TP, f"pr as (select p.id, min(case when p.lat = q.lat and p.lon = q.lon then 0 else {_HAV} end) dist from tp p join tp q on p.id <> q.id and abs(p.lat - q.lat) < 0.05 group by 1)", then="select count(*) n, count_if(dist = 0)::bigint shared, round(quantile_cont(dist, 0.99), 4) p99, round(max(dist), 4) longest from pr"))
 def w_nearest_traffic(spark: SparkSession, d: str) -> DataFrame:
     near = density.nearest(traffic_points(spark, d))
-    return near.agg(F.sum("weight").alias("n"), F.sum(F.when(F.col("dist") == 0, F.col("weight")).otherwise(0)).alias("shared"), F.round(F.percentile("dist", F.lit(0.99), "weight"), 4).alias("p99"), F.round(F.max("dist"), 4).alias("longest"))
+    return near.agg(F.sum("weight").alias("n"), F.sum(F.when(F.col("dist") == 0, F.col("weight")).otherwise(0)).alias("shared"), F.round(F.percentile("dist", F.lit(0.99), F.col("weight")), 4).alias("p99"), F.round(F.max("dist"), 4).alias("longest"))
 
 
 @query("w_density_params", with_e(_TP, f"pr as (select p.id, min(case when p.lat = q.lat and p.lon = q.lon then 0 else {_HAV} end) dist from tp p join tp q on p.id <> q.id and abs(p.lat - q.lat) < 0.05 group by 1)", "ep1 as (select quantile_cont(dist, 0.99) eps from pr)", f"nc as (select p.id, count(*) - 1 n from tp p join tp q on abs(p.lat - q.lat) < 0.05 and {_HAV} <= (select eps from ep1) + 1e-6 group by 1)", then="select round((select eps from ep1), 4) eps_m, quantile_cont(n, 0.99) min_pts from nc"))

@@ -71,11 +71,11 @@ def neighbour_counts(points: DataFrame, metres: float) -> DataFrame:
 
 def parameters(points: DataFrame, p: float = 0.99) -> DataFrame:
     """One row: eps_m, the p-quantile of nearest-neighbour distances, and min_pts, that of neighbour counts within it."""
-    eps = nearest(points).agg(F.percentile("dist", F.lit(p), "weight").alias("eps_m")).first()[0]
+    eps = nearest(points).agg(F.percentile("dist", F.lit(p), F.col("weight")).alias("eps_m")).first()[0]
     if eps is None:
         return points.sparkSession.createDataFrame([(None, None)], "eps_m double, min_pts double")
     counts = neighbour_counts(points, eps + 1e-6)
-    return counts.agg(F.lit(eps).alias("eps_m"), F.percentile("n", F.lit(p), "weight").cast("double").alias("min_pts"))
+    return counts.agg(F.lit(eps).alias("eps_m"), F.percentile("n", F.lit(p), F.col("weight")).cast("double").alias("min_pts"))
 
 
 def dbscan(points: DataFrame, eps_m: float, min_pts: int, count_self: bool = False) -> DataFrame:

@@ -8,15 +8,14 @@ import tempfile
 import uuid
 from urllib.parse import urlparse
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 
 _own: str | None = None
 
 
-def written(df: DataFrame) -> DataFrame:
-    """The same rows, from a Parquet table under spark.checkpoint.dir (a temporary folder where that is unset)."""
+def place(spark: SparkSession) -> str:
+    """A new path under spark.checkpoint.dir (a temporary folder where that is unset), removed with the process where it is local."""
     global _own
-    spark = df.sparkSession
     folder = spark.conf.get("spark.checkpoint.dir", None)
     if not folder:
         if _own is None:
@@ -24,7 +23,14 @@ def written(df: DataFrame) -> DataFrame:
             atexit.register(shutil.rmtree, _own, ignore_errors=True)
         folder = _own
     path = f"{folder.rstrip('/')}/geopat-{uuid.uuid4().hex}"
-    df.write.parquet(path)
     if urlparse(path).scheme in ("", "file"):
-        atexit.register(shutil.rmtree, urlparse(path).path, ignore_errors=True)
-    return spark.read.schema(df.schema).parquet(path)
+        for end in ("", "-state"):
+            atexit.register(shutil.rmtree, urlparse(path).path + end, ignore_errors=True)
+    return path
+
+
+def written(df: DataFrame) -> DataFrame:
+    """The same rows, from a Parquet table at a new place."""
+    path = place(df.sparkSession)
+    df.write.parquet(path)
+    return df.sparkSession.read.schema(df.schema).parquet(path)
