@@ -3,10 +3,11 @@
 Statistics of each text are shares (symbols, capitals, exclamation and bar marks, repeated lines and
 words, mean word length).  For every (lang, source) a mergeable quantile sketch of each
 statistic is built: counts per bucket of fixed relative width, so sketches of parts add
-up to the sketch of the whole, reruns agree, and a sketch has at most a few hundred
+up to the sketch of the whole, reruns agree, and a sketch has at most a few thousand
 buckets.  A document fails a statistic that lies beyond the group's fence, median plus
-`reach` times the upper half-spread, but never below that statistic's `floor`; groups of
-fewer than `least` documents take the fences of their language, then of all documents.
+`reach` times the upper half-spread.  A half-spread counts as `spread` at least, since that of a statistic
+that most documents have at 0 is 0.  Groups of fewer than `least` documents take the
+fences of their language, then of all documents; without any fence nothing lies beyond.
 
 Null and empty texts have no words and fail the base rule.  Null lang or source are
 groups of their own.  Repeated rows and ties are judged alike.  An empty table gives no
@@ -21,9 +22,9 @@ from pyspark.sql import functions as F
 from .common import WORD, materialise, table, text_or_empty
 
 RUN = 8
-#: Statistic: (floor of its upper fence, reach in half-spreads).
-FENCES = {"symbol_share": (0.05, 6.0), "mark_share": (0.05, 6.0), "capital_share": (0.35, 6.0), "line_share": (0.5, 6.0), "repeat_share": (0.3, 6.0), "mean_word": (14.0, 6.0)}
-GROWTH = 1.02
+#: Statistic: (least half-spread, reach in half-spreads).
+FENCES = {"symbol_share": (0.005, 6.0), "mark_share": (0.005, 6.0), "capital_share": (0.002, 6.0), "line_share": (0.03, 6.0), "repeat_share": (0.02, 6.0), "mean_word": (0.05, 6.0)}
+GROWTH = 1.005
 SMALLEST = 1e-3
 
 
@@ -111,9 +112,9 @@ def quantiles(sketch: DataFrame, keys: list[str], shares: dict[str, float]) -> D
 def fences(sketch: DataFrame, keys: list[str], name: str, limits: dict[str, tuple[float, float]] = FENCES) -> DataFrame:
     """(keys, total, <name> = array of upper fences by statistic)."""
     q = quantiles(sketch, keys, {"mid": 0.5, "high": 0.75})
-    floor = F.get(F.array(*[F.lit(v[0]) for v in limits.values()]), F.col("stat"))
+    spread = F.get(F.array(*[F.lit(v[0]) for v in limits.values()]), F.col("stat"))
     reach = F.get(F.array(*[F.lit(v[1]) for v in limits.values()]), F.col("stat"))
-    fence = F.greatest(floor, F.col("mid") + reach * (F.col("high") - F.col("mid")))
+    fence = F.col("mid") + reach * F.greatest(spread, F.col("high") - F.col("mid"))
     tidy = F.transform(F.array_sort(F.collect_list(F.struct("stat", fence.alias("fence")))), lambda x: x["fence"])
     return q.groupBy(*keys).agg(F.first("total").alias("total"), tidy.alias(name))
 
@@ -138,7 +139,7 @@ def judge(docs: DataFrame, limits: dict[str, tuple[float, float]] = FENCES, leas
         .withColumn("one", F.lit(1))
         .join(F.broadcast(g3.withColumn("one", F.lit(1))), "one", "left")
     )
-    fence = F.coalesce("f1", "f2", "f3", F.array(*[F.lit(v[0]) for v in limits.values()]))
+    fence = F.coalesce("f1", "f2", "f3", F.array(*[F.lit(float("inf")) for _ in limits]))
     beyond = F.array_compact(F.array(*[F.when(F.col(s) > F.get(F.col("fence"), F.lit(i)), F.lit(s)) for i, s in enumerate(names)]))
     return (
         joined.withColumn("fence", fence)

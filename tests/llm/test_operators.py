@@ -101,6 +101,26 @@ def test_rules(docs, texts):
         assert r.base_failed == (len(w) < 20 or 100 * len(covered) > 30 * len(w)) and (not r.kept or not r.base_failed)
 
 
+def test_fences_follow_their_group(spark):
+    rng = random.Random(4)
+
+    def text(n, width, symbols, capitals, repeats):
+        w = ["".join(rng.choices("abcdefghijklmnop", k=rng.choice((width - 1, width, width, width + 1)))) for _ in range(n)]
+        w = [x.upper() if k < capitals else x for k, x in enumerate(w)] + ["##"] * symbols + w[:9] * repeats
+        return " ".join(w)
+
+    plain = [(i, text(60, 6, i % 2, i % 3, 0), "en", "plain") for i in range(240)]
+    code = [(1000 + i, text(60, 10, 4 + i % 9, 8 + i % 9, i % 2), "en", "code") for i in range(240)]
+    odd = {"symbol_share": text(60, 6, 10, 0, 0), "capital_share": text(60, 6, 0, 14, 0), "repeat_share": text(60, 6, 0, 0, 1), "mean_word": text(60, 9, 0, 0, 0)}
+    probes = [(k, t, "en", source) for s, source in enumerate(("plain", "code")) for k, t in enumerate(odd.values(), 2000 + 10 * s)]
+    rows = {r.doc_id: r for r in rules.judge(spark.createDataFrame(plain + code + probes, "doc_id long, text string, lang string, source string")).collect()}
+    for k, name in enumerate(odd):
+        in_plain, in_code = rows[2000 + k], rows[2010 + k]
+        assert in_plain[name] == in_code[name] and not in_plain.base_failed
+        assert name in in_plain.failed and name not in in_code.failed and not in_plain.kept
+    assert sum(not rows[i].kept for i, *_ in plain + code) < 24
+
+
 def test_packing_round_trip(docs, texts):
     rows, own = packing.pack(docs).collect(), packing.encoder(__import__("public_tokenizers").path(packing.VOCABULARY))
     assert len({r.sequence_id for r in rows}) == len(rows) and all(r.length & (r.length - 1) == 0 and r.length <= 1024 and r.offset == 0 for r in rows)
