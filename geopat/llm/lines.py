@@ -1,10 +1,12 @@
 """Line dedup by pairwise alignment.
 
 A line's hash is that of its text without outer blanks; lines of at least LEAST_WORDS
-words can show that documents overlap.  For every such line that two documents share,
-each later one (by id) is paired with the first that holds it: where a line is rare these are
-its pairs, and where thousands share it they stay as many as its occurrences, so no
-line needs to be left out for being common.  Rarest shared lines come first in a pair
+words can show that documents overlap.  Documents of equal lines are one class, of which the
+first (by id) is compared; the others lose all.  Of a line that at most RARE classes hold, every later
+holder is paired with every earlier one.  Where more hold it, each is paired with the first; one that
+keeps an occurrence of the line after that is then paired with all earlier holders, so no
+line is left out for being common.  Short and blank lines beside a common line go by these pairs
+alone.  Rarest shared lines come first in a pair
 of course: patience alignment hangs on lines that are unique in both documents.  It takes the
 longest rising run of these, recurses between them and grows over equal neighbours.
 An aligned block with at least one such line is deleted from the later document.
@@ -30,6 +32,7 @@ from pyspark.sql import functions as F
 from .common import materialise, table
 
 LEAST_WORDS = 3
+RARE = 16
 BLANKS = " \t\x0b\x0c\r"
 
 
@@ -123,19 +126,47 @@ def removals(docs: DataFrame) -> DataFrame:
 
     known = docs.where("doc_id is not null").select(F.col("doc_id").cast("long").alias("doc_id"), "text")
     held = materialise(known.mapInArrow(hashed, "doc_id long, lines binary, showing array<long>"))
-    entries = held.select("doc_id", F.explode("showing").alias("line"))
-    firsts = entries.groupBy("line").agg(F.min("doc_id").alias("first"), F.max("doc_id").alias("last")).where("first < last").select("line", "first")
-    pairs = entries.join(firsts, "line").where("first < doc_id").select("doc_id", "first").distinct()
-    earlier = held.select(F.col("doc_id").alias("first"), F.col("lines").alias("a"))
-    later = held.select("doc_id", F.col("lines").alias("b"))
+    alike = held.groupBy("lines").agg(F.min("doc_id").alias("leader"), F.first("showing").alias("showing"))
+    leaders = materialise(alike.select(F.col("leader").alias("doc_id"), "lines", "showing"))
+    copies = held.join(leaders.where("size(showing) > 0").select(F.col("doc_id").alias("leader"), "lines"), "lines").where("leader < doc_id")
+    whole = copies.select("doc_id", F.sequence(F.lit(0), (F.length("lines") / 8).cast("int") - 1).alias("lines"))
+    entries = leaders.select("doc_id", F.explode("showing").alias("line"))
+    shared = entries.groupBy("line").agg(F.min("doc_id").alias("first"), F.max("doc_id").alias("last"), F.count("*").alias("n")).where("first < last").drop("last")
+    known_by = materialise(entries.join(shared, "line"))
+    rare, common = known_by.where(F.col("n") <= RARE).select("doc_id", "line"), known_by.where(F.col("n") > RARE)
+
+    def earlier_holders(of: DataFrame, among: DataFrame) -> DataFrame:
+        return of.join(among.select(F.col("doc_id").alias("first"), "line"), "line").where("first < doc_id").select("doc_id", "first")
 
     def align(rows: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in rows:
             out = [common_blocks(np.frombuffer(a, np.uint64), np.frombuffer(b, np.uint64)) for a, b in zip(batch["a"].to_pylist(), batch["b"].to_pylist(), strict=True)]
             yield pa.RecordBatch.from_arrays([batch["doc_id"], pa.array(out, pa.list_(pa.int32()))], names=["doc_id", "lines"])
 
-    found = pairs.join(later, "doc_id").join(earlier, "first").select("doc_id", "a", "b").mapInArrow(align, "doc_id long, lines array<int>").where("size(lines) > 0")
-    return found.groupBy("doc_id").agg(F.array_distinct(F.flatten(F.collect_set("lines"))).alias("lines"))
+    def compared(pairs: DataFrame) -> DataFrame:
+        """(doc_id, lines) that the pairs' later documents lose."""
+        earlier = leaders.select(F.col("doc_id").alias("first"), F.col("lines").alias("a"))
+        later = leaders.select("doc_id", F.col("lines").alias("b"))
+        found = pairs.distinct().join(later, "doc_id").join(earlier, "first").select("doc_id", "a", "b").mapInArrow(align, "doc_id long, lines array<int>").where("size(lines) > 0")
+        return found.groupBy("doc_id").agg(F.array_distinct(F.flatten(F.collect_set("lines"))).alias("lines"))
+
+    def staying(rows: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in rows:
+            ids, lines = [], []
+            for doc_id, b, gone in zip(batch["doc_id"].to_pylist(), batch["b"].to_pylist(), batch["gone"].to_pylist(), strict=True):
+                all_lines = np.frombuffer(b, np.uint64)
+                stays = np.ones(len(all_lines), bool)
+                stays[[x for x in gone or () if x < len(stays)]] = False
+                left = np.unique(all_lines[stays & ((all_lines & np.uint64(1)) == 1)]).view(np.int64).tolist()
+                ids += [doc_id] * len(left)
+                lines += left
+            yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(lines, pa.int64())], names=["doc_id", "line"])
+
+    once = materialise(compared(earlier_holders(rare, rare).unionByName(common.where("first < doc_id").select("doc_id", "first"))))
+    unsettled = leaders.join(common.where("first < doc_id").select("doc_id").distinct(), "doc_id").select("doc_id", F.col("lines").alias("b"))
+    kept = unsettled.join(once.withColumnRenamed("lines", "gone"), "doc_id", "left").select("doc_id", "b", "gone").mapInArrow(staying, "doc_id long, line long")
+    again = compared(earlier_holders(kept, common))
+    return once.unionByName(again).unionByName(whole).groupBy("doc_id").agg(F.array_distinct(F.flatten(F.collect_list("lines"))).alias("lines"))
 
 
 def without_lines(docs: DataFrame, gone: DataFrame) -> DataFrame:

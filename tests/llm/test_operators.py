@@ -156,6 +156,20 @@ def test_lines(docs, texts):
     assert lines.aligned([1, 3, 5, 7], [3, 5, 9, 7]) == [0, 1, 3]
 
 
+def test_lines_of_every_earlier_holder(spark, monkeypatch):
+    x, y, z = "the line x is", "the line y is", "the line z is"
+    made = [f"{x}\nmid {{}}\n{x}\n{z}\nown text of {{}}\n{y}", f"{y}\nown text of {{}}\n{x}", f"own text of {{}}\n{x}\n{y}\n{z}", f"{z}\n{y}\nown text of {{}}\n{x}", f"{x}\n{y}\n{z}"]
+    texts = {i: made[i % 5].format(i, i) for i in range(1, 26)}
+    held, expected = {i: lines.line_hashes(t) for i, t in texts.items()}, {}
+    for i in texts:
+        gone = {k for j in texts if j < i for k in lines.common_blocks(held[j], held[i])}
+        expected[i] = "\n".join(p for k, p in enumerate(texts[i].split("\n")) if k not in gone)
+    docs = spark.createDataFrame(list(texts.items()), "doc_id long, text string")
+    for rare in (100, 2):
+        monkeypatch.setattr(lines, "RARE", rare, raising=False)
+        assert {r.doc_id: r.text for r in lines.without_lines(docs, lines.removals(docs)).collect()} == expected
+
+
 def test_vectors(spark):
     rng = np.random.default_rng(1)
     base = rng.normal(size=(12, 6))
