@@ -4,9 +4,11 @@ Base spans are e-mail addresses, dotted quads, card numbers and phone numbers, e
 leftmost and without overlaps; a match that fails its test (quad part over 255, card
 length or check sum, phone length) is dropped.  A transducer then rewrites disguises:
 full-width and look-alike letters and digits, zero-width characters, bracketed or
-spelled "at" and "dot", and runs of spelled digits.  Every character it writes carries the span of
+spelled "at" and "dot" in addresses and between digits, and spelled digits in runs or beside
+digits.  Every character it writes carries the span of
 source characters it came from, so a match in the rewritten text maps back exactly.
-Matches there that overlap no base span are added; base spans always stay.
+Matches there that overlap no base span, or strictly contain the ones they overlap, are
+added, provided they touch a rewritten place or no base span; base spans always stay.
 
 Null and empty texts have no spans.  Offsets are code points, ends exclusive.  Texts
 of any length are read whole.  Rows are judged one by one, so ties and repeated rows
@@ -57,17 +59,25 @@ _DOT = r"(?:\s*[\[({<]\s*(?:dot|punkt|point|punto|\.)\s*[\])}>]\s*|\s+dot\s+)"
 _AT = r"(?:\s*[\[({<]\s*(?:at|@|arroba)\s*[\])}>]\s*|\s+at\s+)"
 _PLAIN_AT = r"@"
 _LABEL = r"[A-Za-z0-9-]+"
-#: An address in which "at" is bracketed or spelled; a bare word "at" counts only before a disguised dot.
+#: An address in which "at" is bracketed or spelled; beside a bare word "at" and plain dots only, its end must look like a host.
 _ADDRESS = re.compile(
     rf"(?P<user>[A-Za-z0-9_%+-]+(?:(?:\.|{_DOT})[A-Za-z0-9_%+-]+)*?)(?P<at>{_AT}|\s*{_PLAIN_AT}\s*)(?P<host>{_LABEL}(?:(?:\.|{_DOT}){_LABEL})+)", re.IGNORECASE
 )
+_HOST_END = re.compile(r"\.[a-z]{2,}\Z")
 _BRACKETED = re.compile(r"[\[({<]", re.IGNORECASE)
-_HINT_ADDRESS = re.compile(r"[\[({<]\s*(?:at|@|arroba|dot|punkt|point|punto|\.)\s*[\])}>]|\sdot\s", re.IGNORECASE)
+_HINT_ADDRESS = re.compile(r"[\[({<]\s*(?:at|@|arroba|dot|punkt|point|punto|\.)\s*[\])}>]|\sdot\s|\sat\s+[a-z0-9-]+\.[a-z0-9]", re.IGNORECASE)
 _DOT_ONLY = re.compile(_DOT, re.IGNORECASE)
 _WORDS = "|".join(sorted(SPELLED, key=len, reverse=True))
-_SPELLED_RUN = re.compile(rf"(?<!\w)(?:plus\s+)?(?:(?:{_WORDS}|[0-9])(?:[\s,.-]+|(?!\w))){{7,}}", re.IGNORECASE)
-_HINT_SPELLED = re.compile(rf"(?<!\w)(?:{_WORDS})[\s,.-]+(?:{_WORDS}|[0-9])(?!\w)", re.IGNORECASE)
-_SPELLED_TOKEN = re.compile(rf"plus(?=\s)|{_WORDS}|[0-9]", re.IGNORECASE)
+#: Spelled and plain digits with separators between; a run counts when it has two tokens or more, one of them spelled.
+_SPELLED_RUN = re.compile(rf"(?<!\w)(?:plus\s+|\+\s*)?(?:(?:{_WORDS})(?!\w)|[0-9]+(?!\w))(?:(?:[\s()-]+|\.(?=\w)|(?<=[^\W\d_])[,.]\s*)+(?:(?:{_WORDS})(?!\w)|[0-9]+(?!\w)))+", re.IGNORECASE)
+_HINT_SPELLED = re.compile(rf"(?<!\w)(?:{_WORDS})(?!\w)", re.IGNORECASE)
+#: A disguised dot between digits, spelled or not.
+_DIGIT = rf"(?:(?<!\w)(?:{_WORDS})|[0-9])"
+_DIGIT_DOT = re.compile(rf"(?:{_DOT}|\s+(?:punkt|point|punto)\s+)(?=(?:{_WORDS})(?!\w)|[0-9])", re.IGNORECASE)
+_DIGIT_BEFORE = re.compile(rf"{_DIGIT}\Z", re.IGNORECASE)
+_HINT_DIGIT_DOT = re.compile(r"[\[({<]\s*(?:dot|punkt|point|punto|\.)\s*[\])}>]|\s(?:dot|punkt|point|punto)\s", re.IGNORECASE)
+_ONE_SPELLED = re.compile(rf"(?<!\w)(?:{_WORDS})(?!\w)", re.IGNORECASE)
+_SPELLED_TOKEN = re.compile(rf"plus(?=\s)|\+|{_WORDS}|[0-9]+", re.IGNORECASE)
 
 Span = tuple[str, int, int]
 
@@ -147,18 +157,26 @@ def deobfuscate(text: str) -> Tape:
     if _HINT_ADDRESS.search(tape.text):
         edits = []
         for m in _ADDRESS.finditer(tape.text):
-            if _DOT_ONLY.search(m.group()) or _BRACKETED.search(m["at"]):
+            if _DOT_ONLY.search(m.group()) or _BRACKETED.search(m["at"]) or (m["at"].strip().lower() == "at" and _HOST_END.search(m["host"])):
                 edits += [(m.start("user") + d.start(), m.start("user") + d.end(), ".") for d in _DOT_ONLY.finditer(m["user"])]
                 edits.append((m.start("at"), m.end("at"), "@"))
                 edits += [(m.start("host") + d.start(), m.start("host") + d.end(), ".") for d in _DOT_ONLY.finditer(m["host"])]
         tape = tape.rewrite(edits)
+    if _HINT_DIGIT_DOT.search(tape.text):
+        held = tape.text
+        tape = tape.rewrite([(m.start(), m.end(), ".") for m in _DIGIT_DOT.finditer(held) if _DIGIT_BEFORE.search(held, max(0, m.start() - 8), m.start())])
     if _HINT_SPELLED.search(tape.text):
         edits = []
         for run in _SPELLED_RUN.finditer(tape.text):
-            last = None
-            for m in _SPELLED_TOKEN.finditer(tape.text, run.start(), run.end()):
-                if last is not None and m.start() > last:
+            tokens = list(_SPELLED_TOKEN.finditer(tape.text, run.start(), run.end()))
+            if all(m.group()[0] in "+0123456789" for m in tokens):
+                continue
+            last, long_before = None, False
+            for m in tokens:
+                long = len(m.group()) > 1 and m.group().isdigit()
+                if last is not None and m.start() > last and not (long or long_before) and tape.text[last : m.start()] != ".":
                     edits.append((last, m.start(), ""))
+                long_before = long
                 word = m.group().lower()
                 edits.append((m.start(), m.end(), "+" if word == "plus" else SPELLED.get(word, word)))
                 last = m.end()
@@ -166,6 +184,11 @@ def deobfuscate(text: str) -> Tape:
     return tape
 
 
+def _prose(text: str, start: int, end: int, over: list[tuple[int, int]]) -> bool:
+    """Whether a span goes beyond those it contains by a single spelled digit, which after a whole number is rather a word."""
+    return bool(over) and len(_ONE_SPELLED.findall(text[start : over[0][0]] + " " + text[over[-1][1] : end])) == 1
+
+
 def find(text: str | None) -> tuple[list[Span], list[Span]]:
     """(base spans, all spans) of a text."""
     base = detect(text or "")
@@ -175,7 +198,9 @@ def find(text: str | None) -> tuple[list[Span], list[Span]]:
     more = []
     for kind, a, b in detect(tape.text):
         start, end = tape.span(a, b)
-        if not any(s < end and start < e for _, s, e in (*base, *more)):
+        over = [(s, e) for _, s, e in base if s < end and start < e]
+        inside = all(start <= s and e <= end and (s, e) != (start, end) for s, e in over)
+        if inside and (not over or (text or "")[start:end] != tape.text[a:b]) and not _prose(text or "", start, end, over) and not any(s < end and start < e for _, s, e in more):
             more.append((kind, start, end))
     return base, sorted([*base, *more], key=lambda x: (x[1], KINDS.index(x[0]), x[2]))
 
@@ -204,12 +229,12 @@ def scan(docs: DataFrame) -> DataFrame:
 
 
 def mask(text: str | None, spans: list[Span]) -> str:
-    """The text with each span replaced by its kind in angle brackets; of overlapping spans the first stands."""
+    """The text with each span replaced by its kind in angle brackets; overlapping spans are replaced as one, by the first and longest's kind."""
     out, at = [], 0
-    for kind, a, b in spans:
+    for kind, a, b in sorted(spans, key=lambda x: (x[1], -x[2])):
         if a >= at:
             out += [(text or "")[at:a], f"<{kind}>"]
-            at = b
+        at = max(at, b)
     return "".join([*out, (text or "")[at:]])
 
 

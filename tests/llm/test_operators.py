@@ -211,6 +211,20 @@ def test_personal_data():
     assert pii.find(None) == ([], []) and pii.mask("a b@c.d e", pii.find("a b@c.d e")[1]) == "a <email> e"
 
 
+def test_personal_data_partly_disguised():
+    for hidden, kind in (
+        ("192[.]168[.]1[.]1", "ip"), ("10 dot 0 dot 0 dot 1", "ip"), ("one zero dot zero dot zero dot one", "ip"), ("+1 555 five five five 0199", "phone"), ("jane at example.com", "email"),
+        ("4111 1111 1111 one one one one", "card"),
+    ):
+        _, found = pii.find(f"é {hidden}!")
+        assert [(k, f"é {hidden}!"[a:b]) for k, a, b in found] == [(kind, hidden)]
+    text = "é a@b.example [dot] com, seven 192[.]168[.]1[.]1"
+    base, spans = pii.find(text)
+    assert [text[a:b] for _, a, b in base] == ["a@b.example"] and pii.mask(text, spans) == "é <email>, seven <ip>"
+    for plain in ("+1 555 010 9999, one of", "+1 (848) 555-1373 Un", "look at 3.5 and five", "10 dot 5, two or 3", "999 dot 0 dot 0 dot 1"):
+        assert pii.find(plain)[0] == pii.find(plain)[1]
+
+
 def test_classifiers(spark):
     rng = random.Random(2)
     words = [f"w{i}" for i in range(200)]
