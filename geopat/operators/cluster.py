@@ -61,12 +61,12 @@ def kmeans(points: np.ndarray, k: int, rounds: int = 100) -> tuple[np.ndarray, n
 
 
 def description_length(points: np.ndarray, labels: np.ndarray, centres: np.ndarray, floor: float = 1e-6) -> tuple[float, bool]:
-    """(bits-like length in natural logs, degenerate): Gaussian code of the distances, plus labels, plus centres."""
+    """(bits-like length in natural logs, degenerate): Gaussian code of the distances, plus its two parameters, plus centres."""
     d = np.sqrt(((points - centres[labels]) ** 2).sum(axis=1))
     sd = max(float(d.std()), floor)
     code = float((0.5 * ((d - d.mean()) / sd) ** 2 + math.log(sd * math.sqrt(2 * math.pi))).sum())
     n, k = len(points), len(centres)
-    return code + n * math.log(k) + k * math.log(n), bool(d.std() < floor)
+    return code + math.log(n) + k * math.log(n), bool(d.std() < floor)
 
 
 def state_vectors(core: DataFrame, states: DataFrame) -> DataFrame:

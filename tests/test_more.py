@@ -3,10 +3,11 @@
 import math
 import random
 
+import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from geopat.operators import density, influence, lasting, shapes, weather
+from geopat.operators import cluster, density, influence, lasting, shapes, weather
 from geopat.streaming import feeds
 from tests.test_core import COLUMNS, MIN, entity
 
@@ -142,3 +143,11 @@ def test_sessions_of_a_stream(spark, tmp_path):
     df.coalesce(1).write.parquet(f"{tmp_path}/events.parquet")
     out = feeds.upsert(feeds.sessions(spark.readStream.schema(df.schema).parquet(f"{tmp_path}/events.parquet")), ["user_id", "start"], "complete")
     assert {(r.user_id, r.n) for r in out.where("start < '2024-01-10'").collect()} == {(1, 2), (1, 1), (2, 1)}
+
+
+def test_description_length():
+    points, labels, centres = np.array([[0.0], [2.0], [10.0], [14.0]]), np.array([0, 0, 1, 1]), np.array([[1.0], [12.0]])
+    # Distances 1, 1, 2, 2: mean 3/2, deviation 1/2.  Parameters cost log 4, two centres 2 log 4.
+    expected = 4 * (0.5 + math.log(0.5 * math.sqrt(2 * math.pi))) + 3 * math.log(4)
+    length, degenerate = cluster.description_length(points, labels, centres)
+    assert abs(length - expected) < 1e-9 and not degenerate
