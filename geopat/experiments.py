@@ -164,8 +164,8 @@ for _name, _t, _s in (("adaptive", DENSE, None), ("fixed02", DENSER, 0.02)):
 
     for _kind in ("maximal", "closed"):
         @query(f"w_shapes_{_kind}_{_name}")
-        def w_reduced(spark: SparkSession, d: str, t: tuple = _t, s: float | None = _s, kind: str = _kind, get=w_shapes3) -> DataFrame:
-            return shapes.reduced(written(get(spark, d, t, s)), ["state", "city"], kind == "closed")
+        def w_reduced(spark: SparkSession, d: str, t: tuple = _t, s: float | None = _s, kind: str = _kind) -> DataFrame:
+            return shapes.reduced(written(mine.frequent(nodes_of(entities(spark, d), t), ["state", "city"], s)), ["state", "city"], kind == "closed")
 
 
 @query("m_support", with_e(relate.link_sql(*DENSE), forest.FOREST_SQL, mine.shape_sql(True), then="select state, city, any_value(trees) trees, (count(distinct case when top_label = 'congestion' and low_label = 'congestion' and top <> low then tree end))::bigint support_count, round(count(distinct case when top_label = 'congestion' and low_label = 'congestion' and top <> low then tree end) / any_value(trees), 6) support from an join nt using (state, city) group by 1, 2"))

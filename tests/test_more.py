@@ -7,6 +7,7 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
+from geopat import experiments, workloads
 from geopat.operators import cluster, density, influence, lasting, shapes, weather
 from geopat.streaming import feeds
 from tests.test_core import COLUMNS, MIN, entity
@@ -151,3 +152,16 @@ def test_description_length():
     expected = 4 * (0.5 + math.log(0.5 * math.sqrt(2 * math.pi))) + 3 * math.log(4)
     length, degenerate = cluster.description_length(points, labels, centres)
     assert abs(length - expected) < 1e-9 and not degenerate
+
+
+def chains(spark):
+    """Ten equal chains of five nodes a, b, c, d, e in one city."""
+    rows = [(1, 1, tree, 10 * tree + i, 10 * tree + i - 1 if i else None, "abcde"[i], i) for tree in range(10) for i in range(5)]
+    return spark.createDataFrame(rows, "state long, city long, tree long, node long, parent long, label string, start_us long")
+
+
+@pytest.mark.parametrize("kind", ["maximal", "closed"])
+def test_reduced_queries_read_all_sizes(spark, monkeypatch, kind):
+    monkeypatch.setattr(experiments, "entities", lambda *_: None)
+    monkeypatch.setattr(experiments, "nodes_of", lambda *_: chains(spark))
+    assert [r["shape"] for r in workloads.QUERIES[f"w_shapes_{kind}_fixed02"](spark, "").collect()] == ["a(b(c(d(e))))"]
