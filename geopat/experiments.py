@@ -129,6 +129,16 @@ for _name, _t, _s in (("adaptive", DENSE, None), ("fixed02", DENSER, 0.02)):
         n = get(spark, d, t, s).groupBy("shape").agg(F.countDistinct("state").alias("states"))
         return n.withColumn("rank", F.row_number().over(Window.partitionBy(F.lit(1)).orderBy(F.desc("states"), "shape")).cast("long")).where("rank <= 12").select("rank", "shape", "states")
 
+    @query(f"w_shape_top12_all_{_name}")
+    def w_top12_all(spark: SparkSession, d: str, t: tuple = _t, s: float | None = _s, get=w_top12) -> DataFrame:
+        return get(spark, d, t, s, lambda spark, d, t, s: mine.frequent(nodes_of(entities(spark, d), t), ["state", "city"], s))
+
+    @query(f"w_shapes_lost_all_{_name}")
+    def w_lost_all(spark: SparkSession, d: str, t: tuple = _t, s: float | None = _s) -> DataFrame:
+        n = written(nodes_of(entities(spark, d), t))
+        core = mine.state_core(mine.frequent(n, ["state", "city"], s))
+        return core.join(mine.frequent(n, ["state"], s).select("state", "shape"), ["state", "shape"], "left_anti").select("state", "shape")
+
     _profile = (
         "oc as (select an.state, an.city, top_label || '(' || low_label || ')' shape, hour(make_timestamp(x.start_us)) h, x.road from an join e x on x.entity_id = an.top where top <> low)",
         "ok as (select oc.* from oc join s2 using (state, city, shape))",
@@ -155,8 +165,13 @@ for _name, _t, _s in (("adaptive", DENSE, None), ("fixed02", DENSER, 0.02)):
         found = mine.frequent(nodes_of(e, t), ["state", "city"], s, max_nodes=2)
         return cluster.state_vectors(mine.state_core(found), e.select("state").distinct())
 
+    @query(f"w_state_vectors_all_{_name}")
+    def w_vectors_all(spark: SparkSession, d: str, t: tuple = _t, s: float | None = _s) -> DataFrame:
+        e = entities(spark, d)
+        return cluster.state_vectors(mine.state_core(mine.frequent(nodes_of(e, t), ["state", "city"], s)), e.select("state").distinct())
+
     @query(f"w_state_distinctive_{_name}")
-    def w_distinctive(spark: SparkSession, d: str, t: tuple = _t, s: float | None = _s, get=w_vectors) -> DataFrame:
+    def w_distinctive(spark: SparkSession, d: str, t: tuple = _t, s: float | None = _s, get=w_vectors_all) -> DataFrame:
         v = written(get(spark, d, t, s))
         best = cluster.state_groups(v).where("best").select("state", "cluster")
         in_one = v.where("present = 1").join(best, "state").groupBy("shape").agg(F.countDistinct("cluster").alias("clusters"), F.min("cluster").alias("cluster"), F.count("*").alias("states"))

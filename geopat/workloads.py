@@ -160,15 +160,23 @@ for _name, _t, _s in _MINING:
     def w_initiators(spark: SparkSession, d: str, t: tuple = _t, s: float | None = _s) -> DataFrame:
         return w_shapes2(spark, d, t, s).groupBy("root_label").agg(F.countDistinct("shape").alias("shapes"))
 
+    @query(f"w_shape_catalogue_all_{_name}")
+    def w_catalogue_all(spark: SparkSession, d: str, t: tuple = _t, s: float | None = _s, get=w_shapes) -> DataFrame:
+        return mine.catalogue(mine.state_core(get(spark, d, t, s)))
+
+    @query(f"w_initiators_all_{_name}")
+    def w_initiators_all(spark: SparkSession, d: str, t: tuple = _t, s: float | None = _s, get=w_shapes) -> DataFrame:
+        return get(spark, d, t, s).groupBy("root_label").agg(F.countDistinct("shape").alias("shapes"))
+
     @query(f"w_state_groups_{_name}")
     def w_state_groups(spark: SparkSession, d: str, t: tuple = _t, s: float | None = _s) -> DataFrame:
         e = entities(spark, d)
-        return cluster.state_groups(cluster.state_vectors(mine.state_core(w_shapes2(spark, d, t, s)), e.select("state").distinct()))
+        return cluster.state_groups(cluster.state_vectors(mine.state_core(mine.frequent(nodes_of(e, t), ["state", "city"], s)), e.select("state").distinct()))
 
     for _variant, _options in (("induced", {"kind": "induced"}), ("ordered", {"ordered": True}), ("any_siblings", {"siblings": "any"})):
         @query(f"w_shapes_city_{_variant}_{_name}")
         def w_variant(spark: SparkSession, d: str, t: tuple = _t, s: float | None = _s, options: dict = _options) -> DataFrame:
-            return mine.frequent(nodes_of(entities(spark, d), t), ["state", "city"], s, max_nodes=4, **options)
+            return mine.frequent(nodes_of(entities(spark, d), t), ["state", "city"], s, **options)
 
 
 @query("w_duration_threshold", with_e(then="select quantile_cont(end_us - start_us, 0.99) threshold_us from e"))

@@ -165,3 +165,16 @@ def test_reduced_queries_read_all_sizes(spark, monkeypatch, kind):
     monkeypatch.setattr(experiments, "entities", lambda *_: None)
     monkeypatch.setattr(experiments, "nodes_of", lambda *_: chains(spark))
     assert [r["shape"] for r in workloads.QUERIES[f"w_shapes_{kind}_fixed02"](spark, "").collect()] == ["a(b(c(d(e))))"]
+
+
+def test_queries_over_all_sizes(spark, monkeypatch):
+    nodes = chains(spark)
+    for module in (workloads, experiments):
+        monkeypatch.setattr(module, "entities", lambda *_: nodes.select("state"))
+        monkeypatch.setattr(module, "nodes_of", lambda *_: nodes)
+    run = lambda name: workloads.QUERIES[f"{name}_fixed02"](spark, "").collect()
+    # A chain of five nodes holds 26 subsets of two nodes or more.
+    assert [tuple(r) for r in run("w_shape_catalogue_all")] == [(26, 26, 2, 5)]
+    assert {r["root_label"]: r["shapes"] for r in run("w_initiators_all")} == {"a": 15, "b": 7, "c": 3, "d": 1}
+    assert len(run("w_state_vectors_all")) == 26 and len(run("w_shape_top12_all")) == 12 and run("w_shapes_lost_all") == []
+    assert max(r["size"] for r in run("w_shapes_city_ordered")) == 5
