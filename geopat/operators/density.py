@@ -9,7 +9,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from geopat.functions.geo import haversine
-from geopat.plans.components import components
+from geopat.plans.components import connected
 from geopat.plans.scratch import written
 
 _DEGREE_M = 111195.0
@@ -83,7 +83,7 @@ def dbscan(points: DataFrame, eps_m: float, min_pts: int, count_self: bool = Fal
     counted = written(neighbour_counts(points, eps_m).withColumn("core", F.col("n") + (1 if count_self else 0) >= min_pts))
     cores = counted.where("core").select("place", "lat", "lon")
     edges = near_pairs(cores, cores, eps_m).where("a_place <= b_place").select(F.col("a_place").alias("a"), F.col("b_place").alias("b"))
-    label = written(components(edges))
+    label = written(connected(edges))
     heads = cores.join(label, F.col("place") == F.col("node")).select("place", "lat", "lon", "component")
     rest = counted.where("not core").select("place", "lat", "lon")
     border = near_pairs(rest, heads, eps_m).groupBy(F.col("a_place").alias("place")).agg(F.min("b_component").alias("component"))

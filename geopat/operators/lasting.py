@@ -6,7 +6,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from geopat.functions.geo import MILE_M, haversine
-from geopat.plans.components import components
+from geopat.plans.components import connected
 from geopat.plans.rangejoin import buckets
 from geopat.plans.scratch import written
 
@@ -69,18 +69,18 @@ def fuse_components(lasting: DataFrame, pairs: DataFrame) -> DataFrame:
 
     A fused entity with a weather member counts as weather, so it meets others by station.
     """
-    return _fused(lasting, components(pairs))
+    return _fused(lasting, connected(pairs))
 
 
 def fuse_fixpoint(lasting: DataFrame, radius: float = RADIUS, most_rounds: int = 20) -> DataFrame:
     """Components fused again, with their wider times and new centres, until no two fused entities conflict."""
     lasting = written(lasting)
-    found = written(components(conflicts(lasting, radius)))
+    found = written(connected(conflicts(lasting, radius)))
     for _ in range(most_rounds):
         again = written(conflicts(_fused(lasting, found).withColumnRenamed("id", "entity_id"), radius))
         if again.isEmpty():
             return _fused(lasting, found)
-        merged = components(again).withColumnRenamed("node", "old").withColumnRenamed("component", "new")
+        merged = connected(again).withColumnRenamed("node", "old").withColumnRenamed("component", "new")
         whole = lasting.select(F.col("entity_id").alias("node")).join(found, "node", "left").select("node", F.coalesce("component", "node").alias("old"))
         found = written(whole.join(merged, "old", "left").select("node", F.coalesce("new", "old").alias("component")))
     raise RuntimeError(f"fusion did not settle in {most_rounds} rounds")

@@ -12,15 +12,15 @@ from pyspark.sql import SparkSession
 
 
 def ship(spark: SparkSession) -> None:
-    """Add the core of this package to the session's Python files, once."""
+    """Add this package, all of it that is present, to the session's Python files, once."""
     context = spark.sparkContext
-    if getattr(context, "_geopat_core", False):
+    if getattr(context, "_geopat_shipped", False):
         return
     root = Path(__file__).resolve().parents[1]
-    folder = tempfile.mkdtemp(prefix="geopat-core-")
+    folder = tempfile.mkdtemp(prefix="geopat-code-")
     atexit.register(shutil.rmtree, folder, ignore_errors=True)
-    with zipfile.ZipFile(f"{folder}/geopat_core.zip", "w") as out:
+    with zipfile.ZipFile(f"{folder}/geopat_code.zip", "w") as out:
         for path in sorted(root.rglob("*.py")):
             out.write(path, str(path.relative_to(root.parent)))
-    context.addPyFile(f"{folder}/geopat_core.zip")
-    context._geopat_core = True
+    context.addPyFile(f"{folder}/geopat_code.zip")
+    context._geopat_shipped = True

@@ -3,10 +3,12 @@
 import math
 from itertools import combinations
 
+import pytest
 from pyspark.sql import functions as F
 
 from geopat.functions.stats import t_upper
 from geopat.operators import cluster, forest, lasting, mine, relate
+from geopat.plans import components, scratch
 
 MIN = 60_000_000
 COLUMNS = "entity_id long, type string, kind string, start_us long, end_us long, street long, side string, zip long, city long, state long, lat double, lon double, station long"
@@ -131,3 +133,27 @@ def test_plans_have_no_nested_loop(spark):
     for df in (relate.links(rows), lasting.conflicts(rows)):
         plan = df._jdf.queryExecution().executedPlan().toString()
         assert "NestedLoop" not in plan and "Cartesian" not in plan
+
+
+def test_components(spark, monkeypatch):
+    chain = [(i, i + 1) for i in range(40)] + [(100, 200), (200, 300), (7, 7), (500, 500), (None, 3)] + [(1000, 1001 + i) for i in range(60)] + [(5000 - i, 6000) for i in range(60)]
+    links = spark.createDataFrame(chain, "a long, b long").repartition(8)
+    expected = {**dict.fromkeys(range(41), 0), 100: 100, 200: 100, 300: 100, 500: 500, **dict.fromkeys(range(1000, 1061), 1000), **dict.fromkeys([*range(4941, 5001), 6000], 4941)}
+    for few in (20_000, 0):  # with and without a join of their own for hubs
+        monkeypatch.setattr(scratch, "FEW_ROWS", few)
+        monkeypatch.setattr(components, "FEW_ROWS", few)
+        monkeypatch.setattr(scratch, "HOT_SHARE", 0.1)
+        assert {r.node: r.component for r in components.connected(links).collect()} == expected
+    with pytest.raises(RuntimeError):
+        components.connected(links, most_rounds=1)
+
+
+def test_no_folder_of_its_own_on_a_cluster(spark):
+    class Elsewhere:
+        master = "spark://host:7077"
+
+    class Session:
+        conf, sparkContext = type("C", (), {"get": staticmethod(lambda *_: None)}), Elsewhere
+
+    with pytest.raises(RuntimeError):
+        scratch.folder(Session)
