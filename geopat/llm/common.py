@@ -1,18 +1,13 @@
-"""Shared pieces: table reading, scratch tables in the cluster's shared folder, column hygiene."""
+"""Shared pieces: table reading, written intermediate tables, column hygiene."""
 
 from __future__ import annotations
 
-import atexit
-import shutil
-import tempfile
-import uuid
-import zipfile
-from pathlib import Path
-from urllib.parse import urlparse
-
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from geopat.plans import ship as code
+from geopat.plans.scratch import written
+
 #: A word, as every contract of this folder defines it (Java and Python regular expressions agree on it).
 WORD = r"[^\x20\x09-\x0D]+"
 
@@ -22,18 +17,8 @@ BATCH_ROWS = 1000
 
 
 def ship(spark: SparkSession) -> None:
-    """Give the executors' Python this package, once per session, wherever the driver was started."""
-    context = spark.sparkContext
-    if getattr(context, "_geopat_shipped", False):
-        return
-    root = Path(__file__).resolve().parents[1]
-    folder = tempfile.mkdtemp(prefix="geopat-code-")
-    atexit.register(shutil.rmtree, folder, ignore_errors=True)
-    with zipfile.ZipFile(f"{folder}/geopat_code.zip", "w") as out:
-        for path in sorted(root.rglob("*.py")):
-            out.write(path, str(path.relative_to(root.parent)))
-    context.addPyFile(f"{folder}/geopat_code.zip")
-    context._geopat_shipped = True
+    """Give the executors' Python this package, and small Arrow batches unless the session sets their size itself."""
+    code.ship(spark)
     if spark.conf.get("spark.sql.execution.arrow.maxRecordsPerBatch") == "10000":
         spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", str(BATCH_ROWS))
 
@@ -43,38 +28,17 @@ def table(spark: SparkSession, folder: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{folder}/{name}.parquet")
 
 
-def shared_dir(spark: SparkSession) -> str:
-    """The folder of spark.checkpoint.dir; where none is set (tests), a temporary one of this process."""
-    found = spark.conf.get("spark.checkpoint.dir", None)
-    if found:
-        return found.rstrip("/")
-    global _own
-    if _own is None:
-        _own = tempfile.mkdtemp(prefix="geopat-")
-        atexit.register(shutil.rmtree, _own, ignore_errors=True)
-    return _own
-
-
-_own: str | None = None
-
-
-def materialise(df: DataFrame, *partition_hint: str) -> DataFrame:
+def materialise(df: DataFrame) -> DataFrame:
     """Cut lineage: write the rows as Parquet in the shared folder and read them back.
 
-    Unlike a block in an executor's memory, the table outlives lost executors.  It is
-    removed when the session's process ends.
+    Unlike a block in an executor's memory, the table outlives lost executors.
     """
-    spark = df.sparkSession
-    path = f"{shared_dir(spark)}/geopat-{uuid.uuid4().hex}"
-    df.write.parquet(path)
-    if urlparse(path).scheme in ("", "file"):
-        atexit.register(shutil.rmtree, urlparse(path).path, ignore_errors=True)
-    return spark.read.schema(df.schema).parquet(path)
+    return written(df)
 
 
-def tasks_for(df: DataFrame, least: int = 1) -> int:
-    """Shuffle partitions of the session, the unit by which packed shuffles are dealt."""
-    return max(least, int(df.sparkSession.conf.get("spark.sql.shuffle.partitions")))
+def parts_for(rows: int, room: int) -> int:
+    """Parts of at most about `room` rows each, by what there is and not by the session's settings."""
+    return max(1, -(-rows // room))
 
 
 def text_or_empty(name: str = "text") -> Column:

@@ -1,21 +1,27 @@
 """Line dedup by pairwise alignment.
 
-A line's hash is that of its text without outer blanks; lines of at least LEAST_WORDS
-words can show that documents overlap.  Documents of equal lines are one class, of which the
-first (by id) is compared; the others lose all.  Of a line that at most RARE classes hold, every later
-holder is paired with every earlier one.  Where more hold it, each is paired with the first; one that
-keeps an occurrence of the line after that is then paired with all earlier holders, so no
-line is left out for being common.  Short and blank lines beside a common line go by these pairs
-alone.  Rarest shared lines come first in a pair
-of course: patience alignment hangs on lines that are unique in both documents.  It takes the
-longest rising run of these, recurses between them and grows over equal neighbours.
-An aligned block with at least one such line is deleted from the later document.
-
-Alignment is always against texts as given, so the order of pairs does not matter.
-Null and empty texts have one blank line and lose nothing.  Rows with a null id are not
-paired; rows that share an id are not paired with each other, and are told alike only
-for their own lines.  A text whose lines are all deleted becomes empty.  Other columns pass
-through.  An empty table gives no rows.
+A line's hash is that of its text without outer blanks.  A line of at least LEAST_WORDS
+words or LEAST_BYTES bytes can show that documents overlap.  Documents of equal lines are
+one class, of which the first (by id) is compared; if the text as a whole is long enough to
+show overlap, the others lose all of it.
+
+Rare lines, those that at most RARE classes hold, lead to pairs: every later holder is
+aligned with every earlier one.  Patience alignment hangs on lines that are unique in both
+documents: it takes the longest rising run of these, recurses between them and grows over
+equal neighbours.  An aligned block with at least one line that can show overlap is deleted
+from the later document.
+
+Lines that more classes hold give no pairs, which would grow with the square of the holders.
+Such a line is a one-line block that its first holder shares with all others, and goes from
+every later holder.  A run of short and blank lines goes with the two lines around it,
+if an earlier document has the same run between the same two.  So no line is left out for
+being common, and work grows with the text.
+
+Alignment is always against texts as given, so the order of pairs does not matter.  Null and
+empty texts have one blank line and lose nothing.  Rows with a null id lose nothing and
+take nothing.  Rows that share an id are judged each by its own lines, and never against each
+other; repeated rows and ties so fare alike.  A text whose lines are all deleted becomes
+empty.  Other columns pass through, whatever their names.  An empty table gives no rows.
 """
 
 from __future__ import annotations
@@ -29,23 +35,44 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import materialise, table
+from geopat.plans.scratch import hot_join
+
+from .common import materialise, ship, table
 
 LEAST_WORDS = 3
-RARE = 16
+LEAST_BYTES = 24
+RARE = 8
 BLANKS = " \t\x0b\x0c\r"
+_EDGE = b"\0" * 8
+
+
+def _shows(words: int, size: int) -> bool:
+    return words >= LEAST_WORDS or size >= LEAST_BYTES
 
 
 def line_hashes(text: str | None) -> np.ndarray:
     """A hash per line; the lowest bit says that the line can show overlap, and blank lines are 0."""
     out = []
     for line in (text or "").split("\n"):
-        bare = line.strip(BLANKS)
-        h = xxhash.xxh3_64_intdigest(bare.encode("utf-8", "surrogatepass")) & ~1 if bare else 0
-        out.append(h | (len(bare.encode("utf-8", "surrogatepass").split()) >= LEAST_WORDS))
+        bare = line.strip(BLANKS).encode("utf-8", "surrogatepass")
+        h = xxhash.xxh3_64_intdigest(bare) & ~1 if bare else 0
+        out.append(h | _shows(len(bare.split()), len(bare)))
     return np.array(out, np.uint64)
 
 
+def runs_between(lines: np.ndarray) -> list[tuple[int, int, int]]:
+    """(start, end, key) of the runs of lines that show nothing; the key, an even number, says what the run and the lines around it are."""
+    shows = np.flatnonzero(lines & np.uint64(1))
+    if not len(shows):
+        return []
+    out, raw = [], lines.tobytes()
+    for left, right in zip([-1, *shows.tolist()], [*shows.tolist(), len(lines)], strict=True):
+        if right - left > 1:
+            around = (raw[8 * left : 8 * left + 8] if left >= 0 else _EDGE) + raw[8 * (left + 1) : 8 * right + 8]
+            out.append((left + 1, right, xxhash.xxh3_64_intdigest(around, 1 + (right == len(lines))) & ~1))
+    return out
+
+
 def _rising(places: list[int]) -> list[int]:
     """Indices of a longest strictly rising run."""
     tails: list[int] = []
@@ -101,8 +128,6 @@ def aligned(a: list[int], b: list[int]) -> list[int]:
 
 def common_blocks(a: np.ndarray, b: np.ndarray) -> list[int]:
     """Places in b of aligned blocks that hold a line which can show overlap."""
-    if len(a) == len(b) and (a == b).all():
-        return list(range(len(b))) if (b & np.uint64(1)).any() else []
     held = b.tolist()
     out: list[int] = []
     block: list[int] = []
@@ -115,91 +140,135 @@ def common_blocks(a: np.ndarray, b: np.ndarray) -> list[int]:
     return out
 
 
-def removals(docs: DataFrame) -> DataFrame:
-    """(doc_id, lines): numbers of the lines that a document loses; documents that lose none are absent."""
+def _digest(lines: np.ndarray) -> int:
+    return xxhash.xxh3_64_intdigest(lines.tobytes(), 3) - (1 << 63)
+
 
-    def hashed(rows: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+def _hashed(docs: DataFrame) -> DataFrame:
+    """Per known row: its lines' hashes, two digests of them, whether the text as a whole can show overlap, and its distinct keys (lines that show overlap, and runs between)."""
+
+    def run(rows: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in rows:
-            raw = [line_hashes(t.as_py()) for t in batch["text"]]
-            sets = [np.unique(x[(x & np.uint64(1)) == 1]).view(np.int64) for x in raw]
-            yield pa.RecordBatch.from_arrays([batch["doc_id"], pa.array([x.tobytes() for x in raw], pa.binary()), pa.array([x.tolist() for x in sets], pa.list_(pa.int64()))], names=["doc_id", "lines", "showing"])
+            out = []
+            for doc_id, text in zip(batch["doc_id"].to_pylist(), batch["text"], strict=True):
+                whole = text.as_py() or ""
+                lines = line_hashes(whole)
+                keys = np.unique(np.concatenate((lines[(lines & np.uint64(1)) == 1], np.array([k for *_, k in runs_between(lines)], np.uint64))))
+                raw = lines.tobytes()
+                out.append((doc_id, _digest(lines), xxhash.xxh3_64_intdigest(raw, 4) - (1 << 63), raw, _shows(len(whole.split()), len(whole.strip())), keys.view(np.int64).tolist()))
+            kinds = (pa.int64(), pa.int64(), pa.int64(), pa.binary(), pa.bool_(), pa.list_(pa.int64()))
+            columns = zip(*out, strict=True) if out else [[] for _ in kinds]
+            yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(columns, kinds, strict=True)], names=["doc_id", "d1", "d2", "lines", "whole", "keys"])
 
     known = docs.where("doc_id is not null").select(F.col("doc_id").cast("long").alias("doc_id"), "text")
-    held = materialise(known.mapInArrow(hashed, "doc_id long, lines binary, showing array<long>"))
-    alike = held.groupBy("lines").agg(F.min("doc_id").alias("leader"), F.first("showing").alias("showing"))
-    leaders = materialise(alike.select(F.col("leader").alias("doc_id"), "lines", "showing"))
-    copies = held.join(leaders.where("size(showing) > 0").select(F.col("doc_id").alias("leader"), "lines"), "lines").where("leader < doc_id")
-    whole = copies.select("doc_id", F.sequence(F.lit(0), (F.length("lines") / 8).cast("int") - 1).alias("lines"))
-    entries = leaders.select("doc_id", F.explode("showing").alias("line"))
-    shared = entries.groupBy("line").agg(F.min("doc_id").alias("first"), F.max("doc_id").alias("last"), F.count("*").alias("n")).where("first < last").drop("last")
-    known_by = materialise(entries.join(shared, "line"))
-    rare, common = known_by.where(F.col("n") <= RARE).select("doc_id", "line"), known_by.where(F.col("n") > RARE)
-
-    def earlier_holders(of: DataFrame, among: DataFrame) -> DataFrame:
-        return of.join(among.select(F.col("doc_id").alias("first"), "line"), "line").where("first < doc_id").select("doc_id", "first")
-
-    def align(rows: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in rows:
-            out = [common_blocks(np.frombuffer(a, np.uint64), np.frombuffer(b, np.uint64)) for a, b in zip(batch["a"].to_pylist(), batch["b"].to_pylist(), strict=True)]
-            yield pa.RecordBatch.from_arrays([batch["doc_id"], pa.array(out, pa.list_(pa.int32()))], names=["doc_id", "lines"])
+    return known.mapInArrow(run, "doc_id long, d1 long, d2 long, lines binary, whole boolean, keys array<long>")
 
-    def compared(pairs: DataFrame) -> DataFrame:
-        """(doc_id, lines) that the pairs' later documents lose."""
-        earlier = leaders.select(F.col("doc_id").alias("first"), F.col("lines").alias("a"))
-        later = leaders.select("doc_id", F.col("lines").alias("b"))
-        found = pairs.distinct().join(later, "doc_id").join(earlier, "first").select("doc_id", "a", "b").mapInArrow(align, "doc_id long, lines array<int>").where("size(lines) > 0")
-        return found.groupBy("doc_id").agg(F.array_distinct(F.flatten(F.collect_set("lines"))).alias("lines"))
 
-    def staying(rows: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in rows:
-            ids, lines = [], []
-            for doc_id, b, gone in zip(batch["doc_id"].to_pylist(), batch["b"].to_pylist(), batch["gone"].to_pylist(), strict=True):
-                all_lines = np.frombuffer(b, np.uint64)
-                stays = np.ones(len(all_lines), bool)
-                stays[[x for x in gone or () if x < len(stays)]] = False
-                left = np.unique(all_lines[stays & ((all_lines & np.uint64(1)) == 1)]).view(np.int64).tolist()
-                ids += [doc_id] * len(left)
-                lines += left
-            yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(lines, pa.int64())], names=["doc_id", "line"])
-
-    once = materialise(compared(earlier_holders(rare, rare).unionByName(common.where("first < doc_id").select("doc_id", "first"))))
-    unsettled = leaders.join(common.where("first < doc_id").select("doc_id").distinct(), "doc_id").select("doc_id", F.col("lines").alias("b"))
-    kept = unsettled.join(once.withColumnRenamed("lines", "gone"), "doc_id", "left").select("doc_id", "b", "gone").mapInArrow(staying, "doc_id long, line long")
-    again = compared(earlier_holders(kept, common))
-    return once.unionByName(again).unionByName(whole).groupBy("doc_id").agg(F.array_distinct(F.flatten(F.collect_list("lines"))).alias("lines"))
+def _align(rows: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    for batch in rows:
+        out = [common_blocks(np.frombuffer(a, np.uint64), np.frombuffer(b, np.uint64)) for a, b in zip(batch["a"].to_pylist(), batch["b"].to_pylist(), strict=True)]
+        yield pa.RecordBatch.from_arrays([batch["doc_id"], batch["d1"], pa.array(out, pa.list_(pa.int32()))], names=["doc_id", "d1", "places"])
+
+
+def removals(docs: DataFrame) -> DataFrame:
+    """(doc_id, told): what a document loses, as an array of (d1, places, keys).
+
+    d1 is the digest of the lines that the entry is meant for, null for all.  Places and keys both null mean all
+    lines.  Documents that lose none are absent.
+    """
+    ship(docs.sparkSession)
+    held = materialise(_hashed(docs))
+    alike = held.groupBy("d1", "d2").agg(F.min("doc_id").alias("leader"), F.first("lines").alias("lines"), F.first("whole").alias("whole"), F.first("keys").alias("keys"), F.count("*").alias("n"))
+    classes = materialise(alike)
+    leaders = classes.select(F.col("leader").alias("doc_id"), "d1", "lines", "keys")
+    many = classes.where("n > 1 and whole").select("d1", F.col("d2").alias("e2"), "leader", "n")
+    slim = held.select("doc_id", "d1", "d2")
+    copies = hot_join(slim, many, "d1", "n", held.count()).where("d2 = e2 and leader < doc_id").select("doc_id", "d1", F.lit(None).cast("array<int>").alias("places"), F.lit(None).cast("array<long>").alias("keys"))
+
+    entries = leaders.select("doc_id", F.explode("keys").alias("key"))
+    shared = materialise(entries.groupBy("key").agg(F.min("doc_id").alias("first"), F.max("doc_id").alias("last"), F.count("*").alias("n")).where("first < last").drop("last"))
+    met = materialise(hot_join(entries, shared, "key", "n", shared.agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]))
+    is_line = F.col("key").bitwiseAND(F.lit(1)) == 1
+    common = met.where((~is_line | (F.col("n") > RARE)) & (F.col("first") < F.col("doc_id")))
+    by_key = common.groupBy("doc_id").agg(F.collect_set("key").alias("keys")).select("doc_id", F.lit(None).cast("long").alias("d1"), F.lit(None).cast("array<int>").alias("places"), "keys")
+
+    of_line = met.where(is_line & (F.col("n") <= RARE)).groupBy("key").agg(F.sort_array(F.collect_set("doc_id")).alias("ids"))  # RARE ids at most
+    each = F.flatten(F.transform("ids", lambda x, i: F.transform(F.slice("ids", 1, i), lambda y: F.struct(x.alias("doc_id"), y.alias("first")))))
+    pairs = of_line.select(F.inline(each)).distinct()
+    earlier = leaders.select(F.col("doc_id").alias("first"), F.col("lines").alias("a"))
+    later = leaders.select("doc_id", "d1", F.col("lines").alias("b"))
+    found = pairs.join(later, "doc_id").join(earlier, "first").select("doc_id", "d1", "a", "b").mapInArrow(_align, "doc_id long, d1 long, places array<int>").where("size(places) > 0")
+    by_pair = found.groupBy("doc_id", "d1").agg(F.array_distinct(F.flatten(F.collect_list("places"))).alias("places")).withColumn("keys", F.lit(None).cast("array<long>"))
+
+    every = copies.unionByName(by_key).unionByName(by_pair)
+    return every.groupBy("doc_id").agg(F.collect_set(F.struct("d1", "places", "keys")).alias("told"))
+
+
+def _gone(lines: np.ndarray, told: list[dict]) -> np.ndarray:
+    """Which lines of a text the entries meant for it delete."""
+    out = np.zeros(len(lines), bool)
+    own, keys = _digest(lines), set()
+    for entry in told:
+        if entry["d1"] is not None and entry["d1"] != own:
+            continue
+        if entry["places"] is None and entry["keys"] is None:
+            out[:] = True
+        out[entry["places"] or []] = True
+        keys.update(entry["keys"] or ())
+    if keys:
+        out |= np.isin(lines.view(np.int64), np.array([k for k in keys if k & 1], np.int64))
+        for start, end, key in runs_between(lines):
+            around = ([start - 1] if start else []) + ([end] if end < len(lines) else [])
+            if key - (1 << 64) * (key >> 63) in keys and out[around].all():
+                out[start:end] = True
+    return out
 
 
 def without_lines(docs: DataFrame, gone: DataFrame) -> DataFrame:
-    """The documents with n_lines, n_removed and the text that is left; other columns as given."""
+    """row (the row as given, text apart), left (the text that is left), n_lines, n_removed."""
+    ship(docs.sparkSession)
     names = [c for c in docs.columns if c != "text"]
-    told = docs.join(gone.select(F.col("doc_id").alias("_told"), F.col("lines").alias("_lines")), F.col("_told") == F.col("doc_id"), "left")
+    packed = docs.select(F.struct(*[F.col(f"`{c}`") for c in names]).alias("row"), "text", F.col("doc_id").cast("long").alias("id"))
+    told = packed.join(gone.select(F.col("doc_id").alias("id"), "told"), "id", "left").select("row", "text", "told")
 
     def run(rows: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in rows:
             texts, n_lines, n_removed = [], [], []
-            for text, lines in zip(batch["text"].to_pylist(), batch["_lines"].to_pylist(), strict=True):
+            for text, entries in zip(batch["text"].to_pylist(), batch["told"].to_pylist(), strict=True):
+                if not entries:
+                    texts.append(text)
+                    n_lines.append((text or "").count("\n") + 1)
+                    n_removed.append(0)
+                    continue
+                drop = _gone(line_hashes(text), entries)
                 parts = (text or "").split("\n")
-                drop = {i for i in lines or () if i < len(parts)}
                 n_lines.append(len(parts))
-                n_removed.append(len(drop))
-                texts.append("\n".join(p for i, p in enumerate(parts) if i not in drop) if drop else text)
-            yield pa.RecordBatch.from_arrays([batch["_row"], pa.array(texts, pa.string()), pa.array(n_lines, pa.int64()), pa.array(n_removed, pa.int64())], names=["_row", "_text", "_n_lines", "_n_removed"])
+                n_removed.append(int(drop.sum()))
+                texts.append("\n".join(p for p, d in zip(parts, drop.tolist(), strict=True) if not d) if drop.any() else text)
+            yield pa.RecordBatch.from_arrays([batch["row"], pa.array(texts, pa.string()), pa.array(n_lines, pa.int64()), pa.array(n_removed, pa.int64())], names=["row", "left", "n_lines", "n_removed"])
 
-    packed = told.select(F.struct(*names).alias("_row"), "text", "_lines")
-    schema = packed.select("_row").schema.add("_text", "string").add("_n_lines", "long").add("_n_removed", "long")
-    return packed.mapInArrow(run, schema).select("_row.*", F.col("_text").alias("text"), F.col("_n_lines").alias("n_lines"), F.col("_n_removed").alias("n_removed"))
+    schema = told.select("row").schema.add("left", "string").add("n_lines", "long").add("n_removed", "long")
+    return told.mapInArrow(run, schema)
 
 
 def op5_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents").select("doc_id", "text")
-    left = without_lines(docs, removals(docs))
-    return left.select("doc_id", "n_lines", "n_removed", F.sha2(F.coalesce("text", F.lit("")), 256).alias("kept_sha256"))
+    kept = without_lines(docs, removals(docs))
+    return kept.select("row.doc_id", "n_lines", "n_removed", F.sha2(F.coalesce("left", F.lit("")), 256).alias("kept_sha256"))
 
 
 def clean_documents(docs: DataFrame) -> DataFrame:
     """The documents without their repeated lines; columns as in `docs`.  One that had words and has none left goes."""
-    left = without_lines(docs, removals(docs))
-    bare = F.length(F.translate(F.coalesce("text", F.lit("")), " \t\n\x0b\x0c\r", "")) == 0
+    kept = without_lines(docs, removals(docs))
+    bare = F.length(F.translate(F.coalesce("left", F.lit("")), " \t\n\x0b\x0c\r", "")) == 0
     changed = F.col("n_removed") > 0
-    fresh = {"n_chars": F.when(changed, F.length("text")).otherwise(F.col("n_chars")).cast(docs.schema["n_chars"].dataType)} if "n_chars" in docs.columns else {}
-    return left.where(~(changed & bare)).withColumns(fresh).select(*docs.columns)
+
+    def column(name: str):  # noqa: ANN202
+        if name == "text":
+            return F.col("left").alias(name)
+        given = F.col("row").getField(name)
+        if name == "n_chars":
+            return F.when(changed, F.length("left")).otherwise(given).cast(docs.schema[name].dataType).alias(name)
+        return given.alias(name)
+
+    return kept.where(~(changed & bare)).select(*[column(c) for c in docs.columns])

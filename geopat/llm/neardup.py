@@ -2,18 +2,20 @@
 
 A document's set holds the hashes of its n-word shingles (of all its words, where it has fewer), words
 lower-cased for A-Z.  Its sketch is the k smallest.  Documents with equal sets are one
-class and stand for one another.  Inverted lists hold, for each run of three sketch values
+class and stand for one another.  Inverted lists hold, for each run of three retained values
 that follow one another in a sketch, the classes that retain it.  Sets that reach the
 threshold 0.8 always share such a run when their sketches are whole (a difference of at
 most a quarter of the shared values cannot cut them all; sets of four and five also
 list runs of two), and fail to with a chance under 1e-9 when cut at 64.  Runs, unlike
-single values, are rare among documents that merely share common words.
+single values, are rare among documents that merely share common words: a single value of a
+common shingle has a list as long as the corpus.
 
 Short lists give all their pairs of fitting sizes.  A long list gives pairs with two
-pivots; members that these leave in different components are then compared in blocks
-inside tasks, and only links come out.  Every candidate passes the estimate from the
-sketch of the union (a filter five standard errors wide) and then exact comparison of
-full sets.  No list is cut and no partner dropped.
+pivots, first within each task's sketches, so that only the task's pivot of such a list goes on
+to the list of the whole.  Members whose component then differs from that of a pivot they were listed with
+are compared in blocks inside tasks, with all that their cluster lists, and only links come out.
+Every candidate passes the estimate from the sketch of the union (a filter five standard errors
+wide) and then exact comparison of full sets.  No list is cut and no partner dropped.
 
 Null and empty texts and texts without words have empty sets and link with nothing.
 Rows with a null id link with nothing, have no component and are kept.  Rows that
@@ -30,14 +32,23 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import materialise, table, tasks_for
-from .components import connected
+from geopat.plans.components import connected
+
+from .common import materialise, parts_for, ship, table
 from .wordhash import Words, blocks, gram_hash, mix, window_mask
 
 K = 64
 RUN = 3
 #: Lists up to this length give all pairs.
 SHORT = 24
+#: Members that a list must have among one task's sketches to be reduced to its pivots there.
+LOCAL = 8
+#: Mark, beside a set's size, of an entry that stands for such a list.
+PIVOT = np.uint32(1 << 31)
+#: Classes whose sketches are listed together.
+GATHER = 20_000
+#: List entries of a part.
+PART = 800_000
 PIVOTS = 2
 BLOCK = 512
 #: Values that the sets of one side of a block may have in all.
@@ -96,79 +107,130 @@ def _runs(values: np.ndarray) -> np.ndarray:
     return np.append(np.flatnonzero(np.concatenate(([True], values[1:] != values[:-1]))), len(values))
 
 
-def list_entries(classes: DataFrame, parts: int) -> DataFrame:
-    """(part, keys, ids, sizes): entries of inverted lists, dealt by key."""
+def _fits(x: np.ndarray, y: np.ndarray, percent: int) -> np.ndarray:
+    return 100 * np.minimum(x, y) >= percent * np.maximum(x, y)
+
+
+def _stars(ids: np.ndarray, sizes: np.ndarray, edges: np.ndarray, chosen: np.ndarray, percent: int) -> tuple[np.ndarray, np.ndarray]:
+    """Of lists (ids ascending in edges[i]:edges[i+1]): candidate pairs with two pivots, and (pivot, member) for every other member."""
+    pairs, members = [np.zeros((0, 2), np.int64)], [np.zeros((0, 2), np.int64)]
+    for i in chosen:
+        x, n = ids[edges[i] : edges[i + 1]], sizes[edges[i] : edges[i + 1]]
+        for salt in range(PIVOTS):
+            p = 0 if salt == 0 else int(np.argmin(mix(x.view(np.uint64) + np.uint64(salt))))
+            near = _fits(n, n[p], percent) & (x != x[p])
+            pairs.append(np.column_stack((np.minimum(x[near], x[p]), np.maximum(x[near], x[p]))))
+        members.append(np.column_stack((np.full(len(x) - 1, x[0]), x[1:])))
+    return np.unique(np.concatenate(pairs), axis=0), np.unique(np.concatenate(members), axis=0)
+
+
+_LISTED = "part int, keys binary, ids binary, sizes binary"
+
+
+def _packed(rows: list[tuple]) -> pa.RecordBatch:
+    kinds = (pa.int32(), pa.binary(), pa.binary(), pa.binary())
+    columns = zip(*rows, strict=True) if rows else [[] for _ in kinds]
+    return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(columns, kinds, strict=True)], names=["part", "keys", "ids", "sizes"])
+
+
+def list_entries(classes: DataFrame, parts: int, percent: int) -> DataFrame:
+    """Packed rows: entries of inverted lists, dealt by key; under part -1 candidate pairs and under -2 (pivot, member), both from lists that are long within a task."""
+
+    def entries(ids: np.ndarray, n: np.ndarray, raw: list[np.ndarray]) -> pa.RecordBatch:
+        first = np.concatenate(([0], np.cumsum([len(x) for x in raw])))
+        flat = np.concatenate(raw)
+        owner = np.repeat(np.arange(len(raw)), np.diff(first))
+        keys, owners = [], []
+        for length in (RUN, 2):
+            h = gram_hash(flat, length)
+            inside = window_mask(first, length, len(flat))
+            at = owner[: len(h)]
+            if length == 2 and len(h):
+                inside &= n[at] <= 5
+            keys.append(mix(h[inside] + np.uint64(length)))
+            owners.append(at[inside])
+        keys, owners = np.concatenate(keys), np.concatenate(owners)
+        order = np.lexsort((ids[owners], keys))
+        keys, owners = keys[order], owners[order]
+        edges = _runs(keys)
+        length = np.diff(edges)
+        long = np.flatnonzero(length >= LOCAL)
+        pairs, members = _stars(ids[owners], n[owners], edges, long, percent)
+        stays = np.repeat(length < LOCAL, length)
+        stays[edges[long]] = True
+        size = n[owners].astype(np.uint32)
+        size[edges[long]] |= PIVOT
+        keys, owners, size = keys[stays], owners[stays], size[stays]
+        part = (keys % np.uint64(parts)).astype(np.int32)
+        order = np.argsort(part, kind="stable")
+        part, keys, owners, size = part[order], keys[order], owners[order], size[order]
+        edges = _runs(part)
+        out = [(int(part[a]), keys[a:b].tobytes(), ids[owners[a:b]].tobytes(), size[a:b].tobytes()) for a, b in zip(edges[:-1], edges[1:], strict=True) if b > a]
+        out += [(kind, x[:, 0].tobytes(), x[:, 1].tobytes(), b"") for kind, x in ((-1, pairs), (-2, members)) if len(x)]
+        return _packed(out)
 
     def run(rows: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        ids, n, raw = [], [], []
         for batch in rows:
-            ids, n = batch["doc_id"].to_numpy(), batch["n"].to_numpy()
-            raw = [np.frombuffer(x, np.uint64) for x in batch["sketch"].to_pylist()]
-            first = np.concatenate(([0], np.cumsum([len(x) for x in raw])))
-            flat = np.concatenate(raw) if raw else np.zeros(0, np.uint64)
-            owner = np.repeat(np.arange(len(raw)), np.diff(first))
-            keys, owners = [], []
-            for length in (RUN, 2):
-                h = gram_hash(flat, length)
-                inside = window_mask(first, length, len(flat))
-                at = owner[: len(h)]
-                if length == 2 and len(h):
-                    inside &= n[at] <= 5
-                keys.append(mix(h[inside] + np.uint64(length)))
-                owners.append(at[inside])
-            keys, owners = np.concatenate(keys), np.concatenate(owners)
-            part = (keys % np.uint64(parts)).astype(np.int32)
-            order = np.argsort(part, kind="stable")
-            part, keys, owners = part[order], keys[order], owners[order]
-            edges = _runs(part)
-            out = [(int(part[a]), keys[a:b].tobytes(), ids[owners[a:b]].tobytes(), n[owners[a:b]].astype(np.uint32).tobytes()) for a, b in zip(edges[:-1], edges[1:], strict=True) if b > a]
-            if out:
-                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*out, strict=True), (pa.int32(), pa.binary(), pa.binary(), pa.binary()), strict=True)], names=["part", "keys", "ids", "sizes"])
-
-    return classes.select("doc_id", "n", "sketch").mapInArrow(run, "part int, keys binary, ids binary, sizes binary")
-
-
-def list_pairs(entries: DataFrame, percent: int) -> DataFrame:
-    """(key, a, b): candidate pairs, key null; and members a of long lists by key, b null."""
-
-    def fits(x: np.ndarray, y: np.ndarray) -> np.ndarray:
-        return 100 * np.minimum(x, y) >= percent * np.maximum(x, y)
+            ids.append(batch["doc_id"].to_numpy())
+            n.append(batch["n"].to_numpy())
+            raw += [np.frombuffer(x, np.uint64) for x in batch["sketch"].to_pylist()]
+            if len(raw) >= GATHER:
+                yield entries(np.concatenate(ids), np.concatenate(n), raw)
+                ids, n, raw = [], [], []
+        if raw:
+            yield entries(np.concatenate(ids), np.concatenate(n), raw)
+
+    return classes.select("doc_id", "n", "sketch").mapInArrow(run, _LISTED)
+
+
+def list_pairs(listed: DataFrame, percent: int) -> DataFrame:
+    """The same packed rows, -1 and -2, from the lists of the whole."""
 
     def run(rows: pa.Table) -> pa.Table:
         keys = np.concatenate([np.frombuffer(x, np.uint64) for x in rows["keys"].to_pylist()])
         ids = np.concatenate([np.frombuffer(x, np.int64) for x in rows["ids"].to_pylist()])
-        n = np.concatenate([np.frombuffer(x, np.uint32) for x in rows["sizes"].to_pylist()]).astype(np.int64)
+        n = np.concatenate([np.frombuffer(x, np.uint32) for x in rows["sizes"].to_pylist()])
         order = np.lexsort((ids, keys))
         keys, ids, n = keys[order], ids[order], n[order]
+        pivot, n = (n & PIVOT) > 0, (n & ~PIVOT).astype(np.int64)
         edges = _runs(keys)
         length = np.diff(edges)
-        a, b = [np.zeros(0, np.int64)], [np.zeros(0, np.int64)]
+        pairs = [np.zeros((0, 2), np.int64)]
         # Short lists: every place with the place d further on, for each d.
         of = np.repeat(np.arange(len(length)), length)
         short = (length <= SHORT)[of] if len(of) else np.zeros(0, bool)
         for d in range(1, min(SHORT, int(length.max(initial=0)))):
             here = np.flatnonzero(short[:-d] & (of[:-d] == of[d:]))
-            here = here[fits(n[here], n[here + d]) & (ids[here] != ids[here + d])]
-            a.append(ids[here])
-            b.append(ids[here + d])
-        key_out, member = [], []
-        for i in np.flatnonzero(length > SHORT):
-            x, size = ids[edges[i] : edges[i + 1]], n[edges[i] : edges[i + 1]]
-            for salt in range(PIVOTS):
-                p = 0 if salt == 0 else int(np.argmin(mix(x.view(np.uint64) + np.uint64(salt))))
-                near = fits(size, size[p]) & (x != x[p])
-                a.append(np.minimum(x[near], x[p]))
-                b.append(np.maximum(x[near], x[p]))
-            key_out.append(np.full(len(x), keys[edges[i]].astype(np.uint64).view(np.int64)))
-            member.append(x)
-        pairs = np.unique(np.column_stack((np.concatenate(a), np.concatenate(b))), axis=0)
-        pair_rows = [pa.nulls(len(pairs), pa.int64()), pa.array(pairs[:, 0]), pa.array(pairs[:, 1])]
-        out = [pa.table(pair_rows, names=["key", "a", "b"])]
-        if member:
-            m = np.concatenate(member)
-            out.append(pa.table([pa.array(np.concatenate(key_out)), pa.array(m), pa.nulls(len(m), pa.int64())], names=["key", "a", "b"]))
-        return pa.concat_tables(out)
-
-    return entries.groupBy("part").applyInArrow(run, "key long, a long, b long")
+            here = here[_fits(n[here], n[here + d], percent) & (ids[here] != ids[here + d])]
+            pairs.append(np.column_stack((ids[here], ids[here + d])))
+        # A short list that holds the pivot of a task's long one stands for more members than it lists.
+        stands = np.bincount(of[pivot], minlength=len(length)) > 0
+        chain = np.flatnonzero(short[:-1] & (of[:-1] == of[1:]) & stands[of[:-1]])
+        starred, members = _stars(ids, n, edges, np.flatnonzero(length > SHORT), percent)
+        pairs = np.unique(np.concatenate((*pairs, starred)), axis=0)
+        members = np.unique(np.concatenate((members, np.column_stack((ids[edges[of[chain]]], ids[chain + 1])))), axis=0)
+        out = [(kind, x[:, 0].tobytes(), x[:, 1].tobytes(), b"") for kind, x in ((-1, pairs), (-2, members)) if len(x)]
+        return pa.Table.from_batches([_packed(out)])
+
+    return listed.where("part >= 0").groupBy("part").applyInArrow(run, _LISTED)
+
+
+def _unpacked(rows: DataFrame, kind: int) -> DataFrame:
+    """Distinct (a, b) of the packed rows of one kind."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held = [np.zeros((0, 2), np.int64)]
+        for batch in batches:
+            held += [np.column_stack((np.frombuffer(a, np.int64), np.frombuffer(b, np.int64))) for a, b in zip(batch["keys"].to_pylist(), batch["ids"].to_pylist(), strict=True)]
+            if sum(map(len, held)) > PART:
+                x = np.unique(np.concatenate(held), axis=0)
+                yield pa.RecordBatch.from_arrays([pa.array(x[:, 0]), pa.array(x[:, 1])], names=["a", "b"])
+                held = [np.zeros((0, 2), np.int64)]
+        x = np.unique(np.concatenate(held), axis=0)
+        yield pa.RecordBatch.from_arrays([pa.array(x[:, 0]), pa.array(x[:, 1])], names=["a", "b"])
+
+    return rows.where(F.col("part") == kind).select("keys", "ids").mapInArrow(run, "a long, b long").where("a <> b").distinct()
 
 
 def estimate(x: np.ndarray, y: np.ndarray, k: int) -> float:
@@ -236,22 +298,24 @@ def verified(pairs: DataFrame, full: DataFrame, percent: int) -> DataFrame:
 def rest_links(members: DataFrame, found: DataFrame, sketch: DataFrame, full: DataFrame, percent: int, k: int) -> DataFrame:
     """Links (a, b) between members of long lists that lie in different components so far.
 
-    Lists that share members form a cluster.  Within it, sizes fall into bands, each
+    Components are a cluster when (pivot, member) rows lead from one to the other.  Within it, sizes fall into bands, each
     wider by the threshold's inverse, so that only neighbouring bands can link.  Members
     go to one block of their band; those outside the cluster's largest component, which
     may link with any member, are dealt against all blocks of the bands around theirs.
     A task compares the sketches of a block, and packs the pairs that may link in one
     row; a second task gets each full set of these once and returns links alone.
     """
-    placed = members.join(found, members["a"] == found["node"], "left").select("key", "a", F.coalesce("component", "a").alias("component"))
-    mixed = placed.groupBy("key").agg(F.min("a").alias("b"), F.min("component").alias("lo"), F.max("component").alias("hi")).where("lo <> hi").select("key", "b")
-    rows = materialise(placed.join(mixed, "key"))
-    if rows.isEmpty():
-        return rows.select("a", "b")
-    cluster = connected(rows.select("a", "b").distinct())
+    of = lambda name: found.select(F.col("node").alias(name), F.col("component").alias(f"c{name}"))
+    placed = members.join(of("a"), "a", "left").join(of("b"), "b", "left").select("a", "b", F.coalesce("ca", "a").alias("ca"), F.coalesce("cb", "b").alias("cb"))
+    placed = materialise(placed)
+    across = materialise(placed.where("ca <> cb").select(F.col("ca").alias("a"), F.col("cb").alias("b")).distinct())
+    if across.isEmpty():
+        return members.where("false")
+    cluster = connected(across).select(F.col("node").alias("component"), F.col("component").alias("cluster"))
+    listed = placed.select("a", F.col("ca").alias("component")).union(placed.select("b", "cb")).distinct()
     step = F.floor(F.log("n") / F.log(F.lit(100.0 / percent))).cast("int")
     sized = sketch.select(F.col("doc_id").alias("a"), step.alias("band"))
-    parts = materialise(rows.select("a", "component").distinct().join(cluster.select(F.col("node").alias("a"), F.col("component").alias("cluster")), "a").join(sized, "a"))
+    parts = materialise(listed.join(cluster, "component").join(sized, "a"))
     big = parts.groupBy("cluster", "component").agg(F.count("*").alias("n")).groupBy("cluster").agg(F.max_by("component", F.struct("n", "component")).alias("big"))
     known = materialise(parts.join(big, "cluster").withColumn("minor", F.col("component") != F.col("big")))
     right = known.select("cluster", "band", "a", "component", "minor", F.lit(False).alias("first"))
@@ -338,6 +402,7 @@ def _in_common(raw: list[np.ndarray]) -> tuple[int, np.ndarray, np.ndarray]:
 
 def near_duplicates(docs: DataFrame, words: int = 5, percent: int = 80, k: int = K) -> DataFrame:
     """doc_id, n_shingles, component_id, kept of every row of `docs`."""
+    ship(docs.sparkSession)
     sketch = materialise(sketches(docs, words, k))
     known = sketch.where("n > 0 and doc_id is not null")
     groups = known.groupBy("n", "d1", "d2").agg(F.min("doc_id").alias("rep"))
@@ -346,12 +411,13 @@ def near_duplicates(docs: DataFrame, words: int = 5, percent: int = 80, k: int =
     doubles = known.join(same_id.select("doc_id"), "doc_id", "left_semi").join(groups, ["n", "d1", "d2"]).select(F.col("doc_id").alias("a"), F.col("rep").alias("b"))
     reps = groups.select(F.col("rep").alias("doc_id"), "n", "d1", "d2")
     classes = materialise(known.join(reps, ["doc_id", "n", "d1", "d2"], "left_semi").dropDuplicates(["doc_id", "n", "d1", "d2"]))
-    parts = 2 * tasks_for(docs)
-    listed = materialise(list_pairs(list_entries(classes, parts), percent))
+    total = classes.agg(F.sum(F.least("n", F.lit(k)))).first()[0] or 0
+    dealt = materialise(list_entries(classes, parts_for(total, PART), percent))
+    listed = materialise(dealt.where("part < 0").unionByName(list_pairs(dealt, percent)))
     single = classes.groupBy("doc_id").agg(F.first("n").alias("n"), F.min("sketch").alias("sketch")) if not same_id.isEmpty() else classes.select("doc_id", "n", "sketch")
-    pairs = materialise(estimated(listed.where("key is null").select("a", "b").distinct(), single, k, percent))
-    members = listed.where("key is not null").select("key", "a").distinct()
-    full = materialise(full_sets(docs, pairs.select(F.col("a").alias("doc_id")).union(pairs.select("b")).union(members.select("a")), words))
+    pairs = materialise(estimated(_unpacked(listed, -1), single, k, percent))
+    members = materialise(_unpacked(listed, -2))
+    full = materialise(full_sets(docs, pairs.select(F.col("a").alias("doc_id")).union(pairs.select("b")).union(members.select("a")).union(members.select("b")), words))
     found = connected(materialise(verified(pairs, full, percent).union(doubles)))
     more = materialise(rest_links(members, found, single, full, percent, k))
     if not more.isEmpty():
@@ -367,10 +433,11 @@ def near_duplicates(docs: DataFrame, words: int = 5, percent: int = 80, k: int =
 def keep_one(docs: DataFrame, words: int = 5, percent: int = 80) -> DataFrame:
     """One document of each group of near duplicates, that of the smallest id; columns as in `docs`.
 
-    Rows that share an id stay or go together.
+    Rows that share an id stay or go together; rows of null id or without words stay.  An empty table gives no rows.
     """
-    gone = near_duplicates(docs, words, percent).where("not kept").select(F.col("doc_id").alias("_gone")).distinct()
-    return docs.join(gone, F.col("_gone") == F.col("doc_id"), "left_anti")
+    gone = near_duplicates(docs, words, percent).where("not kept").select(F.col("doc_id").alias("id")).distinct()
+    packed = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"), F.col("doc_id").cast("long").alias("id"))
+    return packed.join(gone, "id", "left_anti").select("row.*")
 
 
 def op4_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:

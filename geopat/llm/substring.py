@@ -30,7 +30,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import materialise, table, tasks_for
+from .common import materialise, ship, table
 from .wordhash import Words, blocks, gram_hash, mix, window_mask
 
 WINDOW = 13
@@ -259,7 +259,8 @@ def _among(values: np.ndarray, ordered: np.ndarray) -> np.ndarray:
 
 def remove_repeats(docs: DataFrame, window: int = WINDOW) -> DataFrame:
     """doc_id, n_words, n_removed, kept (remaining words joined by one space), repeats (word spans removed)."""
-    parts = 2 * tasks_for(docs)
+    ship(docs.sparkSession)
+    parts = 2 * int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     cells = 1 << max(11, (8 * parts - 1).bit_length())
     slim = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
     counts, hot = survey(slim, window, cells)

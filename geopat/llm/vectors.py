@@ -25,7 +25,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .common import materialise, table
-from .components import connected, forest
+from geopat.plans.components import connected, forest
 
 MOST_ROTATION = 10_000
 BLOCK = 1024

@@ -7,8 +7,9 @@ from collections import Counter
 
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
-from geopat.llm import components, lines, mixing, neardup, packing, pii, quality, rules, substring, toxicity, vectors
+from geopat.llm import lines, mixing, neardup, packing, pii, quality, rules, substring, toxicity, vectors
 from geopat.llm.wordhash import Words
 
 WORD = re.compile(r"[^\x20\x09-\x0D]+")
@@ -55,7 +56,7 @@ def test_word_hash():
 
 
 @pytest.mark.parametrize("words", [2, 5])
-def test_near_duplicates(docs, texts, words, monkeypatch):
+def test_near_duplicates(spark, docs, texts, words, monkeypatch):
     sets = {}
     for i, t in texts.items():
         w = [x.translate({c: c + 32 for c in range(65, 91)}) for x in WORD.findall(t)]
@@ -68,10 +69,13 @@ def test_near_duplicates(docs, texts, words, monkeypatch):
                     root[i] = root[j] = min(root[i], root[j])
         if all(root[root[i]] == root[i] for i in root):
             break
-    for short in (24, 2):
-        monkeypatch.setattr(neardup, "SHORT", short)
+    for short, local, gather in ((24, 8, 1000), (2, 2, 10)) if words == 2 else ((24, 2, 10),):
+        for name, value in (("SHORT", short), ("LOCAL", local), ("GATHER", gather)):
+            monkeypatch.setattr(neardup, name, value)
+        spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", gather)
         got = {r.doc_id: (r.n_shingles, r.component_id, r.kept) for r in neardup.near_duplicates(docs, words).collect()}
         assert got == {i: (len(sets[i]), root[i], root[i] == i) for i in sets}
+    spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", 1000)
 
 
 def test_substring(docs, texts, monkeypatch):
@@ -145,29 +149,94 @@ def test_mixing(docs, texts):
     assert mixing.repeat_documents(docs).count() == sum(r.copies for r in rows)
 
 
-def test_lines(docs, texts):
-    held, first, expected = {i: lines.line_hashes(t) for i, t in texts.items()}, {}, {}
-    for i in sorted(texts):
-        partners = {first.setdefault(h, i) for h in held[i].tolist() if h & 1} - {i}
-        gone = {x for j in partners for x in lines.common_blocks(held[j], held[i])}
-        expected[i] = "\n".join(p for k, p in enumerate(texts[i].split("\n")) if k not in gone)
-    got = lines.without_lines(docs, lines.removals(docs)).collect()
-    assert {r.doc_id: r.text or "" for r in got} == expected
+def _patience(a, b, shows):
+    """Matched places (i, j) of two lists of lines, written without the operator's helpers: heads, tails, then a longest increasing run of lines unique on both sides, by dynamic programming."""
+    if not a or not b:
+        return []
+    if a[0] == b[0]:
+        return [(0, 0)] + [(i + 1, j + 1) for i, j in _patience(a[1:], b[1:], shows)]
+    if a[-1] == b[-1]:
+        return _patience(a[:-1], b[:-1], shows) + [(len(a) - 1, len(b) - 1)]
+    spots = [(a.index(x), b.index(x)) for x in a if shows(x) and a.count(x) == 1 == b.count(x)]
+    if not spots:
+        return []
+    best = []  # of equally long runs, the one with the smallest places in b, from its end on
+    for k, (_, j) in enumerate(spots):
+        before = min((best[m] for m in range(k) if spots[m][1] < j), key=lambda x: (-len(x), x[-1][1]), default=[])
+        best.append([*before, spots[k]])
+    run = min(best, key=lambda x: (-len(x), x[-1][1]))
+    out = []
+    for (i, j), (i2, j2) in zip([(-1, -1), *run], [*run, (len(a), len(b))], strict=True):
+        out += [(i, j)] if i >= 0 else []
+        out += [(i + 1 + x, j + 1 + y) for x, y in _patience(a[i + 1 : i2], b[j + 1 : j2], shows)]
+    return out
+
+
+def _by_force(texts, rare):
+    """doc_id -> (lines, removed, text left), from lines as strings."""
+    shows = lambda x: len(x.split()) >= 3 or len(x.encode()) >= 24
+    held = {i: [x.strip(" \t\x0b\x0c\r") for x in t.split("\n")] for i, t in texts.items()}
+    classes = {}
+    for i in sorted(held):
+        classes.setdefault(tuple(held[i]), i)
+    lead = sorted(classes.values())
+    holders = Counter(x for i in lead for x in {x for x in held[i] if shows(x)})
+    out = {}
+    for i, b in held.items():
+        first, gone = classes[tuple(b)], set()
+        if first < i and (len(texts[i].split()) >= 3 or len(texts[i].strip().encode()) >= 24):
+            gone = set(range(len(b)))
+        elif first == i:
+            for e in (e for e in lead if e < i):
+                if {x for x in held[e] if shows(x) and holders[x] <= rare} & set(b):
+                    places = sorted(j for _, j in _patience(held[e], b, shows))
+                    while places:
+                        n = next((n for n in range(1, len(places)) if places[n] != places[0] + n), len(places))
+                        if any(shows(b[j]) for j in places[:n]):
+                            gone.update(places[:n])
+                        places = places[n:]
+            gone |= {j for j, x in enumerate(b) if shows(x) and holders[x] > rare and any(x in held[e] for e in lead if e < i)}
+            # Runs between showing lines.
+            runs = lambda lines: [(max(p, -1) + 1, q) for p, q in zip([-1, *[k for k, x in enumerate(lines) if shows(x)]], [*[k for k, x in enumerate(lines) if shows(x)], len(lines)], strict=True) if q - p > 1]
+            around = lambda lines, p, q: (lines[p - 1] if p else None, *lines[p:q], lines[q] if q < len(lines) else None)
+            for p, q in runs(b) if any(map(shows, b)) else ():
+                sides = {x for x in (p - 1, q) if 0 <= x < len(b)}
+                if sides <= gone and any(around(held[e], *r) == around(b, p, q) for e in lead if e < i and any(map(shows, held[e])) for r in runs(held[e])):
+                    gone.update(range(p, q))
+        out[i] = (len(b), len(gone), "\n".join(x for j, x in enumerate(texts[i].split("\n")) if j not in gone))
+    return out
+
+
+def _lines_left(docs):
+    return {r.row.doc_id: (r.n_lines, r.n_removed, r.left or "") for r in lines.without_lines(docs, lines.removals(docs)).collect()}
+
+
+def test_lines(docs, texts, spark, monkeypatch):
+    assert _lines_left(docs) == _by_force(texts, lines.RARE)
     assert lines.aligned([1, 3, 5, 7], [3, 5, 9, 7]) == [0, 1, 3]
+    rng = random.Random(8)
+    pool = [f"the line number {k}" for k in range(9)] + ["", "ab", "}", " \t", "short"]
+    made = {i: "\n".join(rng.choices(pool, k=rng.choice((1, 3, 6, 12)))) if i % 6 else rng.choice(["a b c\nd", "one two", "", "x\ny", "x\ny\nz w\n"]) for i in range(1, 70)}
+    some = spark.createDataFrame([(i, t, 1, "n") for i, t in made.items()], "doc_id int, text string, n_removed int, told string")
+    for rare in (100, 8, 2):
+        monkeypatch.setattr(lines, "RARE", rare)
+        assert _lines_left(some) == _by_force(made, rare)
+
+
+def test_lines_of_every_earlier_holder(spark):
+    l, q, r, z = (f"the line {x} here" for x in "LQRZ")
+    texts = {1: f"{l}\n{q}\n{r}", 2: f"{z}\n{l}", 3: f"{q}\n{r}\n{l}"}
+    assert {i: n for i, (_, n, _) in _lines_left(spark.createDataFrame(list(texts.items()), "doc_id long, text string")).items()} == {1: 0, 2: 1, 3: 3}
 
 
-def test_lines_of_every_earlier_holder(spark, monkeypatch):
-    x, y, z = "the line x is", "the line y is", "the line z is"
-    made = [f"{x}\nmid {{}}\n{x}\n{z}\nown text of {{}}\n{y}", f"{y}\nown text of {{}}\n{x}", f"own text of {{}}\n{x}\n{y}\n{z}", f"{z}\n{y}\nown text of {{}}\n{x}", f"{x}\n{y}\n{z}"]
-    texts = {i: made[i % 5].format(i, i) for i in range(1, 26)}
-    held, expected = {i: lines.line_hashes(t) for i, t in texts.items()}, {}
-    for i in texts:
-        gone = {k for j in texts if j < i for k in lines.common_blocks(held[j], held[i])}
-        expected[i] = "\n".join(p for k, p in enumerate(texts[i].split("\n")) if k not in gone)
-    docs = spark.createDataFrame(list(texts.items()), "doc_id long, text string")
-    for rare in (100, 2):
-        monkeypatch.setattr(lines, "RARE", rare, raising=False)
-        assert {r.doc_id: r.text for r in lines.without_lines(docs, lines.removals(docs)).collect()} == expected
+def test_lines_odd_rows(spark):
+    """Null ids neither lose nor take lines; rows that share an id are judged by their own lines."""
+    a, b = "a first long line\nsecond long line here", "a third long line\nown words of it"
+    rows = [(None, a, 1), (None, a, 2), (1, a, 3), (5, a, 4), (5, b, 5), (5, b, 6), (7, b, 7), (8, None, 8)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, n_chars int")
+    left = {r.row.n_chars: r.n_removed for r in lines.without_lines(docs, lines.removals(docs)).collect()}
+    assert left == {1: 0, 2: 0, 3: 0, 4: 2, 5: 0, 6: 0, 7: 2, 8: 0}
+    assert sorted(r.doc_id or 0 for r in lines.clean_documents(docs).collect()) == [0, 0, 1, 5, 5, 8]
 
 
 def test_vectors(spark):
@@ -192,12 +261,6 @@ def test_vectors(spark):
     assert vectors.near_vectors(df.where("false")).count() == 0
 
 
-def test_components(spark):
-    chain = [(i, i + 1) for i in range(40)] + [(100, 200), (200, 300), (7, 7)]
-    got = {r.node: r.component for r in components.connected(spark.createDataFrame(chain, "a long, b long").repartition(8)).collect()}
-    assert got == {**dict.fromkeys(range(41), 0), 100: 100, 200: 100, 300: 100}
-
-
 def test_personal_data():
     text = "é a.b@c-d.org, 10.0.0.255 and 4111 1111 1111 1111 or +1 (555) 010-9999; 1.2.3.999"
     base, spans = pii.find(text)
@@ -251,6 +314,9 @@ def test_empty_tables(nothing):
         assert df.count() == 0
 
 
-def test_columns_pass_through(docs):
-    for df in (lines.clean_documents(docs), neardup.keep_one(docs), mixing.repeat_documents(docs)):
-        assert df.columns == docs.columns
+def test_columns_pass_through(spark, docs):
+    odd = [*lines.without_lines(docs, lines.removals(docs)).columns, "_gone", "id", "told", "_text", "_lines", "copies", "rate", "score", "predicted", "a.b"]
+    more = docs.select("*", *[F.lit(i).alias(c) for i, c in enumerate(odd)])
+    labels = spark.createDataFrame([(i, i % 2) for i in range(20)], "doc_id long, quality int")
+    for df in (lines.clean_documents(more), neardup.keep_one(more), mixing.repeat_documents(more), quality.keep_good(more, labels)):
+        assert df.columns == more.columns and df.count() >= 0
