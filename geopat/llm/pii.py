@@ -9,6 +9,8 @@ digits.  Every character it writes carries the span of
 source characters it came from, so a match in the rewritten text maps back exactly.
 Matches there that overlap no base span, or strictly contain the ones they overlap, are
 added, provided they touch a rewritten place or no base span; base spans always stay.
+Patterns start once per run of characters and give none back, and addresses grow from their "at",
+so time is linear in the text, whatever it holds.
 
 Null and empty texts have no spans.  Offsets are code points, ends exclusive.  Texts
 of any length are read whole.  Rows are judged one by one, so ties and repeated rows
@@ -19,17 +21,21 @@ from __future__ import annotations
 
 import hashlib
 import re
+from bisect import bisect_left
 from collections.abc import Iterator
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
-from .common import table
+from .common import ship, table
 
 # Kinds in order, and their patterns.
 KINDS = ("email", "ip", "card", "phone")
 EMAIL_TAIL = re.compile(r"[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(\.[A-Za-z0-9-]+)+")
-IP = re.compile(r"[0-9]+(\.[0-9]+)(\.[0-9]+)(\.[0-9]+)")
+#: The contract's pattern, tried once per run of digits: from within a run it finds nothing that it does not find from the run's start.
+IP = re.compile(r"(?<![0-9])[0-9]++\.[0-9]++\.[0-9]++\.[0-9]++")
 CARD = re.compile(r"[0-9]([\x20-]?[0-9])+")
 PHONE = re.compile(r"\+[0-9][\x20().0-9-]+[0-9]")
 _LOCAL = frozenset("ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789._%+-")
@@ -55,29 +61,26 @@ SPELLED = {
 }
 
 _ODD = re.compile("[" + re.escape("".join(LOOKALIKES) + DROPPED) + "]")
-_DOT = r"(?:\s*[\[({<]\s*(?:dot|punkt|point|punto|\.)\s*[\])}>]\s*|\s+dot\s+)"
-_AT = r"(?:\s*[\[({<]\s*(?:at|@|arroba)\s*[\])}>]\s*|\s+at\s+)"
-_PLAIN_AT = r"@"
-_LABEL = r"[A-Za-z0-9-]+"
-#: An address in which "at" is bracketed or spelled; beside a bare word "at" and plain dots only, its end must look like a host.
-_ADDRESS = re.compile(
-    rf"(?P<user>[A-Za-z0-9_%+-]+(?:(?:\.|{_DOT})[A-Za-z0-9_%+-]+)*?)(?P<at>{_AT}|\s*{_PLAIN_AT}\s*)(?P<host>{_LABEL}(?:(?:\.|{_DOT}){_LABEL})+)", re.IGNORECASE
-)
+_DOT_WORD = r"(?:dot|punkt|point|punto|\.)"
+#: Disguises with the blanks around them; they start where no blank is before them, so a run of blanks is tried once.
+_DOT = rf"(?<!\s)(?:\s*+[\[({{<]\s*+{_DOT_WORD}\s*+[\])}}>]\s*+|\s++dot\s++)"
+_AT_OR = re.compile(r"(?<!\s)(?:(?P<marked>\s*+[\[({<]\s*+(?:at|@|arroba)\s*+[\])}>]\s*+)|(?P<bare>\s++at\s++)|\s*+@\s*+)", re.IGNORECASE)
+_LABEL = r"[A-Za-z0-9-]++"
+_HOST = re.compile(rf"{_LABEL}(?:(?:\.|{_DOT}){_LABEL})+", re.IGNORECASE)
 _HOST_END = re.compile(r"\.[a-z]{2,}\Z")
-_BRACKETED = re.compile(r"[\[({<]", re.IGNORECASE)
-_HINT_ADDRESS = re.compile(r"[\[({<]\s*(?:at|@|arroba|dot|punkt|point|punto|\.)\s*[\])}>]|\sdot\s|\sat\s+[a-z0-9-]+\.[a-z0-9]", re.IGNORECASE)
-_DOT_ONLY = re.compile(_DOT, re.IGNORECASE)
+_HINT_ADDRESS = re.compile(r"[\[({<]\s*+(?:at|@|arroba|dot|punkt|point|punto|\.)\s*+[\])}>]|\sdot\s|\sat\s++[a-z0-9-]++\.[a-z0-9]", re.IGNORECASE)
+_DOTS = re.compile(_DOT, re.IGNORECASE)
 _WORDS = "|".join(sorted(SPELLED, key=len, reverse=True))
 #: Spelled and plain digits with separators between; a run counts when it has two tokens or more, one of them spelled.
-_SPELLED_RUN = re.compile(rf"(?<!\w)(?:plus\s+|\+\s*)?(?:(?:{_WORDS})(?!\w)|[0-9]+(?!\w))(?:(?:[\s()-]+|\.(?=\w)|(?<=[^\W\d_])[,.]\s*)+(?:(?:{_WORDS})(?!\w)|[0-9]+(?!\w)))+", re.IGNORECASE)
+_SPELLED_RUN = re.compile(rf"(?<!\w)(?:plus\s++|\+\s*+)?(?:(?:{_WORDS})(?!\w)|[0-9]++(?!\w))(?:(?:[\s()-]++|\.(?=\w)|(?<=[^\W\d_])[,.]\s*+)++(?:(?:{_WORDS})(?!\w)|[0-9]++(?!\w)))++", re.IGNORECASE)
 _HINT_SPELLED = re.compile(rf"(?<!\w)(?:{_WORDS})(?!\w)", re.IGNORECASE)
 #: A disguised dot between digits, spelled or not.
 _DIGIT = rf"(?:(?<!\w)(?:{_WORDS})|[0-9])"
-_DIGIT_DOT = re.compile(rf"(?:{_DOT}|\s+(?:punkt|point|punto)\s+)(?=(?:{_WORDS})(?!\w)|[0-9])", re.IGNORECASE)
+_DIGIT_DOT = re.compile(rf"(?:{_DOT}|(?<!\s)\s++(?:punkt|point|punto)\s++)(?=(?:{_WORDS})(?!\w)|[0-9])", re.IGNORECASE)
 _DIGIT_BEFORE = re.compile(rf"{_DIGIT}\Z", re.IGNORECASE)
-_HINT_DIGIT_DOT = re.compile(r"[\[({<]\s*(?:dot|punkt|point|punto|\.)\s*[\])}>]|\s(?:dot|punkt|point|punto)\s", re.IGNORECASE)
+_HINT_DIGIT_DOT = re.compile(r"[\[({<]\s*+(?:dot|punkt|point|punto|\.)\s*+[\])}>]|\s(?:dot|punkt|point|punto)\s", re.IGNORECASE)
 _ONE_SPELLED = re.compile(rf"(?<!\w)(?:{_WORDS})(?!\w)", re.IGNORECASE)
-_SPELLED_TOKEN = re.compile(rf"plus(?=\s)|\+|{_WORDS}|[0-9]+", re.IGNORECASE)
+_SPELLED_TOKEN = re.compile(rf"plus(?=\s)|\+|{_WORDS}|[0-9]++", re.IGNORECASE)
 
 Span = tuple[str, int, int]
 
@@ -124,29 +127,65 @@ def detect(text: str) -> list[Span]:
 
 
 class Tape:
-    """A rewritten text; character i came from source[i] = (start, end)."""
+    """A rewritten text; character i came from the source's characters first[i] to last[i] - 1."""
 
-    def __init__(self, text: str, origin: list[tuple[int, int]] | None = None):
-        self.text = text
-        self.origin = origin
+    def __init__(self, text: str, first: np.ndarray | None = None, last: np.ndarray | None = None):
+        self.text, self.first, self.last = text, first, last
+
+    @property
+    def changed(self) -> bool:
+        return self.first is not None
 
     def span(self, start: int, end: int) -> tuple[int, int]:
-        if self.origin is None:
-            return start, end
-        return self.origin[start][0], self.origin[end - 1][1]
+        return (start, end) if self.first is None else (int(self.first[start]), int(self.last[end - 1]))
 
     def rewrite(self, edits: list[tuple[int, int, str]]) -> Tape:
         """Replace spans by texts; a written character stands for the whole span it replaces."""
         if not edits:
             return self
-        parts, origin, at = [], [], 0
+        old = (np.arange(len(self.text)), np.arange(1, len(self.text) + 1)) if self.first is None else (self.first, self.last)
+        parts, first, last, at = [], [], [], 0
         for start, end, new in [*edits, (len(self.text), len(self.text), "")]:
             parts += [self.text[at:start], new]
-            origin += [(i, i + 1) for i in range(at, start)] if self.origin is None else self.origin[at:start]
+            first.append(old[0][at:start])
+            last.append(old[1][at:start])
             if new:
-                origin += [self.span(start, end)] * len(new)
+                a, b = self.span(start, end)
+                first.append(np.full(len(new), a))
+                last.append(np.full(len(new), b))
             at = end
-        return Tape("".join(parts), origin)
+        return Tape("".join(parts), np.concatenate(first), np.concatenate(last))
+
+
+def _address_edits(text: str) -> list[tuple[int, int, str]]:
+    """Edits that undo disguised addresses: each "at" is looked at once, its host to the right, its user back to the left."""
+    dots = {m.end(): m.start() for m in _DOTS.finditer(text)}
+    edits, floor = [], 0
+    for m in _AT_OR.finditer(text):
+        host = _HOST.match(text, m.end())
+        if host is None or m.start() < floor:
+            continue
+        user, at = [], m.start()
+        while True:
+            start = at
+            while start > floor and text[start - 1] in _LOCAL:
+                start -= 1
+            if start == at:
+                break
+            at = start
+            if at not in dots or dots[at] < floor:
+                break
+            user.append((dots[at], at, "."))
+            at = dots[at]
+        if at == m.start() or (user and at == user[-1][0]):
+            user = user[:-1]
+            if at == m.start():
+                continue
+        within = [(d.start(), d.end(), ".") for d in _DOTS.finditer(text, host.start(), host.end())]
+        if user or within or m["marked"] or (m["bare"] and _HOST_END.search(host.group())):
+            edits += [*reversed(user), (m.start(), m.end(), "@"), *within]
+            floor = host.end()
+    return edits
 
 
 def deobfuscate(text: str) -> Tape:
@@ -155,13 +194,7 @@ def deobfuscate(text: str) -> Tape:
     if not text.isascii() and _ODD.search(text):
         tape = tape.rewrite([(m.start(), m.end(), LOOKALIKES.get(m.group(), "")) for m in _ODD.finditer(text)])
     if _HINT_ADDRESS.search(tape.text):
-        edits = []
-        for m in _ADDRESS.finditer(tape.text):
-            if _DOT_ONLY.search(m.group()) or _BRACKETED.search(m["at"]) or (m["at"].strip().lower() == "at" and _HOST_END.search(m["host"])):
-                edits += [(m.start("user") + d.start(), m.start("user") + d.end(), ".") for d in _DOT_ONLY.finditer(m["user"])]
-                edits.append((m.start("at"), m.end("at"), "@"))
-                edits += [(m.start("host") + d.start(), m.start("host") + d.end(), ".") for d in _DOT_ONLY.finditer(m["host"])]
-        tape = tape.rewrite(edits)
+        tape = tape.rewrite(_address_edits(tape.text))
     if _HINT_DIGIT_DOT.search(tape.text):
         held = tape.text
         tape = tape.rewrite([(m.start(), m.end(), ".") for m in _DIGIT_DOT.finditer(held) if _DIGIT_BEFORE.search(held, max(0, m.start() - 8), m.start())])
@@ -191,17 +224,26 @@ def _prose(text: str, start: int, end: int, over: list[tuple[int, int]]) -> bool
 
 def find(text: str | None) -> tuple[list[Span], list[Span]]:
     """(base spans, all spans) of a text."""
-    base = detect(text or "")
-    tape = deobfuscate(text or "")
-    if tape.origin is None:
+    text = text or ""
+    base = detect(text)
+    tape = deobfuscate(text)
+    if not tape.changed:
         return base, base
-    more = []
+    starts = [s for _, s, _ in base]
+    reach = np.maximum.accumulate([e for *_, e in base]).tolist() if base else []
+    more, upto = [], 0
     for kind, a, b in detect(tape.text):
         start, end = tape.span(a, b)
-        over = [(s, e) for _, s, e in base if s < end and start < e]
+        over, i = [], bisect_left(starts, end) - 1
+        while i >= 0 and reach[i] > start:
+            if base[i][2] > start:
+                over.append(base[i][1:])
+            i -= 1
+        over.reverse()
         inside = all(start <= s and e <= end and (s, e) != (start, end) for s, e in over)
-        if inside and (not over or (text or "")[start:end] != tape.text[a:b]) and not _prose(text or "", start, end, over) and not any(s < end and start < e for _, s, e in more):
+        if inside and (not over or text[start:end] != tape.text[a:b]) and not _prose(text, start, end, over) and start >= upto:
             more.append((kind, start, end))
+            upto = end
     return base, sorted([*base, *more], key=lambda x: (x[1], KINDS.index(x[0]), x[2]))
 
 
@@ -214,6 +256,7 @@ _SCHEMA = "doc_id long, n_email long, n_ip long, n_card long, n_phone long, base
 
 def scan(docs: DataFrame) -> DataFrame:
     """One row per document; counts are those of the base spans."""
+    ship(docs.sparkSession)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -225,7 +268,7 @@ def scan(docs: DataFrame) -> DataFrame:
             columns = zip(*rows, strict=True) if rows else [[] for _ in kinds]
             yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(columns, kinds, strict=True)], names=[f.split()[0] for f in _SCHEMA.split(", ")])
 
-    return docs.select("doc_id", "text").mapInArrow(run, _SCHEMA)
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(run, _SCHEMA)
 
 
 def mask(text: str | None, spans: list[Span]) -> str:

@@ -3,6 +3,7 @@
 import hashlib
 import random
 import re
+import time
 from collections import Counter
 
 import numpy as np
@@ -288,6 +289,44 @@ def test_personal_data_partly_disguised():
         assert pii.find(plain)[0] == pii.find(plain)[1]
 
 
+def _contract_spans(text):
+    """Base spans straight from the contract's patterns."""
+    digits = lambda x: re.sub("[^0-9]", "", x)
+
+    def luhn(d):
+        return sum(sum(map(int, str(int(c) * 2))) if k % 2 else int(c) for k, c in enumerate(reversed(d))) % 10 == 0
+
+    rules = (
+        (r"[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(\.[A-Za-z0-9-]+)+", lambda m: True),
+        (r"[0-9]+(\.[0-9]+)(\.[0-9]+)(\.[0-9]+)", lambda m: max(map(int, m.split("."))) <= 255),
+        (r"[0-9]([\x20-]?[0-9])+", lambda m: 14 <= len(digits(m)) <= 19 and luhn(digits(m))),
+        (r"\+[0-9][\x20().0-9-]+[0-9]", lambda m: 10 <= len(digits(m)) <= 15),
+    )
+    found = [(m.start(), k, m.end()) for k, (p, good) in enumerate(rules) for m in re.finditer(p, text) if good(m.group())]
+    return [(pii.KINDS[k], a, b) for a, k, b in sorted(found)]
+
+
+def test_base_spans_are_the_contracts():
+    rng = random.Random(3)
+    bits = ["a", "Z9", "@", ".", "-", " ", "+", "+1", "(", ")", "1", "12", "255", "256", "007", "4111 1111 1111 1111", "4111", "x@y.z", "1.2.3.4", "\n", "é", "%", "_", "٣", "..", "@@", "5500-0000-0000-0004", "+1 555 010 9999"]
+    for _ in range(6000):
+        text = "".join(rng.choices(bits, k=rng.choice((3, 8, 20, 40))))
+        assert pii.find(text)[0] == _contract_spans(text), text
+
+
+def test_personal_data_in_long_texts():
+    """Time is linear: texts that are one run, of what patterns start with, take seconds at most."""
+    n = 200_000
+    blobs = ("1" * n, "a" * n + " a (dot) b", "(" * n + "dot", "one" + " " * n + "x", " a at b" * (n // 7), "a dot " * (n // 6), "+1 " * (n // 3), "1." * (n // 2), "a@" * (n // 2), "one two " * (n // 8), "\u200b" * n, "a (at) b " * (n // 9), "plus " * (n // 5))
+    started = time.time()
+    for blob in blobs:
+        pii.find(blob)
+    assert time.time() - started < 40
+    tail = "jane (at) site (dot) org"
+    text = "x" * n + " " + tail
+    assert pii.find(text)[1] == [("email", n + 1, len(text))]
+
+
 def test_classifiers(spark):
     rng = random.Random(2)
     words = [f"w{i}" for i in range(200)]
