@@ -15,7 +15,8 @@ Targets: sources in code-point order (null last) weigh 5, 2, 1, 5, ... and share
 words by weight; none gets more than `cap` times its own words, and what exceeds that
 is shared again by weight.  Sources without words take nothing.  Null and empty texts
 have size 0 and take 0.  Documents with the same id are rounded alike.  An empty table
-gives no rows.  Extra columns are not read.
+gives no rows.  Extra columns are not read.  The table of sources is ordered in one task, which
+holds one row per source; sources are named pools of documents, not documents.
 """
 
 from __future__ import annotations
@@ -23,7 +24,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import WORD, materialise, table
+from .common import WORD, materialise, ship, table
 
 WEIGHTS = (5.0, 2.0, 1.0)
 CAP = 3
@@ -96,7 +97,7 @@ def multipliers(by_size: DataFrame, aims: DataFrame, cap: int = CAP, steps: int
         high = F.when(gap > 0, F.col("m")).otherwise(F.col("high"))
         step = F.col("m") - F.try_divide(gap, F.col("slope"))
         inside = F.when((step > low) & (step < high), step).otherwise((low + high) / 2)
-        near = F.abs(gap) <= TOLERANCE * F.greatest(F.col("target"), F.lit(1.0))
+        near = F.abs(gap) <= F.greatest(TOLERANCE * F.col("target"), F.lit(1e-3))
         stays = F.col("done") | F.col("taken").isNull() | near
         state = materialise(
             state.join(sums, F.col("of").eqNullSafe(F.col("source")), "left").select(
@@ -109,6 +110,8 @@ def multipliers(by_size: DataFrame, aims: DataFrame, cap: int = CAP, steps: int
         )
         if state.where("not done").isEmpty():
             break
+    else:
+        raise RuntimeError(f"the dual did not settle in {steps} steps")
     return state.select("source", "source_size", "target", "mean_size", F.when(~F.col("full"), F.col("m")).alias("multiplier"))
 
 
@@ -119,8 +122,11 @@ def unit(key: Column, seed: int) -> Column:
 
 def mix(docs: DataFrame, weights: tuple[float, ...] = WEIGHTS, cap: int = CAP, seed: int = 11, carry: bool = False) -> DataFrame:
     """One row per document: doc_id, source, size, source_size, target, rate, copies, taken; with `carry` also row, the whole row."""
-    row = [F.struct(*docs.columns).alias("row")] if carry else []
+    ship(docs.sparkSession)
+    row = [F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row")] if carry else []
+    # Words are counted once: with whole rows carried along, counting them a second time costs less than writing these.
     sized = docs.select("doc_id", "source", words_in().alias("size"), *row)
+    sized = sized if carry else materialise(sized)
     by_size = materialise(sized.groupBy("source", "size").agg(F.count("*").alias("n")))
     sizes = by_size.groupBy("source").agg(F.sum(F.col("size") * F.col("n")).alias("source_size"))
     solved = materialise(multipliers(by_size, targets(sizes, weights, cap), cap).coalesce(1)).withColumnRenamed("source", "of")

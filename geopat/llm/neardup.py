@@ -10,8 +10,8 @@ list runs of two), and fail to with a chance under 1e-9 when cut at 64.  Runs, u
 single values, are rare among documents that merely share common words: a single value of a
 common shingle has a list as long as the corpus.
 
-Short lists give all their pairs of fitting sizes.  A long list gives pairs with two
-pivots, first within each task's sketches, so that only the task's pivot of such a list goes on
+Short lists give all their pairs of fitting sizes.  Of long lists each member is paired with the
+pivot (a list's smallest id) that shares most lists with it, first within each task's sketches, so that only the task's pivot of such a list goes on
 to the list of the whole.  Members whose component then differs from that of a pivot they were listed with
 are compared in blocks inside tasks, with all that their cluster lists, and only links come out.
 Every candidate passes the estimate from the sketch of the union (a filter five standard errors
@@ -49,7 +49,6 @@ PIVOT = np.uint32(1 << 31)
 GATHER = 20_000
 #: List entries of a part.
 PART = 800_000
-PIVOTS = 2
 BLOCK = 512
 #: Values that the sets of one side of a block may have in all.
 BLOCK_VALUES = 400_000
@@ -112,16 +111,26 @@ def _fits(x: np.ndarray, y: np.ndarray, percent: int) -> np.ndarray:
 
 
 def _stars(ids: np.ndarray, sizes: np.ndarray, edges: np.ndarray, chosen: np.ndarray, percent: int) -> tuple[np.ndarray, np.ndarray]:
-    """Of lists (ids ascending in edges[i]:edges[i+1]): candidate pairs with two pivots, and (pivot, member) for every other member."""
-    pairs, members = [np.zeros((0, 2), np.int64)], [np.zeros((0, 2), np.int64)]
-    for i in chosen:
-        x, n = ids[edges[i] : edges[i + 1]], sizes[edges[i] : edges[i + 1]]
-        for salt in range(PIVOTS):
-            p = 0 if salt == 0 else int(np.argmin(mix(x.view(np.uint64) + np.uint64(salt))))
-            near = _fits(n, n[p], percent) & (x != x[p])
-            pairs.append(np.column_stack((np.minimum(x[near], x[p]), np.maximum(x[near], x[p]))))
-        members.append(np.column_stack((np.full(len(x) - 1, x[0]), x[1:])))
-    return np.unique(np.concatenate(pairs), axis=0), np.unique(np.concatenate(members), axis=0)
+    """Of lists (ids ascending in edges[i]:edges[i+1]): for each member a candidate pair with the pivot that shares most lists with it, and all (pivot, member).
+
+    A list's pivot is its smallest id.  Of equally shared pivots the smallest counts; pairs of sizes that do not fit are left out.
+    """
+    none = np.zeros((0, 2), np.int64)
+    if not len(chosen):
+        return none, none
+    length = np.diff(edges)[chosen]
+    at = np.repeat(edges[chosen], length) + np.arange(length.sum()) - np.repeat(np.cumsum(length) - length, length)
+    first = np.repeat(edges[chosen], length)
+    fits = _fits(sizes[at], sizes[first], percent)
+    rows, where, shared = np.unique(np.column_stack((ids[at], ids[first])), axis=0, return_inverse=True, return_counts=True)
+    fit = np.zeros(len(rows), bool)
+    np.logical_or.at(fit, where.ravel(), fits)
+    apart = rows[:, 0] != rows[:, 1]
+    rows, shared, fit = rows[apart], shared[apart], fit[apart]
+    order = np.lexsort((rows[:, 1], -shared, rows[:, 0]))
+    order = order[fit[order]]
+    best = order[np.flatnonzero(np.concatenate(([True], rows[order[1:], 0] != rows[order[:-1], 0])))] if len(order) else order
+    return rows[best][:, ::-1], rows[:, ::-1]
 
 
 _LISTED = "part int, keys binary, ids binary, sizes binary"

@@ -3,14 +3,16 @@
 Each text gives a dozen statistics (lengths, shares of marks, capitals, digits,
 repetition), made nearly normal by logarithms.  Each class has a mean and a covariance
 shrunk towards the pooled covariance and then towards a multiple of the identity; its
-Cholesky factor is computed once and kept in the model.  A text's score is the
+Cholesky factor is computed once, inverted once as a triangle, and kept in the model.  A text's score is the
 posterior of class 1 from the difference of the two log densities, whose Mahalanobis
-terms are one triangular solve per class and batch.
+terms are one product with the triangle per class and batch.
 
 The fit reads at most MOST_LABELS labelled rows outside the held-out third (a documented
-bound); scoring reads every text whole.  Only the text is an input.  Null and empty texts
-get the score of the all-zero statistics, floored into class 0.  Without labels of both
-classes every text gets 0.5.  Repeated rows get equal scores; extra columns are ignored.
+bound); scoring reads every text whole.  Only the text is an input.  Texts without a word (null, empty,
+blank) have no statistics: they all get the share of class 1 among labelled texts without words,
+one text of class 0 added, so 0 where none is labelled.  Without labels of both
+classes every text gets 0.5.  Repeated rows and ties get equal scores; extra columns, whatever their
+names, are ignored; an empty table gives no rows.
 """
 
 from __future__ import annotations
@@ -23,11 +25,12 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import table
+from .common import ship, table
 from .labelled import held_out, training_rows
 from .wordhash import Words, blocks
 
 MOST_LABELS = 6000
+BLANK = b" \t\n\x0b\x0c\r"
 TO_POOLED = 0.1
 TO_SPHERE = 0.02
 #: Each share counts so many ordinary characters or words besides the text's own, so that a short text is not an outlier.
@@ -80,23 +83,33 @@ def statistics(texts: list[bytes]) -> np.ndarray:
 
 @dataclass
 class Discriminant:
-    """Two Gaussian classes with cached Cholesky factors."""
+    """Two Gaussian classes with cached Cholesky factors, as the inverse triangles, and the score of texts without words."""
 
     mean: np.ndarray
-    factor: np.ndarray
+    whiten: np.ndarray
     constant: np.ndarray
+    blank: float = 0.0
 
     def log_odds(self, x: np.ndarray) -> np.ndarray:
         out = []
         for k in (0, 1):
-            z = np.linalg.solve(self.factor[k], (x - self.mean[k]).T)
-            out.append(self.constant[k] - 0.5 * (z * z).sum(axis=0))
+            z = (x - self.mean[k]) @ self.whiten[k].T
+            out.append(self.constant[k] - 0.5 * (z * z).sum(axis=1))
         return out[1] - out[0]
 
     def score(self, x: np.ndarray) -> np.ndarray:
         return 1 / (1 + np.exp(-np.clip(self.log_odds(x), -40, 40)))
 
 
+def lower_inverse(factor: np.ndarray) -> np.ndarray:
+    """Inverse of a lower triangle by forward substitution."""
+    out = np.zeros_like(factor)
+    for i in range(len(factor)):
+        out[i, i] = 1.0
+        out[i] = (out[i] - factor[i, :i] @ out[:i]) / factor[i, i]
+    return out
+
+
 def fit(x: np.ndarray, y: np.ndarray, to_pooled: float = TO_POOLED, to_sphere: float = TO_SPHERE) -> Discriminant | None:
     """Shrinkage estimate from rows and 0/1 labels; None where a class has under two rows."""
     if min((y == 0).sum(), (y == 1).sum()) < 2:
@@ -109,7 +122,7 @@ def fit(x: np.ndarray, y: np.ndarray, to_pooled: float = TO_POOLED, to_sphere: f
         c = (1 - to_sphere) * c + to_sphere * (np.trace(c) / len(c) + 1e-6) * np.eye(len(c))
         factor = np.linalg.cholesky(c)
         means.append(x[y == k].mean(axis=0))
-        factors.append(factor)
+        factors.append(lower_inverse(factor))
         constants.append(np.log((y == k).mean()) - np.log(np.diag(factor)).sum())
     return Discriminant(np.array(means), np.array(factors), np.array(constants))
 
@@ -122,33 +135,42 @@ def learn(docs: DataFrame, labels: DataFrame, most: int = MOST_LABELS) -> Discri
             texts = batch["text"].to_pylist()
             for first, block in blocks(texts):
                 x = statistics(block)
-                yield pa.RecordBatch.from_arrays([batch["quality"].slice(first, len(block)), batch["doc_id"].slice(first, len(block)), pa.array(list(x), pa.list_(pa.float64()))], names=["y", "doc_id", "x"])
+                worded = pa.array([bool(t.strip(BLANK)) for t in block])
+                yield pa.RecordBatch.from_arrays([batch["quality"].slice(first, len(block)), batch["doc_id"].slice(first, len(block)), worded, pa.array(list(x), pa.list_(pa.float64()))], names=["y", "doc_id", "worded", "x"])
 
-    rows = training_rows(docs, labels, ["quality"], most).select(F.col("quality").cast("int").alias("quality"), "doc_id", "text")
-    got = rows.mapInArrow(measure, "y int, doc_id long, x array<double>").toPandas()
+    ship(docs.sparkSession)
+    rows = training_rows(docs, labels, ["quality"], most).select(F.col("quality").cast("int").alias("quality"), F.col("doc_id").cast("long").alias("doc_id"), "text")
+    got = rows.mapInArrow(measure, "y int, doc_id long, worded boolean, x array<double>").toPandas()
     if got.empty:
         return None
-    got = got.sort_values("doc_id")
-    return fit(np.array(got["x"].tolist()), got["y"].to_numpy())
+    got = got.sort_values("doc_id", kind="stable")
+    blank, worded = got[~got["worded"]], got[got["worded"]]
+    if worded.empty:
+        return None
+    model = fit(np.array(worded["x"].tolist()), worded["y"].to_numpy())
+    if model is not None:
+        model.blank = float(blank["y"].sum()) / (len(blank) + 1)
+    return model
 
 
-def score(docs: DataFrame, model: Discriminant | None, keep: tuple[str, ...] = ("doc_id",)) -> DataFrame:
-    """The kept columns, score and predicted for every row."""
-    fields = docs.select(*keep).schema
+def score(docs: DataFrame, model: Discriminant | None, carry: bool = False) -> DataFrame:
+    """doc_id, score and predicted for every row; with `carry` also row, the whole row."""
+    ship(docs.sparkSession)
+    row = F.struct(*[F.col(f"`{c}`") for c in docs.columns]) if carry else F.struct("doc_id")
+    slim = docs.select(F.col("doc_id").cast("long").alias("doc_id"), row.alias("row"), "text")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            texts = batch["_text"].to_pylist()
-            for first, block in blocks(texts):
+            for first, block in blocks(batch["text"].to_pylist()):
                 if model is None:
                     s = np.full(len(block), 0.5)
                 else:
                     s = model.score(statistics(block))
-                    s[np.fromiter((not t.strip() for t in block), bool, len(block))] *= 0.5
-                arrays = [batch[name].slice(first, len(block)) for name in keep]
-                yield pa.RecordBatch.from_arrays([*arrays, pa.array(s), pa.array((s >= 0.5).astype("int32"))], names=[*keep, "score", "predicted"])
+                s[np.fromiter((not t.strip(BLANK) for t in block), bool, len(block))] = model.blank if model else 0.5
+                given = [batch[name].slice(first, len(block)) for name in ("doc_id", "row")]
+                yield pa.RecordBatch.from_arrays([*given, pa.array(s), pa.array((s >= 0.5).astype("int32"))], names=["doc_id", "row", "score", "predicted"])
 
-    return docs.select(*keep, F.col("text").alias("_text")).mapInArrow(run, fields.add("score", "double").add("predicted", "integer"))
+    return slim.mapInArrow(run, slim.select("doc_id", "row").schema.add("score", "double").add("predicted", "integer"))
 
 
 def op3_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -158,7 +180,5 @@ def op3_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def keep_good(docs: DataFrame, labels: DataFrame) -> DataFrame:
-    """The documents that the classifier does not reject; columns as in `docs`.  Copies of an id are judged by their own texts."""
-    names = docs.columns
-    judged = score(docs.withColumn("_row", F.struct(*names)), learn(docs, labels), keep=("_row",))
-    return judged.where("predicted = 1").select("_row.*")
+    """The documents that the classifier does not reject; columns as in `docs`.  Rows that share an id are judged each by its own text."""
+    return score(docs, learn(docs, labels), carry=True).where("predicted = 1").select("row.*")

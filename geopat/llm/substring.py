@@ -1,28 +1,33 @@
 """Removal of repeated passages with prefix-partitioned suffix trees.
 
-Every word of a text starts a suffix.  A suffix belongs to the group of its
-variable-length prefix: one word, or, while a prefix has more suffixes than a task
-should hold, two, four, ... words, up to the whole window.  Groups are packed into parts of like
-size.  A part sorts its suffixes, which puts the leaves under each internal node of its
-subtree side by side; the nodes at the depth of a window (13 words) are the repeats, and
-adjoining repeats of a document join into maximal ones.  Edge labels are held as 64-bit
-fingerprints of the words, not as the words.  A leaf whose node has a leaf in a document
-with a smaller id tells its document to drop those words.
-
-Three passes read the texts.  The first counts prefixes and finds hot windows, those in
-at least one of HOT documents; there can be no more than HOT times the mean number of
-windows in a document, so their list is broadcast.  The second deals out one entry per
-window and document; of a hot window, only the smallest id of each batch.  The third
-drops words: windows that a part named, and hot ones unless the document is
-their first.  So no group of copies lands in one task, and no row is left out.
-
-Null and empty texts have no words.  Rows with a null id neither lose words nor take
-them from others.  Rows that share an id are judged alike and never against each other.
-Other columns are not read.  An empty table gives no rows.
+Every word of a text starts a suffix, read to the depth of a window (13 words).  A suffix is
+filed under its anchor: the suffix from that of its first ten words on whose next four
+words hash lowest.  Equal windows have equal anchors, and neighbouring windows mostly share one, so a
+segment of words under one anchor carries some five suffixes at once, and words travel about three times
+instead of 13 times.  Anchors are grouped by variable-length prefixes: one word, or, while a
+prefix has more suffixes than a group should hold, two, three, four.  Groups are packed into parts whose number
+follows from the count of suffixes, so a part's size does not depend on the input's.
+
+A part orders its suffixes by their words, two at a time, going on only where suffixes still
+agree; where two neighbours part is their common-prefix length.  Neighbours that agree to the
+depth of a window are leaves of one deep internal node, a repeat.  A leaf with
+another leaf of a smaller document id below its node tells its document to drop those words;
+adjoining repeats of a document join into maximal ones.
+
+Before suffixes are dealt, a task orders those it gathered (BATCH) by fingerprint: of equal ones only the
+smallest document's goes on, the others are repeats already.  So a passage that any number of documents
+hold has one leaf a batch, and no group of copies lands in one task.  No row is left out.
+
+Words are compared by 32 bits of their hash, so 13 words agree by chance with 1 in 2 ** 32 where
+they differ in one word.  Null and empty texts have no words.  Rows with a null id neither lose words nor take
+them from others.  Rows that share an id are judged each by its own words and never against each other;
+repeated rows fare alike.  Other columns are not read, and may have any name.  An empty table gives no rows.
 """
 
 from __future__ import annotations
 
+import heapq
+import zlib
 from collections.abc import Iterator
 
 import numpy as np
@@ -30,127 +35,113 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import materialise, ship, table
-from .wordhash import Words, blocks, gram_hash, mix, window_mask
+from .common import materialise, parts_for, ship, table
+from .wordhash import Words, blocks, gram_hash, window_mask
 
 WINDOW = 13
-LEVELS = (1, 2, 4, 8)
-HOT = 512
-#: Windows gathered before a batch is dealt out.
-BATCH = 800_000
-_GOLDEN = np.uint64(0x9E3779B97F4A7C15)
+#: Words of an anchor, the longest prefix that groups are cut by.
+ANCHOR = 4
+#: Suffixes gathered before a task deals them out.
+BATCH = 1_000_000
+#: Suffixes of a part.
+PART = 1_500_000
+#: Parts that the driver's table of prefixes tells apart; a part beyond is cut by the anchor's hash.
+MOST_PLANNED = 4096
 
 
 class Batch:
-    """Windows of some documents: fingerprint, document id, and prefix hashes by level."""
+    """Suffixes of some documents: where they start, whose they are, their anchors and the hashes of these anchors' prefixes."""
 
-    def __init__(self, window: int, prefixes: bool):
-        self.window, self.prefixes = window, prefixes
-        self.print: list[np.ndarray] = []
-        self.doc: list[np.ndarray] = []
-        self.level: list[list[np.ndarray]] = [[] for _ in LEVELS]
-        self.size = self.docs = 0
+    def __init__(self, window: int):
+        self.window = window
+        self.anchor = min(ANCHOR, window)
+        self.codes: list[np.ndarray] = []
+        self.columns: dict[str, list[np.ndarray]] = {name: [] for name in ("at", "doc", "place", "under", "print")}
+        self.prefix: list[list[np.ndarray]] = [[] for _ in range(self.anchor)]
+        self.words = self.size = 0
 
-    def add(self, texts: list[bytes], ids: np.ndarray, known: np.ndarray) -> None:
+    def add(self, texts: list[bytes], ids: np.ndarray, known: np.ndarray, prints: bool) -> None:
         w = Words(texts)
-        prints = gram_hash(w.hash, self.window)
-        keep = window_mask(w.first, self.window, len(w.hash))
-        owner = w.owner()[: len(prints)]
-        if len(prints):
-            keep &= known[owner]
-        self.print.append(prints[keep])
-        self.doc.append(ids[owner[keep]])
-        if self.prefixes:
-            for held, n in zip(self.level, LEVELS, strict=True):
-                held.append(gram_hash(w.hash, min(n, self.window))[: len(prints)][keep])
-        self.size += int(keep.sum())
-        self.docs += len(texts)
-
-    def arrays(self) -> tuple[np.ndarray, np.ndarray, list[np.ndarray]]:
-        return np.concatenate(self.print), np.concatenate(self.doc), [np.concatenate(x) for x in self.level if x]
-
-
-def _batches(rows: Iterator[pa.RecordBatch], window: int, prefixes: bool) -> Iterator[Batch]:
-    held = Batch(window, prefixes)
+        n = self.window
+        inside = window_mask(w.first, n, len(w.hash))
+        owner = w.owner()
+        at = np.flatnonzero(inside & known[owner[: len(inside)]]) if len(inside) else np.zeros(0, np.int64)
+        grams = [gram_hash(w.hash, k) for k in range(1, self.anchor + 1)]
+        if len(at):
+            least, offset = grams[-1][at], np.zeros(len(at), np.int64)
+            for k in range(1, n - self.anchor + 1):
+                here = grams[-1][at + k]
+                lower = here < least
+                least = np.where(lower, here, least)
+                offset[lower] = k
+            under = at + offset
+        else:
+            under = at
+        told = np.fromiter((zlib.crc32(t) for t in texts), np.int64, len(texts))
+        self.codes.append((w.hash >> np.uint64(32)).astype(np.uint32))
+        own = owner[at] if len(at) else at
+        values = {"at": at + self.words, "doc": ids[own], "place": (told[own] << 32) | (at - w.first[own]), "under": under + self.words, "print": gram_hash(w.hash, n)[at] if prints else at}
+        for name, held in self.columns.items():
+            held.append(values[name])
+        for held, g in zip(self.prefix, grams, strict=True):
+            held.append(g[under])
+        self.words += len(w.hash)
+        self.size += len(at)
+
+    def arrays(self) -> tuple[np.ndarray, dict[str, np.ndarray], list[np.ndarray]]:
+        return np.concatenate(self.codes), {k: np.concatenate(v) for k, v in self.columns.items()}, [np.concatenate(x) for x in self.prefix]
+
+
+def _batches(rows: Iterator[pa.RecordBatch], window: int, prints: bool) -> Iterator[Batch]:
+    held = Batch(window)
     for batch in rows:
         ids = batch["doc_id"].fill_null(0).to_numpy(zero_copy_only=False)
         known = batch["doc_id"].is_valid().to_numpy(zero_copy_only=False)
         for first, block in blocks(batch["text"].to_pylist()):
-            held.add(block, ids[first : first + len(block)], known[first : first + len(block)])
+            held.add(block, ids[first : first + len(block)], known[first : first + len(block)], prints)
             if held.size >= BATCH:
                 yield held
-                held = Batch(window, prefixes)
-    if held.docs:
+                held = Batch(window)
+    if held.size:
         yield held
 
 
-def _once(prints: np.ndarray, docs: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Order by (fingerprint, document), and which places of that order are new pairs."""
-    order = np.lexsort((docs, prints))
-    p, d = prints[order], docs[order]
-    fresh = np.ones(len(p), bool)
-    fresh[1:] = (p[1:] != p[:-1]) | (d[1:] != d[:-1])
-    return order, fresh
+def _starts(changes: np.ndarray) -> np.ndarray:
+    """Starts of runs, from whether each place but the first differs from the one before."""
+    return np.flatnonzero(np.concatenate(([True], changes)))
 
 
-def _runs(sorted_values: np.ndarray) -> np.ndarray:
-    """Starts of runs of equal values."""
-    if not len(sorted_values):
-        return np.zeros(0, np.int64)
-    return np.flatnonzero(np.concatenate(([True], sorted_values[1:] != sorted_values[:-1])))
-
-
-def survey(docs: DataFrame, window: int, cells: int) -> tuple[np.ndarray, np.ndarray]:
-    """Suffixes by level and prefix cell, and the hot windows' fingerprints, sorted."""
+def survey(docs: DataFrame, window: int, cells: int) -> np.ndarray:
+    """Suffixes by length of the anchor's prefix and cell of its hash."""
 
     def run(rows: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        counts = np.zeros((len(LEVELS) + 1, cells), np.int64)
-        n_docs = 0
-        for batch in _batches(rows, window, True):
-            prints, ids, levels = batch.arrays()
-            n_docs += batch.docs
-            for i, h in enumerate([*levels, prints]):
+        counts = np.zeros((min(ANCHOR, window), cells), np.int64)
+        for batch in _batches(rows, window, False):
+            for i, h in enumerate(batch.arrays()[2]):
                 counts[i] += np.bincount((h % np.uint64(cells)).astype(np.int64), minlength=cells)
-            order, fresh = _once(prints, ids)
-            distinct = prints[order][fresh]
-            starts = _runs(distinct)
-            n = np.diff(np.append(starts, len(distinct)))
-            hot = n >= max(8, batch.docs // HOT)
-            if hot.any():
-                yield _rows(np.full(hot.sum(), -1), distinct[starts[hot]].view(np.int64), n[hot])
         level, cell = np.nonzero(counts)
-        yield _rows(level, cell, counts[level, cell])
-        yield _rows(np.array([-2]), np.array([0]), np.array([n_docs]))
+        yield pa.RecordBatch.from_arrays([pa.array(x, pa.int64()) for x in (level, cell, counts[level, cell])], names=["level", "cell", "n"])
 
-    def _rows(level: np.ndarray, key: np.ndarray, n: np.ndarray) -> pa.RecordBatch:
-        return pa.RecordBatch.from_arrays([pa.array(x, pa.int64()) for x in (level, key, n)], names=["level", "key", "n"])
-
-    found = materialise(docs.mapInArrow(run, "level long, key long, n long").groupBy("level", "key").agg(F.sum("n").alias("n")))
-    total = found.where("level = -2").agg(F.sum("n")).first()[0] or 0
-    counts = np.zeros((len(LEVELS) + 1, cells), np.int64)
-    sums = found.where("level >= 0").toPandas()
-    counts[sums["level"].to_numpy(np.int64), sums["key"].to_numpy(np.int64)] = sums["n"].to_numpy(np.int64)
-    hot = found.where(f"level = -1 and n >= {max(8, total // HOT)}").select("key").toPandas()["key"].to_numpy(np.int64)
-    return counts, np.sort(hot.view(np.uint64))
+    sums = docs.mapInArrow(run, "level long, cell long, n long").groupBy("level", "cell").agg(F.sum("n").alias("n")).toPandas()  # ANCHOR x cells rows at most
+    counts = np.zeros((min(ANCHOR, window), cells), np.int64)
+    counts[sums["level"].to_numpy(np.int64), sums["cell"].to_numpy(np.int64)] = sums["n"].to_numpy(np.int64)
+    return counts
 
 
 def plan(counts: np.ndarray, parts: int) -> np.ndarray:
-    """Part of each (level, cell); -1 where the prefix is too common and the next level decides.
+    """Part of each (level, cell); -1 where the prefix is too common and a longer one decides.
 
-    A part should hold its share of all suffixes; groups go, largest first, to the part
-    that has least.
+    Groups go, largest first, to the part that has least.
     """
     room = max(1, int(counts[-1].sum()) // parts)
     out = np.full(counts.shape, -1, np.int32)
     groups, open_share = [], 1.0
     for level in range(len(counts)):
-        last = level == len(counts) - 1
-        fits = (counts[level] * open_share <= room) | last
-        groups += [(counts[level, c] * open_share, level, c) for c in np.flatnonzero(fits)]
+        fits = (counts[level] * open_share <= room) | (level == len(counts) - 1)
+        groups += [(counts[level, c] * open_share, level, c) for c in np.flatnonzero(fits & (counts[level] > 0))]
         open_share *= counts[level][~fits].sum() / max(1, counts[level].sum())
+        out[level, fits & (counts[level] == 0)] = 0
     load = [(0.0, p) for p in range(parts)]
-    import heapq
-
     for n, level, cell in sorted(groups, reverse=True):
         held, p = heapq.heappop(load)
         out[level, cell] = p
@@ -158,153 +149,169 @@ def plan(counts: np.ndarray, parts: int) -> np.ndarray:
     return out
 
 
-def _part_of(assigned: np.ndarray, levels: list[np.ndarray], prints: np.ndarray) -> np.ndarray:
-    cells = np.uint64(assigned.shape[1])
-    part = np.full(len(prints), -1, np.int32)
-    for level, h in enumerate([*levels, prints]):
-        part = np.where(part < 0, assigned[level][(h % cells).astype(np.int64)], part)
-    return part
+_DEALT = "part int, repeats boolean, ids binary, places binary, lengths binary, codes binary"
 
 
-def deal(docs: DataFrame, window: int, assigned: np.ndarray, hot: np.ndarray) -> DataFrame:
-    """(part, prints, ids, counts): entries of a batch for a part, by document."""
+def _dealt(rows: list[tuple]) -> pa.RecordBatch:
+    kinds = (pa.int32(), pa.bool_(), *[pa.binary()] * 4)
+    columns = zip(*rows, strict=True) if rows else [[] for _ in kinds]
+    return pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(columns, kinds, strict=True)], names=["part", "repeats", "ids", "places", "lengths", "codes"])
 
-    def run(rows: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in _batches(rows, window, True):
-            prints, ids, levels = batch.arrays()
-            order, fresh = _once(prints, ids)
-            p = prints[order]
-            first = np.ones(len(p), bool)
-            first[1:] = p[1:] != p[:-1]
-            keep = np.zeros(len(p), bool)
-            keep[order] = fresh & (first | ~np.isin(p, hot))
-            part = _part_of(assigned, [x[keep] for x in levels], prints[keep])
-            prints, ids = prints[keep], ids[keep]
-            order = np.lexsort((ids, part))
-            part, prints, ids = part[order], prints[order], ids[order]
-            edges = np.append(_runs(part), len(part))
-            out: list[tuple] = []
-            for a, b in zip(edges[:-1], edges[1:], strict=True):
-                at = _runs(ids[a:b])
-                out.append((int(part[a]), prints[a:b].tobytes(), ids[a:b][at].tobytes(), np.diff(np.append(at, b - a)).astype(np.uint16 if b - a < 65536 else np.uint32).tobytes()))
-            if out:
-                yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*out, strict=True), (pa.int32(), pa.binary(), pa.binary(), pa.binary()), strict=True)], names=["part", "prints", "ids", "counts"])
 
-    return docs.mapInArrow(run, "part int, prints binary, ids binary, counts binary")
+def _joined(doc: np.ndarray, place: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(doc, place, length) of runs of adjoining windows."""
+    order = np.lexsort((place, doc))
+    doc, place = doc[order], place[order]
+    if not len(doc):
+        return doc, place, doc
+    first = _starts((doc[1:] != doc[:-1]) | (place[1:] != place[:-1] + 1))
+    return doc[first], place[first], np.diff(np.append(first, len(doc)))
 
 
-_REPLY = "bucket int, ids binary, counts binary, prints binary, keeps boolean"
+def deal(docs: DataFrame, window: int, assigned: np.ndarray, parts: int, finer: int) -> DataFrame:
+    """Segments of a batch for a part; and repeats found in the batch, for any part."""
+    cells = np.uint64(assigned.shape[1])
 
+    def run(rows: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in _batches(rows, window, True):
+            codes, x, prefix = batch.arrays()
+            order = np.lexsort((x["doc"], x["print"]))
+            p, d = x["print"][order], x["doc"][order]
+            first = _starts(p[1:] != p[:-1])
+            least = np.repeat(d[first], np.diff(np.append(first, len(p))))
+            goes = np.ones(len(p), bool)
+            goes[order] = d == least
+            doc, place, length = _joined(x["doc"][~goes], x["place"][~goes])
+            out = [(int(p[0] % np.uint64(parts * finer)), True, doc.tobytes(), place.tobytes(), length.astype(np.int64).tobytes(), b"")] if len(doc) else []
+            at, doc, place, under = (x[name][goes] for name in ("at", "doc", "place", "under"))
+            prefix = [h[goes] for h in prefix]
+            part = np.full(len(at), -1, np.int32)
+            for level, h in enumerate(prefix):
+                part = np.where(part < 0, assigned[level][(h % cells).astype(np.int64)], part)
+            part = part * finer + (prefix[-1] // cells % np.uint64(finer)).astype(np.int32)
+            # Segments: adjoining suffixes under one anchor.
+            first = _starts((at[1:] != at[:-1] + 1) | (under[1:] != under[:-1]) | (place[1:] != place[:-1] + 1))
+            count = np.diff(np.append(first, len(at)))
+            order = np.argsort(part[first], kind="stable")
+            first, count = first[order], count[order]
+            edges = np.append(_starts(part[first][1:] != part[first][:-1]), len(first))
+            for a, b in zip(edges[:-1], edges[1:], strict=True):
+                words = count[a:b] + window - 1
+                ends = np.cumsum(words)
+                spread = np.arange(ends[-1]) + np.repeat(at[first[a:b]] - (ends - words), words)
+                out.append((int(part[first[a]]), False, doc[first[a:b]].tobytes(), place[first[a:b]].tobytes(), count[a:b].astype(np.uint16).tobytes(), codes[spread].tobytes()))
+            yield _dealt(out)
 
-def _bucket(ids: np.ndarray, buckets: int) -> np.ndarray:
-    return (mix(ids.view(np.uint64) * _GOLDEN) % np.uint64(buckets)).astype(np.int32)
+    return docs.mapInArrow(run, _DEALT)
 
 
-def subtrees(dealt: DataFrame, hot: np.ndarray, buckets: int) -> DataFrame:
-    """What documents are told: windows to drop, and hot windows that a document is the first to hold."""
+def ordered_suffixes(codes: np.ndarray, at: np.ndarray, depth: int) -> tuple[np.ndarray, np.ndarray]:
+    """(order, common): suffixes at[order] ascending by their words, and how many words, up to `depth`, each shares with the one before.
 
-    def tell(prints: np.ndarray, ids: np.ndarray, keeps: bool) -> list[tuple]:
-        bucket = _bucket(ids, buckets)
-        order = np.lexsort((ids, bucket))
-        bucket, prints, ids = bucket[order], prints[order], ids[order]
-        edges = np.append(_runs(bucket), len(bucket))
-        out = []
-        for a, b in zip(edges[:-1], edges[1:], strict=True):
-            at = _runs(ids[a:b])
-            out.append((int(bucket[a]), ids[a:b][at].tobytes(), np.diff(np.append(at, b - a)).astype(np.uint32).tobytes(), prints[a:b].tobytes(), keeps))
-        return out
+    Words are taken two at a time, and only for suffixes that some other still agrees with.
+    """
+    order = np.arange(len(at))
+    common = np.zeros(len(at), np.int64)
+    fresh = np.ones(len(at), bool)  # parted from the one before
+    fresh[1:] = False
+    live = order.copy()
+    for step in range(0, depth, 2):
+        starts = at[order[live]] + step
+        key = codes[starts].astype(np.uint64) << np.uint64(32)
+        if step + 1 < depth:
+            key |= codes[starts + 1]
+        group = np.cumsum(fresh[live])
+        by = np.lexsort((key, group)) if step else np.argsort(key, kind="stable")
+        order[live] = order[live][by]
+        key, group = key[by], group[by]
+        same_group = group[1:] == group[:-1]
+        differs = same_group & (key[1:] != key[:-1])
+        shared = (key[1:] >> np.uint64(32)) == (key[:-1] >> np.uint64(32))
+        parted = live[1:][differs]
+        common[parted] = step + shared[differs]
+        fresh[parted] = True
+        alone = fresh & np.append(fresh[1:], True)
+        live = np.flatnonzero(~alone)
+        if not len(live):
+            break
+    common[~fresh] = depth
+    return order, common
+
+
+def deep_nodes(common: np.ndarray, depth: int) -> np.ndarray:
+    """Number of the node at `depth` that each ordered suffix is below."""
+    return np.cumsum(common < depth) - 1
+
+
+def subtrees(dealt: DataFrame, window: int) -> DataFrame:
+    """(doc_id, place, length): runs of windows to drop."""
 
     def run(rows: pa.Table) -> pa.Table:
-        prints = np.concatenate([np.frombuffer(x, np.uint64) for x in rows["prints"].to_pylist()])
-        ids = []
-        for i, n in zip(rows["ids"].to_pylist(), rows["counts"].to_pylist(), strict=True):
-            i = np.frombuffer(i, np.int64)
-            ids.append(np.repeat(i, np.frombuffer(n, np.uint16 if len(n) == 2 * len(i) else np.uint32)))
-        ids = np.concatenate(ids)
-        order = np.lexsort((ids, prints))
-        prints, ids = prints[order], ids[order]
-        starts = _runs(prints)
-        leaves = np.diff(np.append(starts, len(prints)))
-        least = np.repeat(ids[starts], leaves)
-        is_hot = np.isin(prints, hot) if len(hot) else np.zeros(len(prints), bool)
-        later = (ids > least) & ~is_hot
-        out = tell(prints[later], ids[later], False)
-        firsts = starts[is_hot[starts]]
-        out += tell(prints[firsts], ids[firsts], True)
-        kinds = (pa.int32(), pa.binary(), pa.binary(), pa.binary(), pa.bool_())
-        columns = zip(*out, strict=True) if out else [[] for _ in kinds]
-        return pa.table([pa.array(c, k) for c, k in zip(columns, kinds, strict=True)], names=["bucket", "ids", "counts", "prints", "keeps"])
-
-    return dealt.groupBy("part").applyInArrow(run, _REPLY)
-
-
-def _told(rows: pa.Table, keeps: bool) -> np.ndarray:
-    """Sorted keys of (document, window) pairs."""
-    chosen = [r for r in rows.select(["ids", "counts", "prints", "keeps"]).to_pylist() if r["keeps"] == keeps]
-    if not chosen:
-        return np.zeros(0, np.uint64)
-    ids = np.concatenate([np.repeat(np.frombuffer(r["ids"], np.int64), np.frombuffer(r["counts"], np.uint32)) for r in chosen])
-    return np.sort(_pair(ids, np.concatenate([np.frombuffer(r["prints"], np.uint64) for r in chosen])))
-
-
-def _pair(ids: np.ndarray, prints: np.ndarray) -> np.ndarray:
-    return mix(prints ^ mix(ids.astype(np.int64).view(np.uint64) * _GOLDEN))
-
-
-def _among(values: np.ndarray, ordered: np.ndarray) -> np.ndarray:
-    if not len(ordered) or not len(values):
-        return np.zeros(len(values), bool)
-    return ordered[np.minimum(np.searchsorted(ordered, values), len(ordered) - 1)] == values
+        whole = {name: rows[name].to_pylist() for name in ("repeats", "ids", "places", "lengths", "codes")}
+        segments = [i for i, r in enumerate(whole["repeats"]) if not r]
+        said = [i for i, r in enumerate(whole["repeats"]) if r]
+        read = lambda name, kind, chosen: np.concatenate([np.zeros(0, kind), *[np.frombuffer(whole[name][i], kind) for i in chosen]])
+        doc, place, length = read("ids", np.int64, said), read("places", np.int64, said), read("lengths", np.int64, said)
+        if segments:
+            ids, places, count = read("ids", np.int64, segments), read("places", np.int64, segments), read("lengths", np.uint16, segments).astype(np.int64)
+            codes = np.append(read("codes", np.uint32, segments), np.uint32(0))
+            words = count + window - 1
+            offset = np.arange(count.sum()) - np.repeat(np.cumsum(count) - count, count)
+            at = np.repeat(np.cumsum(words) - words, count) + offset
+            order, common = ordered_suffixes(codes, at, window)
+            node = deep_nodes(common, window)
+            whose, where = np.repeat(ids, count)[order], (np.repeat(places, count) + offset)[order]
+            least = np.full(node[-1] + 1, np.iinfo(np.int64).max)
+            np.minimum.at(least, node, whose)
+            later = whose > least[node]
+            found = _joined(whose[later], where[later])
+            doc, place, length = (np.concatenate(pair) for pair in zip((doc, place, length), found, strict=True))
+        return pa.table([pa.array(doc), pa.array(place), pa.array(length.astype(np.int32))], names=["doc_id", "place", "length"])
+
+    return dealt.groupBy("part").applyInArrow(run, "doc_id long, place long, length int")
 
 
 def remove_repeats(docs: DataFrame, window: int = WINDOW) -> DataFrame:
     """doc_id, n_words, n_removed, kept (remaining words joined by one space), repeats (word spans removed)."""
     ship(docs.sparkSession)
-    parts = 2 * int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    cells = 1 << max(11, (8 * parts - 1).bit_length())
     slim = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
-    counts, hot = survey(slim, window, cells)
-    replies = subtrees(deal(slim, window, plan(counts, parts), hot), hot, parts)
+    counts = survey(slim, window, 1 << 14)
+    parts = parts_for(int(counts[-1].sum()), PART)
+    planned = min(parts, MOST_PLANNED)
+    told = subtrees(deal(slim, window, plan(counts, planned), planned, parts_for(parts, planned)), window)
+    by_doc = materialise(told).groupBy("doc_id").agg(F.collect_list(F.struct("place", "length")).alias("told"))
 
-    def bucket_of(rows: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    def drop(rows: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in rows:
-            ids = batch["doc_id"].fill_null(0).to_numpy(zero_copy_only=False).astype(np.int64)
-            yield pa.RecordBatch.from_arrays([batch["doc_id"], batch["text"], pa.array(_bucket(ids, parts))], names=["doc_id", "text", "bucket"])
-
-    def finish(key: tuple, texts: pa.Table, told: pa.Table) -> pa.Table:
-        drop, keep = _told(told, False), _told(told, True)
-        out: list[tuple] = []
-        all_ids = texts["doc_id"].to_pylist()
-        for first, block in blocks(texts["text"].to_pylist()):
-            ids = all_ids[first : first + len(block)]
-            known = np.array([i is not None for i in ids], bool)
-            numbers = np.array([i or 0 for i in ids], np.int64)
-            w = Words(block)
-            prints = gram_hash(w.hash, window)
-            inside = window_mask(w.first, window, len(w.hash))
-            owner = w.owner()
-            gone = np.zeros(len(w.hash) + 1, np.int64)
-            if len(prints):
-                pair = _pair(numbers[owner[: len(prints)]], prints)
-                hit = inside & known[owner[: len(prints)]] & (_among(pair, drop) | (_among(prints, hot) & ~_among(pair, keep)))
-                at = np.flatnonzero(hit)
-                np.add.at(gone, at, 1)
-                np.add.at(gone, at + window, -1)
-            covered = np.cumsum(gone[:-1]) > 0
-            for i, raw in enumerate(block):
-                words, mask = raw.split(), covered[w.first[i] : w.first[i + 1]]
-                if not mask.any():
-                    out.append((ids[i], len(words), 0, b" ".join(words).decode("utf-8", "surrogatepass"), []))
-                    continue
-                edges = np.flatnonzero(np.diff(np.concatenate(([0], mask.astype(np.int8), [0]))))
-                left = b" ".join([word for word, m in zip(words, mask.tolist(), strict=True) if not m])
-                out.append((ids[i], len(words), int(mask.sum()), left.decode("utf-8", "surrogatepass"), edges.tolist()))
-        kinds = (pa.int64(), pa.int64(), pa.int64(), pa.string(), pa.list_(pa.int64()))
-        columns = zip(*out, strict=True) if out else [[] for _ in kinds]
-        return pa.table([pa.array(c, k) for c, k in zip(columns, kinds, strict=True)], names=["doc_id", "n_words", "n_removed", "kept", "repeats"])
-
-    placed = slim.mapInArrow(bucket_of, "doc_id long, text string, bucket int")
-    return placed.groupBy("bucket").cogroup(replies.groupBy("bucket")).applyInArrow(finish, "doc_id long, n_words long, n_removed long, kept string, repeats array<long>")
+            out: list[tuple] = []
+            for doc_id, text, runs in zip(batch["doc_id"].to_pylist(), batch["text"], batch["told"].to_pylist(), strict=True):
+                raw = (text.as_py() or "").encode("utf-8", "surrogatepass")
+                words = raw.split()
+                spans = _spans(runs, zlib.crc32(raw), window) if runs else []
+                kept, at, gone = [], 0, 0
+                for a, b in spans:
+                    kept += words[at:a]
+                    gone += b - a
+                    at = b
+                out.append((doc_id, len(words), gone, b" ".join([*kept, *words[at:]]).decode("utf-8", "surrogatepass"), [x for span in spans for x in span]))
+            kinds = (pa.int64(), pa.int64(), pa.int64(), pa.string(), pa.list_(pa.int64()))
+            columns = zip(*out, strict=True) if out else [[] for _ in kinds]
+            yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(columns, kinds, strict=True)], names=["doc_id", "n_words", "n_removed", "kept", "repeats"])
+
+    texts = slim.where("doc_id is not null").join(by_doc, "doc_id", "left").unionByName(slim.where("doc_id is null"), allowMissingColumns=True)
+    return texts.select("doc_id", "text", "told").mapInArrow(drop, "doc_id long, n_words long, n_removed long, kept string, repeats array<long>")
+
+
+def _spans(runs: list[dict], own: int, window: int) -> list[tuple[int, int]]:
+    """Spans of words covered by a text's runs of windows, joined where they meet."""
+    out: list[tuple[int, int]] = []
+    for place, length in sorted((r["place"] & 0xFFFFFFFF, r["length"]) for r in runs if (r["place"] >> 32) & 0xFFFFFFFF == own):
+        end = place + length + window - 1
+        if out and place <= out[-1][1]:
+            out[-1] = (out[-1][0], max(out[-1][1], end))
+        else:
+            out.append((place, end))
+    return out
 
 
 def op10_substring(spark: SparkSession, sf_dir: str) -> DataFrame:

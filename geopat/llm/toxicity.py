@@ -5,17 +5,21 @@ and hashed.  One weight vector w is shared by all ordered thresholds t1 < t2 < .
 P(grade <= k) = logistic(t_k - w x).  The output is the expected grade, the chance of a
 grade above 0, and flagged where that chance is at least a half.
 
-The fit reads at most MOST_LABELS labelled rows outside the held-out third (a documented
-bound).  Their grades are given, or, where labels only say toxic or not, derived: 0 if
+The fit reads at most MOST_LABELS labelled rows outside the held-out third and keeps at most
+MOST_FEATURES features (documented bounds).  Their grades are given, or, where labels only say toxic or not, derived: 0 if
 not toxic, else 1 to 3 by how many of the words that mark toxic rows a text holds.
-Features are those whose presence differs between the classes by more than chance.
+Features are those whose presence differs between the classes by more than the largest difference that
+chance would give among so many (a limit that falls with their number), or, where none does, those that
+differ most; of equal ones those of smaller hash stay.
 Scoring reads every text whole and takes only the text.  Null and empty texts have no
-features and get the grade of the intercept.  Without toxic labels every grade is 0.
+features and get the grade of the intercept.  Without labels of both classes there is nothing to
+learn: every grade is 0, and a warning says so.
 Repeated rows score alike; extra columns are ignored; an empty table gives no rows.
 """
 
 from __future__ import annotations
 
+import warnings
 from collections.abc import Iterator
 from dataclasses import dataclass
 
@@ -24,16 +28,18 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import table
+from .common import ship, table
 from .labelled import held_out, training_rows
 from .wordhash import Words, blocks, mix
 
 MOST_LABELS = 8000
 MOST_FEATURES = 20_000
 BEGINNING = 5
-#: A feature must be in so many rows, and its shares in the two classes so many standard errors apart.
-LEAST_ROWS = 5
-LEAST_Z = 6.0
+#: A feature must be in so many rows, and its shares in the two classes differ by more than so many times what the largest of as many chance differences would.
+LEAST_ROWS = 3
+BEYOND_CHANCE = 1.1
+#: Where no feature passes, as in small tables, so many that differ most are left to the penalty.
+FALLBACK = 40
 GRADES = 4
 RIDGE = 0.02
 
@@ -89,9 +95,13 @@ def select(rows: np.ndarray, hashes: np.ndarray, toxic: np.ndarray, most: int =
     p1, p0 = (c1 + 0.5) / (n1 + 1), (c0 + 0.5) / (n0 + 1)
     pool = (c1 + c0 + 1) / (n1 + n0 + 2)
     z = (p1 - p0) / np.sqrt(pool * (1 - pool) * (1 / n1 + 1 / n0))
-    good = np.flatnonzero((np.abs(z) > LEAST_Z) & (c1 + c0 >= LEAST_ROWS))
+    often = np.flatnonzero(c1 + c0 >= LEAST_ROWS)
+    least = BEYOND_CHANCE * np.sqrt(2 * np.log(max(len(often), 2)))
+    good = often[np.abs(z[often]) > least]
+    if not len(good):
+        good = often[np.argsort(-z[often], kind="stable")][:FALLBACK]
     good = np.sort(good[np.argsort(-np.abs(z[good]), kind="stable")][:most])
-    return keys[good], ((z > LEAST_Z) & (p1 > 8 * p0))[good]
+    return keys[good], ((z > 0) & (p1 > 8 * p0))[good]
 
 
 def fit(rows: np.ndarray, columns: np.ndarray, grade: np.ndarray, n_features: int, grades: int = GRADES, ridge: float = RIDGE, steps: int = 400) -> tuple[np.ndarray, np.ndarray]:
@@ -132,7 +142,7 @@ def train(rows: np.ndarray, hashes: np.ndarray, toxic: np.ndarray, grade: np.nda
         return None
     keys, marks = select(rows, hashes, toxic)
     if not len(keys):
-        return None
+        return None  # no word is in LEAST_ROWS rows
     at = np.minimum(np.searchsorted(keys, hashes), len(keys) - 1)
     hit = keys[at] == hashes
     rows, at = rows[hit], at[hit]
@@ -155,9 +165,11 @@ def learn(docs: DataFrame, labels: DataFrame, most: int = MOST_LABELS) -> Ordina
                 sets = pa.array([h[a:b].tobytes() for a, b in zip(edges[:-1], edges[1:], strict=True)], pa.binary())
                 yield pa.RecordBatch.from_arrays([batch["doc_id"].slice(first, len(block)), batch["toxic"].slice(first, len(block)), sets], names=["doc_id", "toxic", "h"])
 
-    rows = training_rows(docs, labels, ["toxic"], most).select("doc_id", F.col("toxic").cast("int").alias("toxic"), "text")
+    ship(docs.sparkSession)
+    rows = training_rows(docs, labels, ["toxic"], most).select(F.col("doc_id").cast("long").alias("doc_id"), F.col("toxic").cast("int").alias("toxic"), "text")
     got = rows.mapInArrow(measure, "doc_id long, toxic int, h binary").toPandas()
-    if got.empty:
+    if got["toxic"].nunique() < 2:
+        warnings.warn("no labels of both classes: every expected severity is 0", stacklevel=2)
         return None
     got = got.sort_values("doc_id", kind="stable").reset_index(drop=True)
     sets = [np.frombuffer(h, np.uint64) for h in got["h"]]
@@ -177,7 +189,8 @@ def score(docs: DataFrame, model: Ordinal | None) -> DataFrame:
                     names=["doc_id", "expected_severity", "p_toxic", "flagged"],
                 )
 
-    return docs.select("doc_id", "text").mapInArrow(run, "doc_id long, expected_severity double, p_toxic double, flagged boolean")
+    ship(docs.sparkSession)
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(run, "doc_id long, expected_severity double, p_toxic double, flagged boolean")
 
 
 def op1_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -88,11 +88,35 @@ def test_substring(docs, texts, monkeypatch):
             if first.setdefault(tuple(w[k : k + 13]), i) < i:
                 gone[k : k + 13] = [True] * 13
         expected[i] = (len(w), sum(gone), " ".join(x for x, g in zip(w, gone, strict=True) if not g))
-    for hot in (512, 1):
-        monkeypatch.setattr(substring, "HOT", hot)
+    for batch, part in ((1_000_000, 1_500_000), (300, 200)):
+        monkeypatch.setattr(substring, "BATCH", batch)
+        monkeypatch.setattr(substring, "PART", part)
+        monkeypatch.setattr(substring, "MOST_PLANNED", 8)
         assert {r.doc_id: (r.n_words, r.n_removed, r.kept) for r in substring.remove_repeats(docs).collect()} == expected
 
 
+def test_substring_odd_rows(spark):
+    """Rows that share an id are judged by their own words; null ids neither lose nor take."""
+    a, b = " ".join(f"a{k}" for k in range(30)), " ".join(f"b{k}" for k in range(30))
+    rows = [(None, a, 1), (2, a, 2), (2, "x y " + b, 3), (5, f"{b} q {a}", 4), (5, a, 5), (7, None, 6)]
+    docs = spark.createDataFrame(rows, "doc_id int, text string, n_removed int")
+    got = sorted((r.doc_id or 0, r.n_words, r.n_removed) for r in substring.remove_repeats(docs).collect())
+    assert got == [(0, 30, 0), (2, 30, 0), (2, 32, 0), (5, 30, 30), (5, 61, 60), (7, 0, 0)]
+
+
+def test_suffix_order():
+    rng = np.random.default_rng(0)
+    codes = np.append(rng.integers(0, 3, 400), 0).astype(np.uint32)
+    at = rng.permutation(380)
+    for depth in (13, 4, 1, 2):
+        order, common = substring.ordered_suffixes(codes, at, depth)
+        suffix = [tuple(codes[at[i] : at[i] + depth]) for i in order]
+        assert suffix == sorted(suffix)
+        for k in range(1, len(suffix)):
+            assert common[k] == next((j for j in range(depth) if suffix[k][j] != suffix[k - 1][j]), depth)
+        assert substring.deep_nodes(common, depth).max() + 1 == len(set(suffix))
+
+
 def test_rules(docs, texts):
     for r in rules.judge(docs).collect():
         t = texts[r.doc_id]
