@@ -9,7 +9,7 @@ from geopat.functions.geo import haversine
 from geopat.operators import baseline, cluster, density, forest, influence, lasting, mine, relate, shapes, weather
 from geopat.plans.scratch import written
 from geopat.sources.entities import nearest_station, read, stations
-from geopat.workloads import DENSE, DENSER, PAPER, entities, nodes_of, query, with_e
+from geopat.workloads import BUCKETS, DENSE, DENSER, EDGES, OWNERS_SQL, PAPER, entities, halo, nodes_of, query, with_e
 
 # ---- preparation
 
@@ -55,7 +55,10 @@ def w_congestion_severity(spark: SparkSession, d: str) -> DataFrame:
     return entities(spark, d).where("type = 'congestion'").groupBy(level.alias("severity")).agg(F.count("*").alias("n"))
 
 
-@query("w_zip_station", with_e("zc as (select zip, avg(lat) clat, avg(lon) clon from e where kind = 'traffic' group by 1)", then=f"select zip, arg_min(code, [round(2 * 6371008.8::double * asin(sqrt(least(1, pow(sin(radians(slat - clat) / 2), 2) + cos(radians(clat)) * cos(radians(slat)) * pow(sin(radians(slon - clon) / 2), 2))))), code]) station from zc, st group by zip"))
+_METRES = "2 * 6371008.8::double * asin(sqrt(least(1, pow(sin(radians(slat - clat) / 2), 2) + cos(radians(clat)) * cos(radians(slat)) * pow(sin(radians(slon - clon) / 2), 2))))"
+
+
+@query("w_zip_station", with_e("zc as (select zip, avg(lat) clat, avg(lon) clon from e where kind = 'traffic' group by 1)", then=f"select zip, arg_min(code, [round({_METRES}), code]) station from zc, st group by zip"))
 def w_zip_station(spark: SparkSession, d: str) -> DataFrame:
     centre = entities(spark, d).where("kind = 'traffic'").groupBy(F.col("zip").alias("city")).agg(F.avg("lat").alias("clat"), F.avg("lon").alias("clon"))
     return nearest_station(centre, stations(spark, d)).withColumnRenamed("city", "zip")
@@ -266,38 +269,62 @@ def w_halo_radius(spark: SparkSession, d: str) -> DataFrame:
 
 
 for _shift, _span in (("ceil", "ceil((end_us - start_us) / 86400000000)::bigint * 86400000000"), ("floor", "((end_us - start_us) // 86400000000) * 86400000000")):
-    @query(f"w_halo_counts_shift_{_shift}", with_e(lasting.lasting_sql(0.95), lasting.halo_sql("complete", _span), then="select * from h"))
+    @query(f"w_halo_counts_shift_{_shift}", with_e(*OWNERS_SQL, lasting.halo_sql("complete", _span), then="select * from h"))
     def w_shift(spark: SparkSession, d: str, shift: str = _shift) -> DataFrame:
-        e = entities(spark, d)
-        return lasting.halo_counts(lasting.extract(e, 0.95), e, edge="complete", shift=shift)
+        return halo(entities(spark, d), edge="complete", shift=shift)
 
 for _kind in ("traffic", "weather"):
-    @query(f"w_halo_counts_{_kind}", with_e(lasting.lasting_sql(0.95), lasting.halo_sql("complete"), then=f"select * from h where kind = '{_kind}'"))
+    @query(f"w_halo_counts_{_kind}", with_e(*OWNERS_SQL, lasting.halo_sql("complete"), then=f"select * from h where kind = '{_kind}'"))
     def w_halo_kind(spark: SparkSession, d: str, kind: str = _kind) -> DataFrame:
-        e = entities(spark, d)
-        return lasting.halo_counts(lasting.extract(e, 0.95), e, edge="complete").where(F.col("kind") == kind)
+        return halo(entities(spark, d), edge="complete").where(F.col("kind") == kind)
 
+for _mixed in ("radius", "either"):
+    @query(f"w_halo_counts_mixed_{_mixed}", with_e(*OWNERS_SQL, lasting.halo_sql("complete", mixed=_mixed), then="select * from h"))
+    def w_halo_mixed(spark: SparkSession, d: str, mixed: str = _mixed) -> DataFrame:
+        return halo(entities(spark, d), edge="complete", mixed=mixed)
 
-@query("w_halo_members", with_e(lasting.lasting_sql(0.95), lasting.halo_sql("keep"), then=f"select lk.entity_id long_id, w which, tr.entity_id from lk join (values ('during', 0), ('before', -1), ('after', 1)) v(w, k) on true join tr on tr.start_us > lk.start_us + k * sh and tr.end_us < lk.end_us + k * sh and case when lk.kind = 'weather' then lk.station = tr.station else {_HAV.replace('q.', 'tr.').replace('p.', 'lk.')} <= {lasting.RADIUS}::double end"))
+
+@query("w_halo_counts_unfused", with_e(lasting.lasting_sql(0.95), lasting.halo_sql("complete", owners="la"), then="select * from h"))
+def w_unfused(spark: SparkSession, d: str) -> DataFrame:
+    """Counts without the fusion step, for comparison."""
+    return halo(entities(spark, d), "none", edge="complete")
+
+
+_ZIPS = (
+    "zc as (select zip, avg(lat) clat, avg(lon) clon from e where kind = 'traffic' group by 1)",
+    f"zs as (select zip, arg_min(code, [round({_METRES}), code]) zip_station from zc, st group by zip)",
+    "ez as (select e.* replace (case when kind = 'traffic' then zip_station else station end as station) from e join zs using (zip))",
+)
+
+
+@query("w_halo_counts_zip", with_e(*OWNERS_SQL, *_ZIPS, lasting.halo_sql("complete", counted="ez"), then="select * from h"))
+def w_halo_zip(spark: SparkSession, d: str) -> DataFrame:
+    """Weather halos by the station that each zip code is mapped to, as the nearest to its traffic."""
+    e = entities(spark, d)
+    zips = w_zip_station(spark, d).select("zip", F.col("station").alias("zip_station"))
+    mapped = e.join(zips, "zip").withColumn("station", F.when(F.col("kind") == "traffic", F.col("zip_station")).otherwise(F.col("station"))).drop("zip_station")
+    found = written(lasting.extract(e, 0.95))
+    return lasting.halo_counts(written(lasting.fused_windows(found)), written(mapped), edge="complete", excluded=found)
+
+
+@query("w_halo_members", with_e(*OWNERS_SQL, lasting.halo_sql("keep"), then=f"select lk.entity_id long_id, w which, tr.entity_id from lk join (values ('during', 0), ('before', -1), ('after', 1)) v(w, k) on true join tr on tr.start_us > lk.start_us + k * sh and tr.end_us < lk.end_us + k * sh and case when lk.kind = 'weather' then lk.station = tr.station else {_HAV.replace('q.', 'tr.').replace('p.', 'lk.')} <= {lasting.RADIUS}::double end"))
 def w_halo_members(spark: SparkSession, d: str) -> DataFrame:
     e = entities(spark, d)
-    return lasting.halo_members(lasting.extract(e, 0.95), e)
+    found = written(lasting.extract(e, 0.95))
+    return lasting.halo_members(written(lasting.fused_windows(found)), e, excluded=found)
 
 
-_DURATION = "case when span_us >= 21600000000 then 6 when span_us >= 18000000000 then 5 when span_us >= 14400000000 then 4 when span_us >= 10800000000 then 3 else 0 end"
-for _edge in ("keep", "complete"):
+for _edge in EDGES:
+    _hours = BUCKETS["duration"][0]
     _pivot = ", ".join(f"max(case when test = '{t}' then round(1 - p, 6) end) {t.lower()}" for t in ("T3", "T4", "T5", "T6"))
 
-    @query(f"w_before_after_contrast_{_edge}", with_e(lasting.lasting_sql(0.95), lasting.halo_sql(_edge), influence.test_sql(_DURATION), f"cs as (select {_DURATION} bucket, round(avg(case when type = 'construction' then 1.0 else 0 end), 6) construction from h group by 1)", then=f"select bucket, {_pivot}, construction from t join cs using (bucket) group by bucket, construction"))
+    @query(f"w_before_after_contrast_{_edge}", with_e(*OWNERS_SQL, lasting.halo_sql(_edge), influence.test_sql(_hours), f"cs as (select {_hours} bucket, round(avg(case when type = 'construction' then 1.0 else 0 end), 6) construction from h group by 1)", then=f"select bucket, {_pivot}, construction from t join cs using (bucket) group by bucket, construction"))
     def w_contrast(spark: SparkSession, d: str, edge: str = _edge) -> DataFrame:
-        e = entities(spark, d)
-        h = written(lasting.halo_counts(lasting.extract(e, 0.95), e, edge=edge))
-        return influence.contrast(h, influence.duration_bucket(F.col("span_us")))
+        return influence.contrast(halo(entities(spark, d), edge=edge), influence.duration_bucket(F.col("span_us"), influence.SHORT_EDGES_H))
 
-    @query(f"w_tiers_{_edge}", with_e(lasting.lasting_sql(0.95), lasting.halo_sql(_edge), influence.test_sql('"type"'), then="select bucket, case when max(case when test in ('T1', 'T3', 'T5') then 1 - p end) >= 0.9 then true else false end positive, case when max(case when test in ('T2', 'T4', 'T6') then 1 - p end) >= 0.9 then true else false end negative from t group by 1"))
+    @query(f"w_tiers_{_edge}", with_e(*OWNERS_SQL, lasting.halo_sql(_edge), influence.test_sql('"type"'), then="select bucket, case when max(case when test in ('T1', 'T3', 'T5') then 1 - p end) >= 0.9 then true else false end positive, case when max(case when test in ('T2', 'T4', 'T6') then 1 - p end) >= 0.9 then true else false end negative from t group by 1"))
     def w_sign(spark: SparkSession, d: str, edge: str = _edge) -> DataFrame:
-        e = entities(spark, d)
-        return influence.sign(influence.tests(lasting.halo_counts(lasting.extract(e, 0.95), e, edge=edge), [F.col("type").alias("bucket")]))
+        return influence.sign(influence.tests(halo(entities(spark, d), edge=edge), [F.col("type").alias("bucket")]))
 
 
 @query("w_ttest_labels", influence.two_sample_sql("select quality g, n_chars::double v from documents join labels using (doc_id)"))

@@ -15,18 +15,51 @@ DAY = 86_400_000_000
 _DEGREE_M = 111195.0
 
 
-def threshold(df: DataFrame, p: float = 0.99, exact: bool = True) -> DataFrame:
-    """One row: the p-quantile of durations, in microseconds."""
-    span = F.col("end_us") - F.col("start_us")
-    return df.agg((F.percentile(span, F.lit(p)) if exact else F.percentile_approx(span, F.lit(p), F.lit(100_000)).cast("double")).alias("threshold_us"))
+def span() -> Column:
+    """Duration of an entity, in microseconds."""
+    return F.col("end_us") - F.col("start_us")
 
 
-def extract(df: DataFrame, p: float = 0.99, inclusive: bool = False) -> DataFrame:
+def quantile(df: DataFrame, value: Column, p: float, weight: Column | None = None, cells: int = 4096) -> float | None:
+    """The p-quantile of a column, interpolated as the exact percentile is, without a task or map that holds all values.
+
+    A pass counts the values of an interval by cell, and the cell with the wanted ranks is the next
+    interval, until it holds one value or parts the two ranks.  A pass brings back `cells` rows at most.
+    """
+    rows = df.select(value.cast("double").alias("v"), (F.lit(1) if weight is None else weight).cast("long").alias("w")).where("v is not null and w > 0")
+    ends = rows.agg(F.min("v"), F.max("v"), F.sum("w")).first()
+    if ends[2] is None:
+        return None
+    lo, hi, before = ends[0], ends[1], 0
+    place = p * (ends[2] - 1)
+    first, second = int(place), min(int(place) + 1, ends[2] - 1)
+    while lo < hi:
+        cell = F.floor((F.col("v") - lo) / ((hi - lo) / cells))
+        held = rows.where(F.col("v").between(lo, hi)).groupBy(cell.alias("c")).agg(F.sum("w").alias("n"), F.min("v").alias("lo"), F.max("v").alias("hi")).collect()
+        for r in sorted(held, key=lambda r: r.lo):
+            if first < before + r.n:
+                break
+            before += r.n
+        if second >= before + r.n:
+            return r.hi + (min(x.lo for x in held if x.lo > r.hi) - r.hi) * (place - first)
+        lo, hi = r.lo, r.hi
+    return lo
+
+
+def threshold(df: DataFrame, p: float = 0.99, exact: bool = True, round_to_minutes: int | None = None) -> DataFrame:
+    """One row: the p-quantile of durations, in microseconds, rounded down to so many minutes where that is given."""
+    if exact:
+        cut = df.sparkSession.createDataFrame([(quantile(df, span(), p),)], "threshold_us double")
+    else:
+        cut = df.agg(F.percentile_approx(span(), F.lit(p), F.lit(100_000)).cast("double").alias("threshold_us"))
+    unit = (round_to_minutes or 0) * 60_000_000
+    return cut.withColumn("threshold_us", F.floor(F.col("threshold_us") / unit) * float(unit)) if unit else cut
+
+
+def extract(df: DataFrame, p: float = 0.99, inclusive: bool = False, round_to_minutes: int | None = None) -> DataFrame:
     """Entities that last longer than the threshold."""
-    span = F.col("end_us") - F.col("start_us")
-    cut = threshold(df, p)
-    rows = df.crossJoin(F.broadcast(cut))  # one row
-    return rows.where(span >= F.col("threshold_us") if inclusive else span > F.col("threshold_us")).drop("threshold_us")
+    rows = df.crossJoin(F.broadcast(threshold(df, p, round_to_minutes=round_to_minutes)))  # one row
+    return rows.where(span() >= F.col("threshold_us") if inclusive else span() > F.col("threshold_us")).drop("threshold_us")
 
 
 def _cell(lat: Column, lon: Column, radius: float) -> tuple[Column, Column]:
@@ -58,7 +91,7 @@ def _fused(lasting: DataFrame, found: DataFrame) -> DataFrame:
     """Fused entities of the groups (node, component); entities in none stand alone."""
     rows = lasting.join(found, F.col("entity_id") == F.col("node"), "left").withColumn("id", F.coalesce("component", "entity_id"))
     return rows.groupBy("id").agg(
-        F.min("start_us").alias("start_us"), F.max("end_us").alias("end_us"), F.array_join(F.array_sort(F.collect_set("type")), "_").alias("type"), F.count("*").alias("members"), F.max("kind").alias("kind"),
+        F.min("start_us").alias("start_us"), F.max("end_us").alias("end_us"), F.array_join(F.array_sort(F.collect_set("type")), "_").alias("type"), F.count("*").alias("members"), F.max("kind").alias("kind"), (F.min("kind") != F.max("kind")).alias("mixed"),
         F.min_by("station", F.struct("start_us", "entity_id")).alias("station"), F.min_by("state", F.struct("start_us", "entity_id")).alias("state"),
         F.avg(F.when(F.col("kind") == "traffic", F.col("lat"))).alias("lat"), F.avg(F.when(F.col("kind") == "traffic", F.col("lon"))).alias("lon"),
     )
@@ -117,54 +150,83 @@ def type_table(before: DataFrame, after: DataFrame, top: int = 15) -> DataFrame:
     return ranked(before, "before").join(ranked(after, "after"), "rank", "full")
 
 
+def fused_windows(lasting: DataFrame, radius: float = RADIUS, rule: str = "components") -> DataFrame:
+    """Lasting entities with overlaps resolved, as owners of halo windows (entity_id is the fused entity's id)."""
+    lasting = written(lasting)
+    fused = fuse_fixpoint(lasting, radius) if rule == "fixpoint" else fuse_components(lasting, conflicts(lasting, radius))
+    return fused.withColumnRenamed("id", "entity_id")
+
+
 def _shift(week: int, rule: str) -> Column:
     """How far the windows before and after lie from the one during: a week and the duration, as it is or in whole days."""
-    span = F.col("end_us") - F.col("start_us")
-    return week + {"exact": span, "ceil": F.ceil(span / DAY) * DAY, "floor": F.floor(span / DAY) * DAY}[rule]
+    return week + {"exact": span(), "ceil": F.ceil(span() / DAY) * DAY, "floor": F.floor(span() / DAY) * DAY}[rule]
 
 
 def _kept(lasting: DataFrame, df: DataFrame, shift: Column, edge: str) -> DataFrame:
-    if edge != "complete":
-        return lasting
+    """Window owners with has_before and has_after: whether these windows lie within the data; which owners stay depends on `edge`."""
+    if edge == "keep":
+        return lasting.withColumns({"has_before": F.lit(True), "has_after": F.lit(True)})
     ends = df.agg(F.min("start_us").alias("first_us"), F.max("end_us").alias("last_us"))
-    return lasting.crossJoin(F.broadcast(ends)).where((F.col("start_us") - shift >= F.col("first_us")) & (F.col("end_us") + shift <= F.col("last_us")))  # one row
+    flagged = lasting.crossJoin(F.broadcast(ends)).withColumns({"has_before": F.col("start_us") - shift >= F.col("first_us"), "has_after": F.col("end_us") + shift <= F.col("last_us")})  # one row
+    return flagged.where("has_before and has_after" if edge == "complete" else "has_before or has_after").drop("first_us", "last_us")
 
 
-def halo_members(lasting: DataFrame, df: DataFrame, radius: float = RADIUS, week: int = 7 * DAY, edge: str = "keep", shift: str = "exact", counted: str = "traffic") -> DataFrame:
+def halo_members(
+    lasting: DataFrame, df: DataFrame, radius: float = RADIUS, week: int = 7 * DAY, edge: str = "keep", shift: str = "exact", counted: str = "traffic", excluded: DataFrame | None = None, mixed: str = "station"
+) -> DataFrame:
     """(long_id, which, entity_id): entities that start after and end before the ends of a window (during, before, after).
 
     The three windows are one tagged table joined once, by cell or station and day of start.
-    `edge` complete keeps lasting entities whose shifted windows lie within the data; `counted` all
-    counts weather too, by station.  Lasting entities are never counted.
+    `edge` complete keeps owners whose shifted windows both lie within the data, one_sided those with one;
+    `counted` all counts weather too, by station.  `excluded` (the owners themselves, or what was fused into them) is never counted.
+    Owners fused of both kinds meet others by station, by radius, or by either (`mixed`).
     """
     s, e = F.col("start_us"), F.col("end_us")
     shift = _shift(week, shift)
     x, y = _cell(F.col("lat"), F.col("lon"), radius)
+    both = F.col("mixed") if "mixed" in lasting.columns else F.lit(False)
     keep = _kept(lasting, df, shift, edge)
-    tags = F.array(*[F.struct(F.lit(n).alias("which"), (s + k * shift).alias("lo"), (e + k * shift).alias("hi")) for n, k in (("during", 0), ("before", -1), ("after", 1))])
-    windows = keep.select(F.col("entity_id").alias("long_id"), F.col("kind").alias("w_kind"), F.col("lat").alias("w_lat"), F.col("lon").alias("w_lon"), F.col("station").alias("w_station"), x.alias("w_x"), y.alias("w_y"), F.inline(tags))
-    windows = windows.withColumn("w_day", F.explode(buckets(F.col("lo"), F.col("hi"), DAY)))
+    tags = F.array(*[F.struct(F.lit(n).alias("which"), (s + k * shift).alias("lo"), (e + k * shift).alias("hi"), F.lit(has).alias("tag")) for n, k, has in (("during", 0, ""), ("before", -1, "b"), ("after", 1, "a"))])
+    windows = keep.select(
+        F.col("entity_id").alias("long_id"), F.col("kind").alias("w_kind"), both.alias("w_mixed"), F.col("lat").alias("w_lat"), F.col("lon").alias("w_lon"), F.col("station").alias("w_station"), x.alias("w_x"), y.alias("w_y"), "has_before", "has_after", F.inline(tags)
+    ).where((F.col("tag") == "") | ((F.col("tag") == "b") & F.col("has_before")) | ((F.col("tag") == "a") & F.col("has_after")))
+    windows = windows.drop("tag", "has_before", "has_after").withColumn("w_day", F.explode(buckets(F.col("lo"), F.col("hi"), DAY)))
     others = df if counted == "all" else df.where("kind = 'traffic'")
-    others = others.join(lasting.select("entity_id"), "entity_id", "left_anti").select("entity_id", "kind", "start_us", "end_us", "lat", "lon", "station", x.alias("x"), y.alias("y"), F.floor(s / DAY).alias("day"))
+    gone = (lasting if excluded is None else excluded).select("entity_id")
+    others = others.join(gone, "entity_id", "left_anti").select("entity_id", "kind", "start_us", "end_us", "lat", "lon", "station", x.alias("x"), y.alias("y"), F.floor(s / DAY).alias("day"))
     inside = (s > F.col("lo")) & (e < F.col("hi")) & (F.col("day") == F.col("w_day"))
     near = F.array(*[F.struct(F.lit(i).alias("i"), F.lit(j).alias("j")) for i in (-1, 0, 1) for j in (-1, 0, 1)])
-    wide = windows.where("w_kind = 'traffic'").withColumn("n", F.explode(near)).withColumns({"w_x": F.col("w_x") + F.col("n.i"), "w_y": F.col("w_y") + F.col("n.j")})
+    weather = F.col("w_kind") == "weather"
+    by_place = ~weather if mixed == "station" else ~weather | F.col("w_mixed")
+    at_station = weather & ~F.col("w_mixed") if mixed == "radius" else weather
+    wide = windows.where(by_place).withColumn("n", F.explode(near)).withColumns({"w_x": F.col("w_x") + F.col("n.i"), "w_y": F.col("w_y") + F.col("n.j")})
     close = haversine(F.col("lat"), F.col("lon"), F.col("w_lat"), F.col("w_lon")) <= radius
-    hits = wide.join(others.where("kind = 'traffic'"), (F.col("w_x") == F.col("x")) & (F.col("w_y") == F.col("y")) & inside & close).select("long_id", "which", "entity_id")
-    by_station = windows.where("w_kind = 'weather'").join(others, (F.col("w_station") == F.col("station")) & inside).select("long_id", "which", "entity_id")
+    out = ("long_id", "which", "entity_id")
+    hits = wide.join(others.where("kind = 'traffic'"), (F.col("w_x") == F.col("x")) & (F.col("w_y") == F.col("y")) & inside & close).select(*out)
+    by_station = windows.where(at_station).join(others, (F.col("w_station") == F.col("station")) & inside).select(*out)
     if counted == "all":
-        weather = windows.where("w_kind = 'traffic'").join(others.where("kind = 'weather'"), (F.col("w_station") == F.col("station")) & inside)
-        by_station = by_station.union(weather.select("long_id", "which", "entity_id"))
-    return hits.union(by_station)
+        wet = windows.where(~at_station).join(others.where("kind = 'weather'"), (F.col("w_station") == F.col("station")) & inside)
+        by_station = by_station.union(wet.select(*out))
+    found = hits.union(by_station)
+    return found.distinct() if mixed == "either" else found
 
 
-def halo_counts(lasting: DataFrame, df: DataFrame, radius: float = RADIUS, week: int = 7 * DAY, edge: str = "keep", shift: str = "exact", counted: str = "traffic") -> DataFrame:
-    """(long_id, state, type, kind, span_us, n_during, n_before, n_after): sizes of `halo_members`, zeros kept."""
-    hits = halo_members(lasting, df, radius, week, edge, shift, counted)
+def halo_counts(
+    lasting: DataFrame, df: DataFrame, radius: float = RADIUS, week: int = 7 * DAY, edge: str = "keep", shift: str = "exact", counted: str = "traffic", excluded: DataFrame | None = None, mixed: str = "station"
+) -> DataFrame:
+    """(long_id, state, type, kind, span_us, n_during, n_before, n_after): sizes of `halo_members`, zeros kept; null for a window that `edge` leaves out."""
+    hits = halo_members(lasting, df, radius, week, edge, shift, counted, excluded, mixed)
     keep = _kept(lasting, df, _shift(week, shift), edge)
     n = hits.groupBy("long_id").agg(*[F.count_if(F.col("which") == w).alias(f"n_{w}") for w in ("during", "before", "after")])
-    zero = lambda w: F.coalesce(F.col(f"n_{w}"), F.lit(0)).cast("long").alias(f"n_{w}")
-    return keep.withColumnRenamed("entity_id", "long_id").join(n, "long_id", "left").select("long_id", "state", "type", "kind", (F.col("end_us") - F.col("start_us")).alias("span_us"), zero("during"), zero("before"), zero("after"))
+
+    def zero(w: str) -> Column:
+        count = F.coalesce(F.col(f"n_{w}"), F.lit(0)).cast("long")
+        return (count if w == "during" else F.when(F.col(f"has_{w}"), count)).alias(f"n_{w}")
+
+    return keep.withColumnRenamed("entity_id", "long_id").join(n, "long_id", "left").select("long_id", "state", "type", "kind", span().alias("span_us"), zero("during"), zero("before"), zero("after"))
+
+
+_APART = "2 * 6371008.8::double * asin(sqrt(least(1, pow(sin(radians({b}.lat - {a}.lat) / 2), 2) + cos(radians({a}.lat)) * cos(radians({b}.lat)) * pow(sin(radians({b}.lon - {a}.lon) / 2), 2))))"
 
 
 def lasting_sql(p: float) -> str:
@@ -172,21 +234,35 @@ def lasting_sql(p: float) -> str:
     return f"""
 la as (select * from e where end_us - start_us > (select quantile_cont(end_us - start_us, {p}) from e)),
 cf as (select p.entity_id a, c.entity_id b from la p join la c on p.entity_id < c.entity_id and p.start_us <= c.end_us and c.start_us <= p.end_us
-  where case when p.kind = 'weather' or c.kind = 'weather' then p.station = c.station
-    else 2 * 6371008.8::double * asin(sqrt(least(1, pow(sin(radians(c.lat - p.lat) / 2), 2) + cos(radians(p.lat)) * cos(radians(c.lat)) * pow(sin(radians(c.lon - p.lon) / 2), 2)))) <= {RADIUS}::double end)
+  where case when p.kind = 'weather' or c.kind = 'weather' then p.station = c.station else {_APART.format(a="p", b="c")} <= {RADIUS}::double end)
+"""
+
+
+#: WITH-list item `fu` for DuckDB, after `cf`: lasting entities fused by components, with the columns of `la` that halos read.
+FUSED_SQL = """
+rc as (select entity_id node, entity_id r from la union select case when rc.node = cf.a then cf.b else cf.a end, rc.r from rc join cf on rc.node in (cf.a, cf.b)),
+cm as (select node, min(r) id from rc group by 1),
+fu as (select id entity_id, min(start_us) start_us, max(end_us) end_us, array_to_string(list_sort(list(distinct type)), '_') "type", max(kind) kind, count(distinct kind) > 1 mixed, arg_min(station, [start_us, la.entity_id]) station,
+  arg_min(state, [start_us, la.entity_id]) state, avg(lat) filter (kind = 'traffic') lat, avg(lon) filter (kind = 'traffic') lon from la join cm on node = la.entity_id group by id)
 """
 
 
-def halo_sql(edge: str, span: str = "(end_us - start_us)") -> str:
-    """WITH-list items `h` for DuckDB, after `la`."""
-    keep = f"where start_us - (604800000000 + {span}) >= (select min(start_us) from e) and end_us + (604800000000 + {span}) <= (select max(end_us) from e)" if edge == "complete" else ""
+def halo_sql(edge: str, span: str = "(end_us - start_us)", owners: str = "fu", mixed: str = "station", counted: str = "e") -> str:
+    """WITH-list items `lk`, `tr` and `h` for DuckDB, after the owners (`la` or `fu`)."""
+    stays = {"keep": "", "complete": "where b_ok and a_ok", "one_sided": "where b_ok or a_ok"}[edge]
+    both = "mixed" if owners == "fu" else "false mixed"
+    near = f"{_APART.format(a='lk', b='tr')} <= {RADIUS}::double"
+    meets = {
+        "station": f"case when lk.kind = 'weather' then lk.station = tr.station else {near} end",
+        "radius": f"case when lk.kind = 'weather' and not lk.mixed then lk.station = tr.station else {near} end",
+        "either": f"case when lk.mixed then lk.station = tr.station or {near} when lk.kind = 'weather' then lk.station = tr.station else {near} end",
+    }[mixed]
+    side = lambda ok, sign: f"(case when {'true' if edge != 'one_sided' else f'any_value({ok})'} then count_if(tr.start_us > lk.start_us {sign} sh and tr.end_us < lk.end_us {sign} sh) end)::bigint"
     return f"""
-lk as (select *, 604800000000 + {span} sh from la {keep}),
-tr as (select * from e where kind = 'traffic' and entity_id not in (select entity_id from la)),
+lk as (select * from (select entity_id, state, "type", kind, station, lat, lon, start_us, end_us, {both}, 604800000000 + {span} sh, start_us - (604800000000 + {span}) >= (select min(start_us) from e) b_ok,
+  end_us + (604800000000 + {span}) <= (select max(end_us) from e) a_ok from {owners}) {stays}),
+tr as (select * from {counted} where kind = 'traffic' and entity_id not in (select entity_id from la)),
 h as (select lk.entity_id long_id, any_value(lk.state) state, any_value(lk.type) "type", any_value(lk.kind) kind, any_value(lk.end_us - lk.start_us) span_us,
-  (count_if(tr.start_us > lk.start_us and tr.end_us < lk.end_us))::bigint n_during, (count_if(tr.start_us > lk.start_us - sh and tr.end_us < lk.end_us - sh))::bigint n_before,
-  (count_if(tr.start_us > lk.start_us + sh and tr.end_us < lk.end_us + sh))::bigint n_after
-  from lk left join tr on case when lk.kind = 'weather' then lk.station = tr.station
-    else 2 * 6371008.8::double * asin(sqrt(least(1, pow(sin(radians(tr.lat - lk.lat) / 2), 2) + cos(radians(lk.lat)) * cos(radians(tr.lat)) * pow(sin(radians(tr.lon - lk.lon) / 2), 2)))) <= {RADIUS}::double end
-  group by lk.entity_id)
+  (count_if(tr.start_us > lk.start_us and tr.end_us < lk.end_us))::bigint n_during, {side("b_ok", "-")} n_before, {side("a_ok", "+")} n_after
+  from lk left join tr on {meets} group by lk.entity_id)
 """

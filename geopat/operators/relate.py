@@ -47,9 +47,9 @@ def links(df: DataFrame, minutes: int = 10, snow_minutes: int = 40, metres: floa
     return candidates(df, minutes, snow_minutes, metres).where("gap_us > 0")
 
 
-def coverage(df: DataFrame, linked: DataFrame) -> DataFrame:
-    """One row per kind: entities, those with a partner, and the share in percent."""
-    touched = linked.select(F.col("parent_id").alias("entity_id")).union(linked.select("child_id")).distinct().withColumn("hit", F.lit(1))
+def coverage(df: DataFrame, pairs: DataFrame) -> DataFrame:
+    """One row per kind: entities, those in a weak pair (a, b), and the share in percent."""
+    touched = pairs.select(F.col("a").alias("entity_id")).union(pairs.select("b")).distinct().withColumn("hit", F.lit(1))
     return df.join(touched, "entity_id", "left").groupBy("kind").agg(F.count("*").alias("n"), F.count("hit").alias("n_linked")).withColumn("percent", F.round(100.0 * F.col("n_linked") / F.col("n"), 6))
 
 

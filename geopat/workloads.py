@@ -113,14 +113,10 @@ for _name, _t in (("paper", PAPER), ("dense", DENSE)):
     def w_links(spark: SparkSession, d: str, t: tuple = _t) -> DataFrame:
         return relate.links(entities(spark, d), *t)
 
-    @query(f"w_link_coverage_{_name}", with_e(relate.link_sql(*_t), "x as (select parent_id id from l union select child_id from l)", then="select kind, count(*) n, count(id) n_linked, round(100.0::double * count(id) / count(*), 6) percent from e left join x on id = entity_id group by 1"))
+    @query(f"w_link_coverage_{_name}", with_e(relate.weak_sql(*_t), "x as (select a id from wp union select b from wp)", then="select kind, count(*) n, count(id) n_linked, round(100.0::double * count(id) / count(*), 6) percent from e left join x on id = entity_id group by 1"))
     def w_coverage(spark: SparkSession, d: str, t: tuple = _t) -> DataFrame:
         e = entities(spark, d)
-        return describe_coverage(e, t)
-
-
-def describe_coverage(e: DataFrame, t: tuple[int, int]) -> DataFrame:
-    return relate.coverage(e.select("entity_id", "kind"), relate.links(e, *t))
+        return relate.coverage(e.select("entity_id", "kind"), relate.weak_pairs(e, *t))
 
 
 @query("w_pick_parent", with_e(relate.link_sql(*DENSE), forest.FOREST_SQL, then="select node, parent from pp"))
@@ -199,25 +195,39 @@ for _name, _p in (("p99", 0.99), ("p95", 0.95)):
         return lasting.fuse_components(found, lasting.conflicts(found)).select("id", "start_us", "end_us", "type", "members")
 
 
-for _edge in ("keep", "complete"):
-    @query(f"w_halo_counts_{_edge}", with_e(lasting.lasting_sql(0.95), lasting.halo_sql(_edge), then="select * from h"))
-    def w_halo(spark: SparkSession, d: str, edge: str = _edge) -> DataFrame:
-        e = entities(spark, d)
-        return lasting.halo_counts(lasting.extract(e, 0.95), e, edge=edge)
+#: Owners of halo windows: lasting entities (p95) with overlaps resolved by components.
+OWNERS_SQL = (lasting.lasting_sql(0.95), lasting.FUSED_SQL)
+_HOURS = "case " + " ".join(f"when span_us >= {h * 3_600_000_000} then {h}" for h in influence.SHORT_EDGES_H[:0:-1]) + " else 0 end"
+BUCKETS = {"state": ("state", lambda: F.col("state")), "type": ('"type"', lambda: F.col("type")), "duration": (_HOURS, lambda: influence.duration_bucket(F.col("span_us"), influence.SHORT_EDGES_H))}
+EDGES = ("keep", "complete", "one_sided")
+
 
-    for _by, _sql in (("state", "state"), ("type", '"type"'), ("duration", "case when span_us >= 21600000000 then 6 when span_us >= 18000000000 then 5 when span_us >= 14400000000 then 4 when span_us >= 10800000000 then 3 else 0 end")):
-        @query(f"w_influence_{_by}_{_edge}", with_e(lasting.lasting_sql(0.95), lasting.halo_sql(_edge), influence.test_sql(_sql), then="select bucket, test, n, round(t, 6) + 0.0 t, round(df, 6) df, round(p, 6) p, case when p is null then null when 1 - p >= 0.99 then '99' when 1 - p >= 0.95 then '95' when 1 - p >= 0.9 then '90' else 'none' end tier from t"))
-        def w_influence(spark: SparkSession, d: str, by: str = _by, edge: str = _edge) -> DataFrame:
-            column = influence.duration_bucket(F.col("span_us")) if by == "duration" else F.col(by)
-            return influence.tests(w_halo(spark, d, edge), [column.alias("bucket")])
+def halo(e: DataFrame, rule: str = "components", **options: object) -> DataFrame:
+    """Halo counts of lasting entities after fusion; what was fused is not counted."""
+    found = written(lasting.extract(e, 0.95))
+    owners = found if rule == "none" else written(lasting.fused_windows(found, rule=rule))
+    return written(lasting.halo_counts(owners, e, excluded=found, **options))
 
-    @query(f"w_influence_welch_{_edge}")
-    def w_welch(spark: SparkSession, d: str, edge: str = _edge) -> DataFrame:
-        return influence.tests(w_halo(spark, d, edge), [F.col("type").alias("bucket")], "welch")
 
-    @query(f"w_tally_{_edge}")
-    def w_tally(spark: SparkSession, d: str, edge: str = _edge) -> DataFrame:
-        return influence.tally(influence.tests(w_halo(spark, d, edge), [F.col("state").alias("bucket")]))
+for _edge in EDGES:
+    @query(f"w_halo_counts_{_edge}", with_e(*OWNERS_SQL, lasting.halo_sql(_edge), then="select * from h"))
+    def w_halo(spark: SparkSession, d: str, edge: str = _edge) -> DataFrame:
+        return halo(entities(spark, d), edge=edge)
+
+    for _by, (_sql, _column) in BUCKETS.items():
+        for _flavour, _mark in (("pooled", ""), ("welch", "welch_")):
+            @query(f"w_influence_{_mark}{_by}_{_edge}", with_e(*OWNERS_SQL, lasting.halo_sql(_edge), influence.test_sql(_sql, _flavour), then=f"select bucket, test, n, round(t, 6) + 0.0 t, round(df, 6) df, round(p, 6) p, {influence.TIER_SQL} tier from t"))
+            def w_influence(spark: SparkSession, d: str, column=_column, edge: str = _edge, flavour: str = _flavour) -> DataFrame:
+                return influence.tests(w_halo(spark, d, edge), [column().alias("bucket")], flavour)
+
+        @query(f"w_tally_{_by}_{_edge}", with_e(*OWNERS_SQL, lasting.halo_sql(_edge), influence.test_sql(_sql), f"b as (select bucket, min(p) p from t where test in ('T1', 'T2') and p is not null group by 1)", then=f"select {influence.TIER_SQL} tier, count(*) buckets from b group by 1"))
+        def w_tally(spark: SparkSession, d: str, column=_column, edge: str = _edge) -> DataFrame:
+            return influence.tally(influence.tests(w_halo(spark, d, edge), [column().alias("bucket")]))
+
+    @query(f"w_influence_fixpoint_{_edge}")
+    def w_fixpoint(spark: SparkSession, d: str, edge: str = _edge) -> DataFrame:
+        """State buckets of owners fused until no two conflict; no SQL."""
+        return influence.tests(halo(entities(spark, d), "fixpoint", edge=edge), [F.col("state").alias("bucket")])
 
 
 def flagship(spark: SparkSession, d: str) -> DataFrame:
