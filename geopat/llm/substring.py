@@ -42,9 +42,11 @@ WINDOW = 13
 #: Words of an anchor, the longest prefix that groups are cut by.
 ANCHOR = 4
 #: Suffixes gathered before a task deals them out.
-BATCH = 1_000_000
+BATCH = 250_000
 #: Suffixes of a part.
-PART = 1_500_000
+PART = 1_000_000
+#: Words of segments that go out in one record batch.
+SENT = 500_000
 #: Parts that the driver's table of prefixes tells apart; a part beyond is cut by the anchor's hash.
 MOST_PLANNED = 4096
 
@@ -195,12 +197,18 @@ def deal(docs: DataFrame, window: int, assigned: np.ndarray, parts: int, finer:
             order = np.argsort(part[first], kind="stable")
             first, count = first[order], count[order]
             edges = np.append(_starts(part[first][1:] != part[first][:-1]), len(first))
+            held = 0
             for a, b in zip(edges[:-1], edges[1:], strict=True):
                 words = count[a:b] + window - 1
                 ends = np.cumsum(words)
                 spread = np.arange(ends[-1]) + np.repeat(at[first[a:b]] - (ends - words), words)
                 out.append((int(part[first[a]]), False, doc[first[a:b]].tobytes(), place[first[a:b]].tobytes(), count[a:b].astype(np.uint16).tobytes(), codes[spread].tobytes()))
-            yield _dealt(out)
+                held += len(spread)
+                if held > SENT:
+                    yield _dealt(out)
+                    out, held = [], 0
+            if out:
+                yield _dealt(out)
 
     return docs.mapInArrow(run, _DEALT)
 
