@@ -175,10 +175,7 @@ for _name, _t, _s in (("adaptive", DENSE, None), ("fixed02", DENSER, 0.02)):
 
     @query(f"w_state_distinctive_{_name}")
     def w_distinctive(spark: SparkSession, d: str, t: tuple = _t, s: float | None = _s, get=w_vectors_all) -> DataFrame:
-        v = written(get(spark, d, t, s))
-        best = cluster.state_groups(v).where("best").select("state", "cluster")
-        in_one = v.where("present = 1").join(best, "state").groupBy("shape").agg(F.countDistinct("cluster").alias("clusters"), F.min("cluster").alias("cluster"), F.count("*").alias("states"))
-        return in_one.where("clusters = 1").select("cluster", "shape", "states")
+        return cluster.distinctive(written(get(spark, d, t, s)))
 
     for _kind in ("maximal", "closed"):
         @query(f"w_shapes_{_kind}_{_name}")
@@ -241,8 +238,6 @@ def traffic_points(spark: SparkSession, d: str) -> DataFrame:
     return entities(spark, d).where("kind = 'traffic'").select(F.col("entity_id").alias("id"), "lat", "lon")
 
 
-#: Density of the given tables is that of roads, so clusters take a radius and a count of their own.
-EPS_M, MIN_PTS = 150.5, 25
 _HAV = "2 * 6371008.8::double * asin(sqrt(least(1, pow(sin(radians(q.lat - p.lat) / 2), 2) + cos(radians(p.lat)) * cos(radians(q.lat)) * pow(sin(radians(q.lon - p.lon) / 2), 2))))"
 _TP = "tp as (select entity_id id, street, lat, lon from e where kind = 'traffic')"
 
@@ -258,16 +253,6 @@ def w_density_params(spark: SparkSession, d: str) -> DataFrame:
     return density.parameters(traffic_points(spark, d)).withColumn("eps_m", F.round("eps_m", 4))
 
 
-@query("w_dbscan")
-def w_dbscan(spark: SparkSession, d: str) -> DataFrame:
-    return density.dbscan(traffic_points(spark, d), EPS_M, MIN_PTS).select("id", "cluster", "core")
-
-
-@query("w_halo_radius")
-def w_halo_radius(spark: SparkSession, d: str) -> DataFrame:
-    return density.radius(density.dbscan(traffic_points(spark, d), EPS_M, MIN_PTS))
-
-
 for _shift, _span in (("ceil", "ceil((end_us - start_us) / 86400000000)::bigint * 86400000000"), ("floor", "((end_us - start_us) // 86400000000) * 86400000000")):
     @query(f"w_halo_counts_shift_{_shift}", with_e(*OWNERS_SQL, lasting.halo_sql("complete", _span), then="select * from h"))
     def w_shift(spark: SparkSession, d: str, shift: str = _shift) -> DataFrame:

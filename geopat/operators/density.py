@@ -9,6 +9,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from geopat.functions.geo import haversine
+from geopat.operators.lasting import quantile
 from geopat.plans.components import connected
 from geopat.plans.scratch import written
 
@@ -71,11 +72,10 @@ def neighbour_counts(points: DataFrame, metres: float) -> DataFrame:
 
 def parameters(points: DataFrame, p: float = 0.99) -> DataFrame:
     """One row: eps_m, the p-quantile of nearest-neighbour distances, and min_pts, that of neighbour counts within it."""
-    eps = nearest(points).agg(F.percentile("dist", F.lit(p), F.col("weight")).alias("eps_m")).first()[0]
-    if eps is None:
-        return points.sparkSession.createDataFrame([(None, None)], "eps_m double, min_pts double")
-    counts = neighbour_counts(points, eps + 1e-6)
-    return counts.agg(F.lit(eps).alias("eps_m"), F.percentile("n", F.lit(p), F.col("weight")).cast("double").alias("min_pts"))
+    points = written(points)
+    eps = quantile(written(nearest(points)), F.col("dist"), p, F.col("weight"))
+    least = None if eps is None else quantile(written(neighbour_counts(points, eps + 1e-6)), F.col("n"), p, F.col("weight"))
+    return points.sparkSession.createDataFrame([(eps, least)], "eps_m double, min_pts double")
 
 
 def dbscan(points: DataFrame, eps_m: float, min_pts: int, count_self: bool = False) -> DataFrame:

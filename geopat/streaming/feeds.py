@@ -6,8 +6,10 @@ trigger, and may be restarted from where it stopped.
 
 from __future__ import annotations
 
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.streaming.state import GroupStateTimeout
 
 from geopat.plans.scratch import place
 
@@ -70,3 +72,56 @@ def online_links(parents: DataFrame, children: DataFrame, keys: list[str], minut
     return p.join(c, on).select("parent_id", "child_id")
 
 
+
+def days(events: DataFrame) -> DataFrame:
+    """(day_us, n) of whole days, with a watermark a day behind."""
+    counted = events.withWatermark("ts", "1 day").groupBy(F.window("ts", "1 day").alias("w")).agg(F.count("*").alias("n"))
+    return counted.select(F.unix_micros("w.start").alias("day_us"), "n")
+
+
+def append_then_late(stream: DataFrame, source: str, late: DataFrame) -> DataFrame:
+    """Append mode over the files of `source`; then again after `late` rows were added there, which the watermark drops."""
+    spark, out = stream.sparkSession, place(stream.sparkSession)
+    for more in (None, late):
+        if more is not None:
+            more.coalesce(1).write.mode("append").parquet(source)
+        stream.writeStream.format("parquet").outputMode("append").option("checkpointLocation", f"{out}-state").trigger(availableNow=True).start(out).awaitTermination()
+    return spark.read.schema(stream.schema).parquet(out)
+
+
+def fused_intervals(records: DataFrame, gap_us: int) -> DataFrame:
+    """(station, start_us, end_us, records, open) from records (station, time_us): intervals without a gap over `gap_us`.
+
+    State is the station's open intervals; a batch adds its records to them.  Closed ones that a later batch may still
+    join stay in the state, so every batch gives a station's intervals anew and the last counts.
+    """
+
+    def fuse(key, batches, state):  # noqa: ANN001, ANN202
+        held = list(zip(*state.get, strict=True)) if state.exists else []
+        for b in batches:
+            held += [(int(t), int(t), 1) for t in b["time_us"].dropna()]
+        out: list[list[int]] = []
+        for start, end, n in sorted(held):
+            if out and start - out[-1][1] <= gap_us:
+                out[-1] = [out[-1][0], max(out[-1][1], end), out[-1][2] + n]
+            else:
+                out.append([start, end, n])
+        starts, ends, counts = (list(c) for c in zip(*out, strict=True)) if out else ([], [], [])
+        state.update((starts, ends, counts))
+        yield pd.DataFrame({"station": [key[0]] * len(out), "start_us": starts, "end_us": ends, "records": counts})
+
+    kinds = "starts array<long>, ends array<long>, counts array<long>"
+    return records.groupBy("station").applyInPandasWithState(fuse, "station long, start_us long, end_us long, records long", kinds, "update", GroupStateTimeout.NoTimeout)
+
+
+def drain_state(stream: DataFrame) -> DataFrame:
+    """Update mode, to the end of the input: the rows of each station's last batch."""
+    spark, out = stream.sparkSession, place(stream.sparkSession)
+
+    def save(batch: DataFrame, number: int) -> None:
+        batch.withColumn("_batch", F.lit(number)).write.mode("overwrite").parquet(f"{out}/batch={number}")
+
+    stream.writeStream.foreachBatch(save).outputMode("update").option("checkpointLocation", f"{out}-state").trigger(availableNow=True).start().awaitTermination()
+    rows = spark.read.option("basePath", out).parquet(f"{out}/batch=*").drop("batch")
+    last = rows.groupBy("station").agg(F.max("_batch").alias("_batch"))
+    return rows.join(last, ["station", "_batch"]).drop("_batch")

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import re
+
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -95,15 +97,20 @@ _SQL = {
     "op_cte": "with big as (select o_custkey, count(*) n from orders group by 1) select n, count(*) customers from big group by 1",
     "op_cte_recursive": "with recursive c(n, f) as (select 1, 1 union all select n + 1, f * (n + 1) from c where n < 10) select n, f from c",
 }
-for _name, _text in _SQL.items():
-    @query(_name, _text)
-    def op_sql(spark: SparkSession, d: str, text: str = _text) -> DataFrame:
-        import re
-
-        for table in _TABLES:
-            if re.search(rf"\b{table}\b", text):
-                read(spark, d, table).createOrReplaceTempView(table)
-        return spark.sql(text)
+
+
+def in_sql(texts: dict[str, str]) -> None:
+    """Register queries whose text both engines take; the tables they name become views."""
+    for name, text in texts.items():
+        @query(name, text)
+        def op_sql(spark: SparkSession, d: str, text: str = text) -> DataFrame:
+            for table in _TABLES:
+                if re.search(rf"\b{table}\b", text):
+                    read(spark, d, table).createOrReplaceTempView(table)
+            return spark.sql(text)
+
+
+in_sql(_SQL)
 
 
 # ---- joins, aggregates and collections by the DataFrame API
