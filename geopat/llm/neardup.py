@@ -32,7 +32,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from geopat.plans.components import connected
+from geopat.plans.components import connected, forest
+from geopat.plans.scratch import hot_join
 
 from .common import materialise, parts_for, ship, table
 from .wordhash import Words, blocks, gram_hash, mix, window_mask
@@ -278,7 +279,7 @@ def full_sets(docs: DataFrame, wanted: DataFrame, words: int) -> DataFrame:
                 edges, h = shingles(block, words)
                 yield pa.RecordBatch.from_arrays([batch["doc_id"].slice(first, len(block)), pa.array([h[a:b].tobytes() for a, b in zip(edges[:-1], edges[1:], strict=True)], pa.binary())], names=["doc_id", "set"])
 
-    texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").join(wanted.distinct(), "doc_id", "left_semi")
+    texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").join(wanted.distinct().hint("merge"), "doc_id", "left_semi")
     return texts.mapInArrow(sets, "doc_id long, set binary")
 
 
@@ -312,7 +313,7 @@ def rest_links(members: DataFrame, found: DataFrame, sketch: DataFrame, full: Da
     go to one block of their band; those outside the cluster's largest component, which
     may link with any member, are dealt against all blocks of the bands around theirs.
     A task compares the sketches of a block, and packs the pairs that may link in one
-    row; a second task gets each full set of these once and returns links alone.
+    row; a second task gets each full set of these once and returns its links alone, thinned to stars.
     """
     of = lambda name: found.select(F.col("node").alias(name), F.col("component").alias(f"c{name}"))
     placed = members.join(of("a"), "a", "left").join(of("b"), "b", "left").select("a", "b", F.coalesce("ca", "a").alias("ca"), F.coalesce("cb", "b").alias("cb"))
@@ -376,9 +377,10 @@ def rest_links(members: DataFrame, found: DataFrame, sketch: DataFrame, full: Da
             shared = _shared(one, two)[x, y].astype(np.float64)
             total = np.array([len(s) for s in one])[x] + np.array([len(s) for s in two])[y] - shared
             good = 100.0 * shared >= percent * total
-            out_a.append(np.minimum(a, b)[good])
-            out_b.append(np.maximum(a, b)[good])
-        return pa.table([pa.array(np.concatenate(out_a)), pa.array(np.concatenate(out_b))], names=["a", "b"])
+            out_a.append(a[good])
+            out_b.append(b[good])
+        hi, lo = forest(np.concatenate(out_a), np.concatenate(out_b))
+        return pa.table([pa.array(hi), pa.array(lo)], names=["a", "b"])
 
     sets = wanted.join(full, "doc_id")
     return near.groupBy("cluster", "band", "i", "j").cogroup(sets.groupBy("c", "d", "x", "y")).applyInArrow(verify, "a long, b long")
@@ -414,7 +416,7 @@ def near_duplicates(docs: DataFrame, words: int = 5, percent: int = 80, k: int =
     ship(docs.sparkSession)
     sketch = materialise(sketches(docs, words, k))
     known = sketch.where("n > 0 and doc_id is not null")
-    groups = known.groupBy("n", "d1", "d2").agg(F.min("doc_id").alias("rep"))
+    groups = known.groupBy("n", "d1", "d2").agg(F.min("doc_id").alias("rep"), F.count("*").alias("copies"))
     # An id with several rows joins the classes of all of them.
     same_id = known.groupBy("doc_id").agg(F.min(F.struct("n", "d1", "d2")).alias("x"), F.max(F.struct("n", "d1", "d2")).alias("y")).where("x <> y")
     doubles = known.join(same_id.select("doc_id"), "doc_id", "left_semi").join(groups, ["n", "d1", "d2"]).select(F.col("doc_id").alias("a"), F.col("rep").alias("b"))
@@ -431,10 +433,12 @@ def near_duplicates(docs: DataFrame, words: int = 5, percent: int = 80, k: int =
     more = materialise(rest_links(members, found, single, full, percent, k))
     if not more.isEmpty():
         found = connected(found.select(F.col("node").alias("a"), F.col("component").alias("b")).union(more))
-    labelled = groups.join(found, F.col("rep") == F.col("node"), "left").select("n", "d1", "d2", F.coalesce("component", "rep").alias("component"))
+    labelled = groups.join(found, F.col("rep") == F.col("node"), "left").select("d1", F.col("n").alias("m"), F.col("d2").alias("e2"), F.coalesce("component", "rep").alias("component"), "copies")
+    worded = hot_join(known.select("doc_id", "n", "d1", "d2"), materialise(labelled), "d1", "copies", known.count()).where("d2 = e2 and n = m").select("doc_id", "n", "component")
+    rest = sketch.where("n = 0 or doc_id is null").select("doc_id", "n", F.col("doc_id").alias("component"))
     return (
-        sketch.join(labelled, ["n", "d1", "d2"], "left")
-        .select("doc_id", F.col("n").alias("n_shingles"), F.when(F.col("doc_id").isNotNull(), F.when(F.col("n") > 0, F.coalesce("component", "doc_id")).otherwise(F.col("doc_id"))).alias("component_id"))
+        worded.unionByName(rest)
+        .select("doc_id", F.col("n").alias("n_shingles"), F.col("component").alias("component_id"))
         .withColumn("kept", F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(True)))
     )
 
