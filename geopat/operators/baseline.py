@@ -5,6 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from geopat.functions.geo import haversine
 from geopat.plans.rangejoin import buckets
 
 _DEGREE_M, MID_LAT = 111195.0, 36.0
@@ -49,3 +50,16 @@ ep as (select e.* replace (case when kind = 'weather' then slat else lat end as
 gp2 as (select p.entity_id a, c.entity_id b from ep p join ep c on p.entity_id < c.entity_id and p.start_us <= c.end_us and c.start_us <= p.end_us
   and abs(p.lat - c.lat) < 0.01 and pow((p.lon - c.lon) * {across}, 2) + pow((p.lat - c.lat) * 111195.0::double, 2) <= {metres * metres})
 """
+
+
+def loop_pairs(df: DataFrame, minutes: int = 10, snow_minutes: int = 40, metres: float = 300.0) -> DataFrame:
+    """Weak pairs (a, b) by comparing every row with every other: what the bucketed join is held against, for small tables only."""
+    a, b = (df.select(*[F.col(c).alias(f"{t}_{c}") for c in df.columns]) for t in "ab")
+    gap = F.abs(F.col("a_start_us") - F.col("b_start_us"))
+    road = (F.col("a_kind") == "traffic") & (F.col("b_kind") == "traffic")
+    for c in ("state", "city", "zip", "street", "side"):
+        road &= F.col(f"a_{c}") == F.col(f"b_{c}")
+    road &= (gap <= minutes * 60_000_000) & (haversine(F.col("a_lat"), F.col("a_lon"), F.col("b_lat"), F.col("b_lon")) <= metres)
+    wet = F.when(F.col("a_kind") == "weather", F.col("a_type")).otherwise(F.col("b_type"))
+    near = (F.col("a_kind") != F.col("b_kind")) & (F.col("a_station") == F.col("b_station")) & (gap <= F.when(wet == "snow", F.lit(snow_minutes * 60_000_000)).otherwise(F.lit(minutes * 60_000_000)))
+    return a.crossJoin(b).where((F.col("a_entity_id") < F.col("b_entity_id")) & (road | near)).select(F.col("a_entity_id").alias("a"), F.col("b_entity_id").alias("b"))

@@ -6,6 +6,8 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from geopat.functions.geo import haversine
+from geopat.plans.nearby import near_pairs
+from geopat.plans.scratch import written
 
 #: Unified types by the first code that is past them.
 TAXONOMY = (
@@ -36,10 +38,28 @@ def stations(spark: SparkSession, folder: str) -> DataFrame:
     )
 
 
-def nearest_station(places: DataFrame, directory: DataFrame) -> DataFrame:
-    """(city, station): station nearest to each place, by whole metres, then code.  Places are few; the directory is broadcast."""
+#: Pairs of a place and a station that may be compared without a grid.
+MOST_PAIRS = 50_000_000
+
+
+def nearest_station(places: DataFrame, directory: DataFrame, start_metres: float = 50_000.0) -> DataFrame:
+    """(city, station): station nearest to each place, by whole metres, then code.
+
+    A directory of a checked size is broadcast.  Beyond it places meet the stations of the grid cells around, in
+    a radius that doubles until all have one within it.
+    """
     metres = F.round(haversine(F.col("clat"), F.col("clon"), F.col("slat"), F.col("slon")), 0)
-    return places.crossJoin(F.broadcast(directory)).groupBy("city").agg(F.min_by("code", F.struct(metres, "code")).alias("station"))
+    if places.count() * directory.count() <= MOST_PAIRS:
+        return places.crossJoin(F.broadcast(directory)).groupBy("city").agg(F.min_by("code", F.struct(metres, "code")).alias("station"))
+    at = written(directory.select(F.col("code").alias("place"), F.col("slat").alias("lat"), F.col("slon").alias("lon")))
+    todo = written(places.select(F.col("city").alias("place"), F.col("clat").alias("lat"), F.col("clon").alias("lon")))
+    done, radius = None, start_metres
+    while not todo.isEmpty() and radius < 3e7:
+        hits = near_pairs(todo, at, radius).withColumn("m", F.round("dist", 0)).where(F.col("m") < radius - 1)  # what rounds to the radius might have company beyond it
+        best = written(hits.groupBy(F.col("a_place").alias("city")).agg(F.min_by("b_place", F.struct("m", "b_place")).alias("station")))
+        done = best if done is None else done.union(best)
+        todo, radius = written(todo.join(best.select(F.col("city").alias("place")), "place", "left_anti")), radius * 2
+    return done
 
 
 def entities(spark: SparkSession, folder: str) -> DataFrame:
@@ -57,7 +77,8 @@ def entities(spark: SparkSession, folder: str) -> DataFrame:
         .withColumn("clat", 28 + 4 * F.floor(F.col("state") / 5) + 0.2 * (F.floor(c / 25) % 10))
         .withColumn("clon", -120 + 10 * (F.col("state") % 5) + 0.2 * F.floor(c / 250))
     )
-    near = nearest_station(placed.select("city", "clat", "clon").distinct(), stations(spark, folder))
+    cities = written(placed.select("city", "clat", "clon").distinct())
+    near = nearest_station(cities, stations(spark, folder))
     return placed.join(near, "city", "left").select(
         "entity_id", unified_type(F.col("code")).alias("type"), F.when(F.col("code") >= FIRST_WEATHER, "weather").otherwise("traffic").alias("kind"), "provider_type", "code",
         "start_us", (F.col("start_us") + F.col("seconds") * SECOND).alias("end_us"), "street", F.when(F.col("entity_id") % 2 == 0, "R").otherwise("L").alias("side"),

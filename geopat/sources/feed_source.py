@@ -52,7 +52,7 @@ class _Stream(SimpleDataSourceStreamReader):
 
     def read(self, start: dict) -> tuple[Iterator[tuple], dict]:
         end = min(self.n, start["at"] + self.step)
-        return reports(start["at"], end), {"at": end}
+        return iter(list(reports(start["at"], end))), {"at": end}
 
     def readBetweenOffsets(self, start: dict, end: dict) -> Iterator[tuple]:  # noqa: N802
-        return reports(start["at"], end["at"])
+        return iter(list(reports(start["at"], end["at"])))

@@ -10,6 +10,7 @@ from pyspark.sql import functions as F
 from geopat.functions import register
 from geopat.functions.geo import haversine
 from geopat.operators import density
+from geopat.plans.nearby import near_pairs
 from geopat.plans.rangejoin import buckets
 from geopat.plans.scratch import place
 from geopat.plans.ship import ship
@@ -70,7 +71,7 @@ def op_distance(spark: SparkSession, d: str) -> DataFrame:
     """Traffic within 20 km of each station, by grid cells."""
     points = density.places(entities(spark, d).where("kind = 'traffic'").select(F.col("entity_id").alias("id"), "lat", "lon"))
     at = stations(spark, d).select(F.col("code").alias("place"), F.col("slat").alias("lat"), F.col("slon").alias("lon"))
-    return density.near_pairs(at, points, 20_000.0).groupBy(F.col("a_place").alias("code")).agg(F.sum("b_weight").alias("n"))
+    return near_pairs(at, points, 20_000.0).groupBy(F.col("a_place").alias("code")).agg(F.sum("b_weight").alias("n"))
 
 
 @query("op_join_knn", with_e(f"k as (select city, code, row_number() over (partition by city order by round({_FAR.format(a='c')}), code) r from ct, st)", then="select city, r, code from k where r <= 3"))
