@@ -24,7 +24,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import materialise, table
+from .common import materialise, ship, table
 from geopat.plans.components import connected, forest
 
 MOST_ROTATION = 10_000
@@ -81,6 +81,7 @@ def tile(left: np.ndarray, right: np.ndarray, axes: np.ndarray, threshold: float
 
 def near_vectors(rows: DataFrame, threshold: float = 0.98, most_rotation: int = MOST_ROTATION) -> DataFrame:
     """vec_id, n_links, component_id, kept of every row of `rows` (vec_id, embedding, label)."""
+    ship(rows.sparkSession)
     v = F.transform("embedding", lambda x: x.cast("double") + 0.0)
     given = rows.select(F.col("vec_id").cast("long").alias("vec_id"), "label", v.alias("v"))
     sound = F.col("vec_id").isNotNull() & F.col("label").isNotNull() & F.forall("v", lambda x: x.isNotNull() & ~F.isnan(x) & (F.abs(x) < float("inf"))) & F.exists("v", lambda x: x != 0)

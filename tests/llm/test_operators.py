@@ -150,6 +150,21 @@ def test_fences_follow_their_group(spark):
     assert sum(not rows[i].kept for i, *_ in plain + code) < 24
 
 
+def test_sketch_quantiles(spark):
+    """A sketch's quantile lies within its bucket's width of the exact one, whatever parts the sketch was merged from."""
+    rng = random.Random(7)
+    values = [(f"g{i % 3}", rng.choice((0.0, rng.random() ** 4, 5 * rng.random()))) for i in range(900)]
+    stats = spark.createDataFrame(values, "g string, x double")
+    whole = rules.sketches(stats.repartition(1), ["g"], ["x"])
+    parts = rules.sketches(stats.repartition(9), ["g"], ["x"])
+    assert sorted(whole.collect()) == sorted(parts.collect())
+    for r in rules.quantiles(whole, ["g"], {"mid": 0.5, "high": 0.75}).collect():
+        held = sorted(x for g, x in values if g == r.g)
+        for got, share in ((r.mid, 0.5), (r.high, 0.75)):
+            exact = held[int(np.ceil(share * len(held))) - 1]
+            assert r.total == len(held) and abs(got - exact) <= max(0.005 * exact, rules.SMALLEST)
+
+
 def test_packing_round_trip(docs, texts):
     rows, own = packing.pack(docs).collect(), packing.encoder(__import__("public_tokenizers").path(packing.VOCABULARY))
     assert len({r.sequence_id for r in rows}) == len(rows) and all(r.length & (r.length - 1) == 0 and r.length <= 1024 and r.offset == 0 for r in rows)
