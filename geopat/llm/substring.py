@@ -8,7 +8,7 @@ instead of 13 times.  Anchors are grouped by variable-length prefixes: one word,
 prefix has more suffixes than a group should hold, two, three, four.  Groups are packed into parts whose number
 follows from the count of suffixes, so a part's size does not depend on the input's.
 
-A part orders its suffixes by their words, two at a time, going on only where suffixes still
+A part orders its suffixes by their words, four at a time, going on only where suffixes still
 agree; where two neighbours part is their common-prefix length.  Neighbours that agree to the
 depth of a window are leaves of one deep internal node, a repeat.  A leaf with
 another leaf of a smaller document id below its node tells its document to drop those words;
@@ -18,7 +18,7 @@ Before suffixes are dealt, a task orders those it gathered (BATCH) by fingerprin
 smallest document's goes on, the others are repeats already.  So a passage that any number of documents
 hold has one leaf a batch, and no group of copies lands in one task.  No row is left out.
 
-Words are compared by 32 bits of their hash, so 13 words agree by chance with 1 in 2 ** 32 where
+Words are compared by 16 bits of their hash and windows by 16 bits of their fingerprint besides, so 13 words agree by chance with 1 in 2 ** 32 where
 they differ in one word.  Null and empty texts have no words.  Rows with a null id neither lose words nor take
 them from others.  Rows that share an id are judged each by its own words and never against each other;
 repeated rows fare alike.  Other columns are not read, and may have any name.  An empty table gives no rows.
@@ -35,7 +35,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import materialise, parts_for, ship, table
+from .common import parts_for, ship, table
 from .wordhash import Words, blocks, gram_hash, window_mask
 
 WINDOW = 13
@@ -80,7 +80,7 @@ class Batch:
         else:
             under = at
         told = np.fromiter((zlib.crc32(t) for t in texts), np.int64, len(texts))
-        self.codes.append((w.hash >> np.uint64(32)).astype(np.uint32))
+        self.codes.append((w.hash >> np.uint64(48)).astype(np.uint16))
         own = owner[at] if len(at) else at
         values = {"at": at + self.words, "doc": ids[own], "place": (told[own] << 32) | (at - w.first[own]), "under": under + self.words, "print": gram_hash(w.hash, n)[at] if prints else at}
         for name, held in self.columns.items():
@@ -151,13 +151,13 @@ def plan(counts: np.ndarray, parts: int) -> np.ndarray:
     return out
 
 
-_DEALT = "part int, repeats boolean, ids binary, places binary, lengths binary, codes binary"
+_DEALT = "part int, repeats boolean, ids binary, places binary, lengths binary, codes binary, checks binary"
 
 
 def _dealt(rows: list[tuple]) -> pa.RecordBatch:
-    kinds = (pa.int32(), pa.bool_(), *[pa.binary()] * 4)
+    kinds = (pa.int32(), pa.bool_(), *[pa.binary()] * 5)
     columns = zip(*rows, strict=True) if rows else [[] for _ in kinds]
-    return pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(columns, kinds, strict=True)], names=["part", "repeats", "ids", "places", "lengths", "codes"])
+    return pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(columns, kinds, strict=True)], names=["part", "repeats", "ids", "places", "lengths", "codes", "checks"])
 
 
 def _joined(doc: np.ndarray, place: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -170,6 +170,12 @@ def _joined(doc: np.ndarray, place: np.ndarray) -> tuple[np.ndarray, np.ndarray,
     return doc[first], place[first], np.diff(np.append(first, len(doc)))
 
 
+def _spread(starts: np.ndarray, lengths: np.ndarray) -> np.ndarray:
+    """Places starts[i], starts[i] + 1, ... of all runs, one after the other."""
+    ends = np.cumsum(lengths)
+    return np.arange(ends[-1]) + np.repeat(starts - (ends - lengths), lengths)
+
+
 def deal(docs: DataFrame, window: int, assigned: np.ndarray, parts: int, finer: int) -> DataFrame:
     """Segments of a batch for a part; and repeats found in the batch, for any part."""
     cells = np.uint64(assigned.shape[1])
@@ -184,8 +190,9 @@ def deal(docs: DataFrame, window: int, assigned: np.ndarray, parts: int, finer:
             goes = np.ones(len(p), bool)
             goes[order] = d == least
             doc, place, length = _joined(x["doc"][~goes], x["place"][~goes])
-            out = [(int(p[0] % np.uint64(parts * finer)), True, doc.tobytes(), place.tobytes(), length.astype(np.int64).tobytes(), b"")] if len(doc) else []
+            out = [(int(p[0] % np.uint64(parts * finer)), True, doc.tobytes(), place.tobytes(), length.astype(np.int64).tobytes(), b"", b"")] if len(doc) else []
             at, doc, place, under = (x[name][goes] for name in ("at", "doc", "place", "under"))
+            check = x["print"][goes].astype(np.uint16)
             prefix = [h[goes] for h in prefix]
             part = np.full(len(at), -1, np.int32)
             for level, h in enumerate(prefix):
@@ -200,9 +207,8 @@ def deal(docs: DataFrame, window: int, assigned: np.ndarray, parts: int, finer:
             held = 0
             for a, b in zip(edges[:-1], edges[1:], strict=True):
                 words = count[a:b] + window - 1
-                ends = np.cumsum(words)
-                spread = np.arange(ends[-1]) + np.repeat(at[first[a:b]] - (ends - words), words)
-                out.append((int(part[first[a]]), False, doc[first[a:b]].tobytes(), place[first[a:b]].tobytes(), count[a:b].astype(np.uint16).tobytes(), codes[spread].tobytes()))
+                spread = _spread(at[first[a:b]], words)
+                out.append((int(part[first[a]]), False, doc[first[a:b]].tobytes(), place[first[a:b]].tobytes(), count[a:b].astype(np.uint16).tobytes(), codes[spread].tobytes(), check[_spread(first[a:b], count[a:b])].tobytes()))
                 held += len(spread)
                 if held > SENT:
                     yield _dealt(out)
@@ -213,35 +219,42 @@ def deal(docs: DataFrame, window: int, assigned: np.ndarray, parts: int, finer:
     return docs.mapInArrow(run, _DEALT)
 
 
-def ordered_suffixes(codes: np.ndarray, at: np.ndarray, depth: int) -> tuple[np.ndarray, np.ndarray]:
+def ordered_suffixes(codes: np.ndarray, at: np.ndarray, depth: int, check: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray]:
     """(order, common): suffixes at[order] ascending by their words, and how many words, up to `depth`, each shares with the one before.
 
-    Words are taken two at a time, and only for suffixes that some other still agrees with.
+    Words are taken four at a time, and only for suffixes that some other still agrees with.  Where `check` differs,
+    so does some word in spite of its code; then `common` stays below `depth`.
     """
     order = np.arange(len(at))
     common = np.zeros(len(at), np.int64)
-    fresh = np.ones(len(at), bool)  # parted from the one before
-    fresh[1:] = False
+    fresh = np.zeros(len(at), bool)  # parted from the one before
+    fresh[:1] = True
     live = order.copy()
-    for step in range(0, depth, 2):
-        starts = at[order[live]] + step
-        key = codes[starts].astype(np.uint64) << np.uint64(32)
-        if step + 1 < depth:
-            key |= codes[starts + 1]
+    for step in range(0, depth + 4, 4):
+        if not len(live):
+            break
+        if step >= depth:
+            if check is None:
+                break
+            key = check[order[live]].astype(np.uint64)
+        else:
+            key = np.zeros(len(live), np.uint64)
+            for k in range(4):
+                key <<= np.uint64(16)
+                if step + k < depth:
+                    key |= codes[at[order[live]] + step + k]
         group = np.cumsum(fresh[live])
         by = np.lexsort((key, group)) if step else np.argsort(key, kind="stable")
         order[live] = order[live][by]
         key, group = key[by], group[by]
-        same_group = group[1:] == group[:-1]
-        differs = same_group & (key[1:] != key[:-1])
-        shared = (key[1:] >> np.uint64(32)) == (key[:-1] >> np.uint64(32))
+        differs = (group[1:] == group[:-1]) & (key[1:] != key[:-1])
         parted = live[1:][differs]
-        common[parted] = step + shared[differs]
+        apart = (key[1:] ^ key[:-1])[differs]
+        shared = sum((apart < np.uint64(1 << bits)).astype(np.int64) for bits in (48, 32, 16))
+        common[parted] = np.minimum(step + shared, depth - 1)
         fresh[parted] = True
         alone = fresh & np.append(fresh[1:], True)
         live = np.flatnonzero(~alone)
-        if not len(live):
-            break
     common[~fresh] = depth
     return order, common
 
@@ -255,18 +268,18 @@ def subtrees(dealt: DataFrame, window: int) -> DataFrame:
     """(doc_id, place, length): runs of windows to drop."""
 
     def run(rows: pa.Table) -> pa.Table:
-        whole = {name: rows[name].to_pylist() for name in ("repeats", "ids", "places", "lengths", "codes")}
+        whole = {name: rows[name].to_pylist() for name in ("repeats", "ids", "places", "lengths", "codes", "checks")}
         segments = [i for i, r in enumerate(whole["repeats"]) if not r]
         said = [i for i, r in enumerate(whole["repeats"]) if r]
         read = lambda name, kind, chosen: np.concatenate([np.zeros(0, kind), *[np.frombuffer(whole[name][i], kind) for i in chosen]])
         doc, place, length = read("ids", np.int64, said), read("places", np.int64, said), read("lengths", np.int64, said)
         if segments:
             ids, places, count = read("ids", np.int64, segments), read("places", np.int64, segments), read("lengths", np.uint16, segments).astype(np.int64)
-            codes = np.append(read("codes", np.uint32, segments), np.uint32(0))
+            codes = read("codes", np.uint16, segments)
             words = count + window - 1
             offset = np.arange(count.sum()) - np.repeat(np.cumsum(count) - count, count)
             at = np.repeat(np.cumsum(words) - words, count) + offset
-            order, common = ordered_suffixes(codes, at, window)
+            order, common = ordered_suffixes(codes, at, window, read("checks", np.uint16, segments))
             node = deep_nodes(common, window)
             whose, where = np.repeat(ids, count)[order], (np.repeat(places, count) + offset)[order]
             least = np.full(node[-1] + 1, np.iinfo(np.int64).max)
@@ -287,7 +300,7 @@ def remove_repeats(docs: DataFrame, window: int = WINDOW) -> DataFrame:
     parts = parts_for(int(counts[-1].sum()), PART)
     planned = min(parts, MOST_PLANNED)
     told = subtrees(deal(slim, window, plan(counts, planned), planned, parts_for(parts, planned)), window)
-    by_doc = materialise(told).groupBy("doc_id").agg(F.collect_list(F.struct("place", "length")).alias("told"))
+    by_doc = told.groupBy("doc_id").agg(F.collect_list(F.struct("place", "length")).alias("told"))
 
     def drop(rows: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in rows:

@@ -106,15 +106,18 @@ def test_substring_odd_rows(spark):
 
 def test_suffix_order():
     rng = np.random.default_rng(0)
-    codes = np.append(rng.integers(0, 3, 400), 0).astype(np.uint32)
+    codes = rng.integers(0, 3, 400).astype(np.uint16)
     at = rng.permutation(380)
-    for depth in (13, 4, 1, 2):
+    for depth in (13, 8, 4, 1, 2):
         order, common = substring.ordered_suffixes(codes, at, depth)
         suffix = [tuple(codes[at[i] : at[i] + depth]) for i in order]
         assert suffix == sorted(suffix)
         for k in range(1, len(suffix)):
             assert common[k] == next((j for j in range(depth) if suffix[k][j] != suffix[k - 1][j]), depth)
         assert substring.deep_nodes(common, depth).max() + 1 == len(set(suffix))
+        check = rng.integers(0, 2, 380).astype(np.uint16)
+        order, common = substring.ordered_suffixes(codes, at, depth, check)
+        assert substring.deep_nodes(common, depth).max() + 1 == len({(*codes[at[i] : at[i] + depth], check[i]) for i in range(380)})
 
 
 def test_rules(docs, texts):
