@@ -7,6 +7,7 @@ prefixes are canonical too, so every frequent unordered shape is reached once.
 
 from __future__ import annotations
 
+from ast import literal_eval
 from collections.abc import Iterator
 from functools import lru_cache
 
@@ -76,7 +77,12 @@ class Tree:
                 self.end[self.parent[at]] = max(self.end[self.parent[at]], self.end[at])
 
 
-def _grow(tree: Tree, shape: Shape, images: list[tuple[int, ...]], kind: str, siblings: str, ordered: bool) -> dict[Shape, list[tuple[int, ...]]]:
+def _grow(tree: Tree, shape: Shape, images: list[tuple[int, ...]], kind: str, siblings: str, ordered: bool, once: bool = False) -> dict[Shape, list[tuple[int, ...]]]:
+    """Shapes of one node more, with their images.
+
+    `once` keeps, of images that only swap equal leaves of one parent, the one in the tree's order.  Canonical
+    shapes never grow below the later of two equal leaves, so the miner loses nothing by it.
+    """
     path: list[int] = []
     for i, (depth, _) in enumerate(shape):
         path = [*path[:depth], i]
@@ -100,6 +106,8 @@ def _grow(tree: Tree, shape: Shape, images: list[tuple[int, ...]], kind: str, si
                     continue
                 if ordered and kids[at] and y < tree.end[image[kids[at][-1]]]:
                     continue
+                if once and kids[at] and kids[at][-1] == len(shape) - 1 and shape[-1][1] == tree.label[y] and y < image[-1]:
+                    continue
                 out.setdefault((*shape, (shape[at][0] + 1, tree.label[y])), []).append((*image, y))
     return out
 
@@ -115,7 +123,7 @@ def shapes_in(tree: Tree, frequent: set[Shape], size: int, kind: str = "embedded
         for shape, images in level.items():
             if frequent is not None and shape not in frequent:
                 continue
-            for new, where in _grow(tree, shape, images, kind, siblings, ordered).items():
+            for new, where in _grow(tree, shape, images, kind, siblings, ordered, not ordered).items():
                 if ordered or canonical(new) == new:
                     following.setdefault(new, []).extend(where)
         level = {s: list(dict.fromkeys(w)) for s, w in following.items()}
@@ -170,7 +178,7 @@ def frequent(
         kept.append(level)
         known = known or {}
         for row in found.itertuples(index=False):
-            known.setdefault(tuple(row[:-1]), set()).add(eval(row[-1], {"__builtins__": {}}))  # noqa: S307
+            known.setdefault(tuple(row[:-1]), set()).add(literal_eval(row[-1]))
     out = kept[0].where("false") if kept else packed.select(*group, F.lit("").alias("code"), F.lit("").alias("shape"), F.lit("").alias("root_label"), F.lit(0).cast("long").alias("support_count"), F.lit(0).cast("long").alias("trees"), F.lit(0).alias("size")).where("false")
     for level in kept[1:]:
         out = out.unionByName(level, allowMissingColumns=True)
