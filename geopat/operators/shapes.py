@@ -9,7 +9,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from geopat.operators.mine import Shape, Tree, _grow
+from geopat.operators.mine import Shape, Tree, _grow, text
 from geopat.plans.ship import ship
 
 
@@ -64,21 +64,33 @@ def support(packed: DataFrame, group: list[str], shape: str, **options: object)
     return counted.withColumn("support", F.round(F.col("support_count") / F.col("trees"), 6))
 
 
+@lru_cache(maxsize=100_000)
+def fewer(shape: str) -> tuple[str, ...]:
+    """The shapes of one node less in a shape: without a leaf, without an inner node, whose children go to its parent, or without a root of one child."""
+    nodes, out = parse(shape), set()
+    for i, (depth, _) in enumerate(nodes):
+        end = next((j for j in range(i + 1, len(nodes)) if nodes[j][0] <= depth), len(nodes))
+        if i or sum(d == 1 for d, _ in nodes) == 1:
+            lifted = [(d - 1, x) for d, x in nodes[i + 1 : end]]
+            out.add(text((*nodes[:i], *lifted, *nodes[end:])))
+    return tuple(sorted(out))
+
+
 def reduced(shapes: DataFrame, group: list[str], closed: bool = False) -> DataFrame:
     """Shapes in no larger shape of their group's list (maximal), or in none of the same support count (closed).
 
-    The list holds frequent shapes, not occurrences; a pair of a group is compared once, smaller against larger.
+    The list is one of `frequent`: it holds a shape's smaller shapes too, so of the larger ones those of one node more
+    decide.  Nodes that an image leaves out go one at a time, and support only grows on the way.
     """
     ship(shapes.sparkSession)
-    small = shapes.select(*group, "shape", "size", "support_count")
-    large = shapes.select(*group, F.col("shape").alias("_big"), F.col("size").alias("_size"), F.col("support_count").alias("_count"))
 
-    @F.pandas_udf("boolean")
-    def inside(big: pd.Series, one: pd.Series) -> pd.Series:
-        return pd.Series([contains(tree_of(parse(b)), parse(s)) for b, s in zip(big, one, strict=True)], dtype=bool)
+    @F.pandas_udf("array<string>")
+    def smaller(one: pd.Series) -> pd.Series:
+        return one.map(lambda x: list(fewer(x)))
 
-    pairs = small.join(large, group).where((F.col("_size") > F.col("size")) & (F.col("_count") == F.col("support_count") if closed else F.lit(True)))
-    return shapes.join(pairs.where(inside("_big", "shape")).select(*group, "shape").distinct(), [*group, "shape"], "left_anti").select(*shapes.columns)
+    count = ["support_count"] if closed else []
+    within = shapes.select(*group, *count, F.explode(smaller("shape")).alias("shape")).distinct()
+    return shapes.join(within, [*group, *count, "shape"], "left_anti").select(*shapes.columns)
 
 
 def pairs(nodes: DataFrame, deepest: int | None = None) -> DataFrame:
