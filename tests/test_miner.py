@@ -7,6 +7,7 @@ from pathlib import Path
 import pytest
 
 from geopat.operators import mine, shapes
+from geopat.operators.forest import build
 
 sys.path.insert(0, str(Path(__file__).resolve().parent))
 from test_core import brute, trees  # noqa: E402
@@ -57,3 +58,27 @@ def test_reduced_is_comparison_of_all_pairs(spark, closed):
 def test_shapes_of_one_node_less():
     assert shapes.fewer("a(b(c,d))") == ("a(b(c))", "a(b(d))", "a(c,d)", "b(c,d)")
     assert shapes.fewer("a(b,b)") == ("a(b)",)
+
+
+def test_equal_and_spent_trees_are_not_looked_at_again(monkeypatch):
+    """Fifty equal trees count as one, and a tree without a frequent shape leaves."""
+    tree = lambda *rows: mine.Tree(list(range(len(rows))), [p for _, p in rows], [x for x, _ in rows], list(range(len(rows))))
+    looked, found = [], mine.Level.found
+    monkeypatch.setattr(mine.Level, "found", lambda self, t: looked.append((self.size, tuple(t.label))) or found(self, t))
+    forest = [tree(("a", None), ("b", 0), ("c", 1)) for _ in range(50)] + [tree(("x", None), ("y", 0), ("z", 0))]
+    got = mine.mined(forest, 2, 7, ("embedded", "disjoint", False))
+    assert sorted(got) == [("a(b(c))", 3, "a", 50), ("a(b)", 2, "a", 50), ("a(c)", 2, "a", 50), ("b(c)", 2, "b", 50)]
+    assert looked == [(1, tuple("abc")), (1, tuple("xyz")), (2, tuple("abc")), (3, tuple("abc"))]
+
+
+def test_parents_are_made_once(spark):
+    made = spark.sparkContext.accumulator(0)
+
+    def rows(batches):
+        for batch in batches:
+            made.add(batch.num_rows)
+            yield batch
+
+    links = spark.createDataFrame([(n, n - 1) for n in range(1, 10)], "node long, parent long").mapInArrow(rows, "node long, parent long")
+    assert {(r.tree, r.node, r.depth) for r in build(links).collect()} == {(0, n, n) for n in range(10)}
+    assert made.value == 9

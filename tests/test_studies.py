@@ -54,6 +54,15 @@ def test_nearest_station_by_rings(spark, monkeypatch):
     assert near() == whole and len(whole) == 30
 
 
+def test_stations_at_one_position_are_one(spark, monkeypatch):
+    """Five hundred stations at two positions make two pairs with a place, and the first code of the nearer position is the nearest."""
+    places = spark.createDataFrame([(1, 30.0, -100.0)], "city long, clat double, clon double")
+    stations = spark.createDataFrame([(i, 30.0 + i % 2, -100.0, 0) for i in range(1, 501)], "code long, slat double, slon double, sstate long")
+    monkeypatch.setattr(entities, "MOST_PAIRS", 2)
+    monkeypatch.setattr(entities, "near_pairs", None)
+    assert [tuple(r) for r in entities.nearest_station(places, stations).collect()] == [(1, 2)]
+
+
 def test_one_sided_windows(spark):
     """A window outside the data is left out, and the average is that of the other side."""
     week = 7 * 24 * 60 * MIN
