@@ -67,13 +67,16 @@ def shingles(texts: list[bytes], words: int) -> tuple[np.ndarray, np.ndarray]:
     owner = w.owner()
     o = owner[: len(h)][inside]
     h = h[inside]
+    at = np.searchsorted(o, np.arange(len(texts) + 1)).tolist()
+    for a, b in zip(at[:-1], at[1:], strict=True):  # a short sort for each text costs less than one of the block by text and hash
+        h[a:b].sort()
     n = np.diff(w.first)
     short = np.flatnonzero((n > 0) & (n < words))
     if len(short):
         whole = [mix(gram_hash(w.hash[w.first[i] : w.first[i + 1]], int(n[i])) + np.uint64(n[i])) for i in short]
         h, o = np.concatenate((h, *whole)), np.concatenate((o, short))
-    order = np.lexsort((h, o))
-    h, o = h[order], o[order]
+        order = np.argsort(o, kind="stable")
+        h, o = h[order], o[order]
     fresh = np.ones(len(h), bool)
     fresh[1:] = (h[1:] != h[:-1]) | (o[1:] != o[:-1])
     h, o = h[fresh], o[fresh]

@@ -79,6 +79,21 @@ def test_near_duplicates(spark, docs, texts, words, monkeypatch):
     spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", 1000)
 
 
+def test_shingles_are_sorted_text_by_text(monkeypatch):
+    """A block's hashes are those of each text alone, and no sort takes the whole block by two keys."""
+    monkeypatch.setattr(neardup.np, "lexsort", None)
+    rng = random.Random(3)
+    block = [" ".join(rng.choices("abcAB", k=rng.randrange(9))).encode() for _ in range(50)]
+    for words in (1, 2, 5):
+        edges, h = neardup.shingles(block, words)
+        assert len(edges) == 51 and len(h) == edges[-1]
+        for i, text in enumerate(block):
+            alone, mine = neardup.shingles([text], words)[1].tolist(), h[edges[i] : edges[i + 1]].tolist()
+            split = text.lower().split()
+            n = len({tuple(split[j : j + words]) for j in range(max(1, len(split) - words + 1))}) if split else 0
+            assert mine == alone == sorted(set(mine)) and len(mine) == n
+
+
 def test_substring(docs, texts, monkeypatch):
     expected, first = {}, {}
     for i in sorted(texts):
