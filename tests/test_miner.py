@@ -71,6 +71,42 @@ def test_equal_and_spent_trees_are_not_looked_at_again(monkeypatch):
     assert looked == [(1, tuple("abc")), (1, tuple("xyz")), (2, tuple("abc")), (3, tuple("abc"))]
 
 
+def test_equal_subtrees_are_looked_at_once():
+    """Forty trees that differ at the root, all with the same three nodes below it: each level joins and hands over theirs once."""
+    tree = lambda *rows: mine.Tree(list(range(len(rows))), [p for _, p in rows], [x for x, _ in rows], list(range(len(rows))))
+    forest = [tree((f"r{i}", None), ("a", 0), ("b", 1), ("c", 1)) for i in range(40)]
+    book = mine.Book()
+    known = {book.number(s) for x in "abc" for s in [((0, x),)]}
+    level, handed = mine.Level(book, known, 2), []
+    keep = level._handed
+    level._handed = lambda label, below: handed.append(label) or keep(label, below)
+    found = {book.text(t) for x in forest for t in level.found(x)}
+    assert sorted(handed) == ["a", "b", "c"] and found == {"a(b)", "a(c)"}
+
+
+def test_numbers_are_shared_by_groups_of_a_task():
+    """A second group's result does not depend on the first one's, whichever shapes were frequent there."""
+    tree = lambda rows: mine.Tree(list(range(len(rows))), [p for _, p in rows], [x for x, _ in rows], list(range(len(rows))))
+    for options in [(k, s, o) for k in ("embedded", "induced") for s in ("disjoint", "any") for o in (False, True)]:
+        book = mine.Book(options[2])
+        for seed in range(6):
+            forest = some_trees(seed, 8)
+            assert sorted(mine.mined(map(tree, forest), 2, 6, options, book)) == sorted(mine.mined(map(tree, forest), 2, 6, options))
+            assert book.kinds and not book.full()
+
+
+def test_large_and_small_subtrees_meet(monkeypatch):
+    """The bound on small subtrees decides what is numbered, not what is found."""
+    tree = lambda rows: mine.Tree(list(range(len(rows))), [p for _, p in rows], [x for x, _ in rows], list(range(len(rows))))
+    for options in [(k, s, o) for k in ("embedded", "induced") for s in ("disjoint", "any") for o in (False, True)]:
+        got = []
+        for small, held in ((0, 0), (1, 500_000), (3, 0), (12, 500_000)):
+            monkeypatch.setattr(mine, "SMALL", small)
+            monkeypatch.setattr(mine, "MOST_HELD", held)
+            got.append(sorted(mine.mined(map(tree, some_trees(3, 12)), 3, 7, options)))
+        assert got[0] and all(x == got[0] for x in got)
+
+
 def test_parents_are_made_once(spark):
     made = spark.sparkContext.accumulator(0)
 
