@@ -42,3 +42,11 @@ def test_recursion_reads_a_table(spark, tmp_path):
 
     spark.createDataFrame([(1,), (1,), (2,), (3,), (3,), (5,)], "l_linenumber int").write.parquet(f"{tmp_path}/lineitem.parquet")
     assert sorted(tuple(r) for r in QUERIES["op_cte_recursive"](spark, str(tmp_path)).collect()) == [(1, 1, 2), (2, 2, 3), (3, 6, 5)]
+
+
+def test_events_of_one_file_are_read_by_all_cores_and_stay_there(spark):
+    """One small file is dealt out before its rows are parsed, and the few cities come to the rows by broadcast."""
+    plan = entities.entities(spark, "/root/testdata/sf0.001")._jdf.queryExecution().executedPlan().toString()
+    assert "REPARTITION_BY_NUM" in plan and "BroadcastHashJoin" in plan and "SortMergeJoin" not in plan
+    rows = spark.range(100).repartition(spark.sparkContext.defaultParallelism)
+    assert entities.spread(rows, "id") is rows
