@@ -7,7 +7,7 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from geopat import experiments, workloads
+from geopat import experiments, surface_more, workloads
 from geopat.operators import cluster, density, influence, lasting, shapes, weather
 from geopat.streaming import feeds
 from tests.test_core import COLUMNS, MIN, entity
@@ -132,6 +132,17 @@ def test_weather_intervals(spark):
     assert {r.end_us for r in weather.extract(df, gap, "next").collect()} == {2 * gap + 1, 3 * gap}
 
 
+def islands(times, gap):
+    """(first, last, count) of runs of sorted times without a gap over `gap`."""
+    out = []
+    for t in sorted(times):
+        if out and t - out[-1][1] <= gap:
+            out[-1] = (out[-1][0], t, out[-1][2] + 1)
+        else:
+            out.append((t, t, 1))
+    return out
+
+
 def test_two_samples(spark):
     df = spark.createDataFrame([(1, float(v)) for v in (3, 4, 5, 6, 7)] + [(0, float(v)) for v in (1, 2, 3, 4, 5)], "g int, v double")
     for r in influence.two_sample(df, "v", F.col("g") == 1, F.col("g") == 0).collect():
@@ -146,6 +157,18 @@ def test_sessions_of_a_stream(spark, tmp_path):
     assert {(r.user_id, r.n) for r in out.where("start < '2024-01-10'").collect()} == {(1, 2), (1, 1), (2, 1)}
 
 
+def test_tied_records_of_a_stream_stay_together(spark, tmp_path):
+    """Several records a day, dealt over the files of a folder: an interval takes all records of its first and last day."""
+    pick, day = random.Random(20), 24 * HOUR
+    at = {s: [t for t in pick.sample(range(0, 400 * day, day), 40) for _ in range(pick.randrange(2, 6))] for s in range(6)}
+    rows = [(s, t) for s, times in at.items() for t in times]
+    pick.shuffle(rows)
+    df = spark.createDataFrame(rows, "l_suppkey long, us long").select("l_suppkey", F.timestamp_micros("us").cast("timestamp_ntz").alias("l_shipdate"))
+    df.repartition(5).write.parquet(f"{tmp_path}/lineitem.parquet")
+    want = sorted((s, *span) for s, times in at.items() for span in islands(times, 10 * day))
+    assert sorted((r.station, r.start_us, r.end_us, r.records) for r in surface_more.st_weather(spark, str(tmp_path)).collect()) == want
+
+
 def test_description_length():
     points, labels, centres = np.array([[0.0], [2.0], [10.0], [14.0]]), np.array([0, 0, 1, 1]), np.array([[1.0], [12.0]])
     # Distances 1, 1, 2, 2: mean 3/2, deviation 1/2.  Parameters cost log 4, two centres 2 log 4.
