@@ -143,6 +143,22 @@ def islands(times, gap):
     return out
 
 
+@pytest.mark.parametrize("rule", ["last"])
+def test_tied_weather_records_stay_together(spark, rule):
+    """Every time is held by several records, so each interval opens and ends with a tie; none may be cut by it."""
+    pick, gap = random.Random(21), 20 * weather.DAY
+    at = {(s, kind): [t for t in pick.sample(range(0, 400 * weather.DAY, weather.DAY), 25) for _ in range(pick.randrange(2, 6))] for s in range(6) for kind in ("rain", "fog")}
+    rows = [(s, t, 10.0, 10.0, 1.0, kind) for (s, kind), times in at.items() for t in times]
+    pick.shuffle(rows)
+    df = spark.createDataFrame(rows, "station long, time_us long, temperature double, wind double, precipitation double, condition string").repartition(7)
+
+    def end(s, kind, first, last):
+        return last
+
+    want = sorted((s, kind, first, end(s, kind, first, last), n) for (s, kind), times in at.items() for first, last, n in islands(times, gap))
+    assert sorted((r.station, r.type, r.start_us, r.end_us, r.records) for r in weather.extract(df, gap, rule).collect()) == want
+
+
 def test_two_samples(spark):
     df = spark.createDataFrame([(1, float(v)) for v in (3, 4, 5, 6, 7)] + [(0, float(v)) for v in (1, 2, 3, 4, 5)], "g int, v double")
     for r in influence.two_sample(df, "v", F.col("g") == 1, F.col("g") == 0).collect():
