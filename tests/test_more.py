@@ -143,7 +143,7 @@ def islands(times, gap):
     return out
 
 
-@pytest.mark.parametrize("rule", ["last"])
+@pytest.mark.parametrize("rule", ["last", "next"])
 def test_tied_weather_records_stay_together(spark, rule):
     """Every time is held by several records, so each interval opens and ends with a tie; none may be cut by it."""
     pick, gap = random.Random(21), 20 * weather.DAY
@@ -153,7 +153,8 @@ def test_tied_weather_records_stay_together(spark, rule):
     df = spark.createDataFrame(rows, "station long, time_us long, temperature double, wind double, precipitation double, condition string").repartition(7)
 
     def end(s, kind, first, last):
-        return last
+        later = [[u for u in at[s, "rain"] + at[s, "fog"] if u > t] for t in at[s, kind] if first <= t <= last]
+        return max((min(us) for us in later if us), default=last) if rule == "next" else last
 
     want = sorted((s, kind, first, end(s, kind, first, last), n) for (s, kind), times in at.items() for first, last, n in islands(times, gap))
     assert sorted((r.station, r.type, r.start_us, r.end_us, r.records) for r in weather.extract(df, gap, rule).collect()) == want
