@@ -90,7 +90,8 @@ def reduced(shapes: DataFrame, group: list[str], closed: bool = False) -> DataFr
 
     count = ["support_count"] if closed else []
     within = shapes.select(*group, *count, F.explode(smaller("shape")).alias("shape")).distinct()
-    return shapes.join(within, [*group, *count, "shape"], "left_anti").select(*shapes.columns)
+    # Never by broadcast: Spark takes the list to be as small as the file of shapes, which holds each text once.
+    return shapes.join(within.hint("merge"), [*group, *count, "shape"], "left_anti").select(*shapes.columns)
 
 
 def pairs(nodes: DataFrame, deepest: int | None = None) -> DataFrame:

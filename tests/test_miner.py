@@ -8,6 +8,7 @@ import pytest
 
 from geopat.operators import mine, shapes
 from geopat.operators.forest import build
+from geopat.plans.scratch import written
 
 sys.path.insert(0, str(Path(__file__).resolve().parent))
 from test_core import brute, trees  # noqa: E402
@@ -55,6 +56,14 @@ def test_reduced_is_comparison_of_all_pairs(spark, closed):
     assert {r["shape"] for r in shapes.reduced(listed, ["g"], closed).collect()} == {x for x in rows if not any(inside(x, y) for y in rows)}
 
 
+@pytest.mark.parametrize("closed", [False, True])
+def test_reduced_broadcasts_no_list(spark, closed):
+    """A written list is small for its rows, so by its size it would be gathered on the driver."""
+    listed = written(mine.frequent(trees(spark, *some_trees(5)), ["g"], 0.4, max_nodes=6))
+    out = shapes.reduced(listed, ["g"], closed)
+    assert out.collect() and "Broadcast" not in out._jdf.queryExecution().executedPlan().toString()
+
+
 def test_shapes_of_one_node_less():
     assert shapes.fewer("a(b(c,d))") == ("a(b(c))", "a(b(d))", "a(c,d)", "b(c,d)")
     assert shapes.fewer("a(b,b)") == ("a(b)",)
